@@ -16,6 +16,7 @@ from pacedfl.llm.language_id import identify_documents
 from pacedfl.llm.quality import fit_quality_model, grade_documents, graded_labels
 from pacedfl.llm.secret_scan import scan_secrets
 from pacedfl.llm.simhash_dedup import near_duplicate_components
+from pacedfl.llm.substring_dedup import WINDOW, remove_repeats
 from pacedfl.llm.url_filter import judge_urls
 from pacedfl.llm.web_archive import MIN_REVISIT, archive_pages
 
@@ -61,12 +62,16 @@ def op8_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_secrets(table(spark, sf_dir, "documents"), *vocabulary()).drop("n_random")
 
 
+def op9_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return grade_documents(docs, fit_quality_model(docs, graded_labels(table(spark, sf_dir, "labels"))))
 
 
-QUERIES = {f.__name__: f for f in (op1_media, op2_warc, op3_decontaminate, op4_simhash, op5_urls, op6_bpe, op7_language, op8_secrets, op10_quality)}
+QUERIES = {f.__name__: f for f in (op1_media, op2_warc, op3_decontaminate, op4_simhash, op5_urls, op6_bpe, op7_language, op8_secrets, op9_substring, op10_quality)}
 
 
 def _rules_sql() -> tuple[str, str]:
@@ -127,4 +132,14 @@ SELECT p.page_id, strlen(p.body)::BIGINT AS payload_bytes, p.digest AS payload_d
 FROM p LEFT JOIN f ON f.digest = p.digest
 """,
     "op5_urls": _op5_sql(),
+    "op9_substring": rf"""
+WITH d AS (SELECT doc_id, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS words FROM documents)
+, w AS (SELECT doc_id, i, array_to_string(words[i:i + {WINDOW - 1}], ' ') AS s FROM (SELECT doc_id, words, unnest(range(1, len(words) - {WINDOW - 2})) AS i FROM d))
+, f AS (SELECT s, min(doc_id) AS first FROM w GROUP BY 1)
+, gone AS (SELECT DISTINCT w.doc_id, w.i + k AS i FROM w JOIN f ON f.s = w.s, range({WINDOW}) t(k) WHERE f.first < w.doc_id)
+, each AS (SELECT doc_id, unnest(words) AS word, unnest(range(1, len(words) + 1)) AS i FROM d)
+, kept AS (SELECT e.doc_id, string_agg(e.word, ' ' ORDER BY e.i) AS t, count(*) AS n FROM each e LEFT JOIN gone g ON g.doc_id = e.doc_id AND g.i = e.i WHERE g.i IS NULL GROUP BY 1)
+SELECT d.doc_id, len(d.words)::BIGINT AS n_words, (len(d.words) - coalesce(k.n, 0))::BIGINT AS n_removed, sha256(coalesce(k.t, '')) AS kept_sha256
+FROM d LEFT JOIN kept k ON k.doc_id = d.doc_id
+""",
 }
