@@ -11,11 +11,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from pacedfl.functions.portable import r6
-from pacedfl.operators import compress, links, overlap, partition, schedule, server
+from pacedfl.operators import compress, learner, links, overlap, partition, schedule, server
 from pacedfl.operators.coeffs import coef_stats, with_adjusted, with_share
 from pacedfl.plans import metrics
-from pacedfl.sources import updates
-from pacedfl.sources.tables import table
+from pacedfl.plans.rounds import run_cohort
+from pacedfl.plans.spec import METHODS, method
+from pacedfl.sources import features, updates
+from pacedfl.sources.tables import new_path, table
+from pacedfl.streaming import residual_state, telemetry
 
 N, FRACTION, ROUNDS, SEED, V, RATIO, ALPHA, GAMMA = 10, 0.5, 10, 42, 357.0, 0.1, 0.3, 5.0
 TAU, BITS, K_MAX = 5.0, 8, 100_000
@@ -658,3 +661,174 @@ def time_rollup_region(spark, sf_dir):
     rows = rows.join(F.broadcast(n), rows.s_nationkey == n.n_nationkey).join(F.broadcast(r), n.n_regionkey == r.r_regionkey)
     times = rows.select(F.col("r_name").alias("region"), F.col("n_name").alias("nation"), "client_id", links.dense_time(V, "bandwidth_mbps", "latency_s").alias("t"))
     return metrics.time_rollup(times).select("region", "nation", "client_id", "gid", r6("sum_t").alias("sum_t"), r6("max_t").alias("max_t"))
+
+
+# --- full-batch gradients and a round in SQL ------------------------------------------------------------------
+
+W4 = f"w4 AS (SELECT (l_suppkey % {N})::INT AS client_id, [1.0::DOUBLE, l_quantity / 50, l_discount * 10, l_tax * 10] AS x, l_extendedprice / 100000 AS y FROM lineitem), g4 AS (SELECT client_id, param_idx, 2 * avg((0 - y) * v) AS grad, count(*) AS n FROM (SELECT client_id, y, unnest(x) AS v, unnest(range(4)) AS param_idx FROM w4) GROUP BY 1, 2)"
+
+
+@query(f", {W4} SELECT client_id, param_idx, round(grad, 6) AS grad, n FROM g4")
+def gradient_sql_regression(spark, sf_dir):
+    """One full-batch gradient of every client at zero weights."""
+    rows = learner.gradient_sql(features.regression_rows(spark, sf_dir, N), [0.0] * 4)
+    return rows.select("client_id", "param_idx", r6("grad").alias("grad"), "n")
+
+
+@query(f""", {W4}
+, sel4 AS (SELECT s.client_id, t.p_adj, least(4, greatest(1, floor(least(1.0::DOUBLE, q.raw) * 4 + 1e-9)))::BIGINT AS k4 FROM sel0 t JOIN (SELECT client_id, (max(latency_s + {2 * V} * 0.25 / bandwidth_mbps) OVER () - latency_s) * bandwidth_mbps / {2 * V} AS raw FROM sel0) q USING (client_id) JOIN (SELECT client_id FROM sel0) s USING (client_id))
+, c4 AS (SELECT client_id, f / greatest(f, r / sum(r) OVER ()) * {ALPHA} AS p4 FROM (SELECT client_id, n_samples / sum(n_samples) OVER () AS f, least(1.0::DOUBLE, (max(latency_s + {2 * V} * 0.25 / bandwidth_mbps) OVER () - latency_s) * bandwidth_mbps / {2 * V}) AS r FROM sel0))
+, r4 AS (SELECT g.client_id, g.param_idx, 0.1 * grad AS delta, row_number() OVER (PARTITION BY g.client_id ORDER BY abs(grad) DESC, g.param_idx) AS rank FROM g4 g JOIN sel4 USING (client_id))
+SELECT i.param_idx, round(0 - coalesce(s * CASE WHEN degree <= 1 THEN {GAMMA} ELSE 1 END, 0), 6) + 0.0 AS w_next FROM (SELECT unnest(range(4)) AS param_idx) i LEFT JOIN
+(SELECT param_idx, count(*) AS degree, sum(p4 * delta) AS s FROM r4 JOIN sel4 USING (client_id) JOIN c4 USING (client_id) WHERE rank <= k4 GROUP BY 1) z USING (param_idx)""")
+def round_sql_regression(spark, sf_dir):
+    """A whole round without Python: gradient, paced top-k, adjusted coefficients, boost, step."""
+    rows = features.regression_rows(spark, sf_dir, N)
+    info = with_adjusted(with_share(schedule.paced_ratios(selected(spark, sf_dir, 1), 0.25, 4, V)), ALPHA)
+    delta = learner.gradient_sql(rows, [0.0] * 4).select("client_id", "param_idx", (0.1 * F.col("grad")).alias("delta"))
+    sent = compress.topk(delta.join(F.broadcast(info.select("client_id", "k")), "client_id"), k_max=4)
+    step = server.server_step(sent, info, "p_adj", GAMMA, n_clients=N)
+    start = spark.range(4).select(F.col("id").alias("param_idx"), F.lit(0.0).alias("w"))
+    return server.apply_step(start, step).select("param_idx", r6("w").alias("w_next"))
+
+
+# --- training -------------------------------------------------------------------------------------------------
+
+
+def _training(name: str):
+    @query(name=f"train_{name}")
+    def run(spark, sf_dir):
+        """Three rounds on the language of documents."""
+        spec = method(name, rounds=3, beta=0.5)
+        log, _ = run_cohort([spec], features.language_samples(spark, sf_dir), 4)
+        rows = metrics.time_account(log.select("run_id", "round", F.col("t_actual").alias("t_own"), F.col("t_max").alias("t_dense")))
+        return log.join(rows.select("round", "cum_actual"), "round").select("round", r6("accuracy").alias("accuracy"), r6("loss").alias("loss"), r6("coef_sum").alias("coef_sum"), "sent_rows", r6("cum_actual").alias("cum_actual"))
+
+    return run
+
+
+for _m in ("dense", "topk", "ef_topk", "paced", "boosted", "randomk_boosted", "ef_boosted"):
+    _training(_m)
+
+
+@query()
+def train_all_methods(spark, sf_dir):
+    """Every named method in one cohort: all train in the same jobs; planted classes of embeddings, two rounds."""
+    specs = [method(m, rounds=2, beta=0.5) for m in METHODS]
+    log, _ = run_cohort(specs, features.embedding_samples(spark, sf_dir), 10)
+    return log.select("run_id", "round", r6("accuracy").alias("accuracy"), r6("loss").alias("loss"), "sent_rows", r6("t_actual").alias("t_actual"))
+
+
+@query()
+def train_perceptron(spark, sf_dir):
+    spec = method("boosted", rounds=2, beta=0.5, model="perceptron", hidden=8)
+    log, _ = run_cohort([spec], features.language_samples(spark, sf_dir), 4)
+    return log.select("round", r6("accuracy").alias("accuracy"), r6("loss").alias("loss"), "sent_rows")
+
+
+FIXED = [round(((i * 7919) % 1009 - 504) / 504, 6) for i in range(4 * 28)]
+
+
+def _fixed():
+    import numpy as np
+
+    return np.array(FIXED), learner.Softmax(27, 4)
+
+
+@query()
+def eval_objective(spark, sf_dir):
+    """Local risks and the global objective at fixed weights."""
+    w, model = _fixed()
+    samples = partition.assign_clients(features.language_samples(spark, sf_dir), "y", N, seed=SEED, mode="iid")
+    return learner.objective(samples, w, model).select("client_id", "n", r6("risk").alias("risk"), r6("weighted").alias("weighted"))
+
+
+LETTERS_SQL = ", ".join(f"(length(low) - length(replace(low, '{c}', ''))) * 10.0::DOUBLE / greatest(length(low), 1)" for c in features.LETTERS)
+
+
+@query(f""", s AS (SELECT list_position(['de', 'en', 'es', 'fr'], lang)::INT - 1 AS y, list_append([{LETTERS_SQL}], 1.0::DOUBLE) AS x FROM (SELECT lang, lower(text) AS low FROM documents WHERE lang IN ('de', 'en', 'es', 'fr') AND text IS NOT NULL))
+, z AS (SELECT y, [{", ".join(f"round(list_dot_product(x, {FIXED[28 * c : 28 * c + 28]}::DOUBLE[]), 9)" for c in range(4))}] AS z FROM s)
+SELECT y, (list_position(z, list_max(z)) - 1)::INT AS pred, count(*) AS n FROM z GROUP BY 1, 2""")
+def eval_confusion(spark, sf_dir):
+    """Confusion counts of a softmax model with fixed weights over all documents."""
+    w, model = _fixed()
+    return metrics.confusion(learner.predictions(features.language_samples(spark, sf_dir), w, model))
+
+
+@query()
+def eval_balanced(spark, sf_dir):
+    w, model = _fixed()
+    return metrics.balanced_accuracy(learner.predictions(features.language_samples(spark, sf_dir), w, model)).select(r6("balanced_accuracy").alias("balanced_accuracy"))
+
+
+# --- telemetry: batch twins and streams ---------------------------------------------------------------------
+
+
+def _windows(df: DataFrame) -> DataFrame:
+    stamp = lambda c: F.date_format(c, "yyyy-MM-dd HH:mm:ss")
+    return df.select("client_id", stamp("w_start").alias("w_start"), stamp("w_end").alias("w_end"), r6("bandwidth_mbps").alias("bandwidth_mbps"), "n")
+
+
+def _observed(spark, sf_dir):
+    """Telemetry without a zone, so that windows do not depend on the session's."""
+    e = table(spark, sf_dir, "events").where("ts is not null and value is not null and user_id is not null")
+    return e.select("event_id", (F.col("user_id") % N).cast("int").alias("client_id"), F.col("ts").alias("at"), (F.col("value") / 50).alias("mbps"))
+
+
+@query("SELECT client_id, date_trunc('day', ts)::VARCHAR AS w_start, (date_trunc('day', ts) + INTERVAL 1 DAY)::VARCHAR AS w_end, round(avg(value / 50), 6) AS bandwidth_mbps, count(*) AS n FROM tel GROUP BY client_id, date_trunc('day', ts)")
+def telemetry_tumbling(spark, sf_dir):
+    return _windows(telemetry.tumbling(_observed(spark, sf_dir)))
+
+
+@query("SELECT client_id, s::VARCHAR AS w_start, (s + INTERVAL 1 DAY)::VARCHAR AS w_end, round(avg(value / 50), 6) AS bandwidth_mbps, count(*) AS n FROM (SELECT client_id, value, time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - to_hours(6 * k::INT) AS s FROM tel, range(4) t(k)) GROUP BY client_id, s")
+def telemetry_sliding(spark, sf_dir):
+    return _windows(telemetry.sliding(_observed(spark, sf_dir)))
+
+
+@query("SELECT client_id, min(ts)::VARCHAR AS w_start, (max(ts) + INTERVAL 2 HOUR)::VARCHAR AS w_end, round(avg(value / 50), 6) AS bandwidth_mbps, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY client_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY client_id ORDER BY ts) < INTERVAL 2 HOUR THEN 0 ELSE 1 END AS fresh FROM tel)) GROUP BY client_id, s")
+def telemetry_session(spark, sf_dir):
+    rows = telemetry.sessions(_observed(spark, sf_dir))
+    stamp = lambda c: F.regexp_replace(F.col(c).cast("string"), r"T", " ")
+    return rows.select("client_id", stamp("w_start").alias("w_start"), stamp("w_end").alias("w_end"), r6("bandwidth_mbps").alias("bandwidth_mbps"), "n")
+
+
+@query(f"""SELECT s::VARCHAR AS w_start, client_id, round(keep_ratio, 6) AS keep_ratio FROM (SELECT s, client_id, least(1.0::DOUBLE, (max(latency_s + {2 * V} * {RATIO} / bw) OVER (PARTITION BY s) - latency_s) * bw / {2 * V}) AS keep_ratio FROM
+(SELECT date_trunc('day', ts) AS s, client_id, greatest({links.FLOOR_MBPS}, avg(value / 50)) AS bw FROM tel GROUP BY 1, 2) JOIN links USING (client_id))""")
+def telemetry_trace_ratio(spark, sf_dir):
+    """Paced ratios of every day, from the day's throughput."""
+    rows = telemetry.window_ratios(telemetry.tumbling(_observed(spark, sf_dir)), links.supplier_links(spark, sf_dir, N), RATIO, 1000, V)
+    return rows.select(F.date_format("w_start", "yyyy-MM-dd HH:mm:ss").alias("w_start"), "client_id", r6("keep_ratio").alias("keep_ratio"))
+
+
+@query()
+def stream_telemetry(spark, sf_dir):
+    """Finished day windows of the event stream."""
+    obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N).withWatermark("at", "1 day")
+    return _windows(telemetry.run_to_table(telemetry.tumbling(obs), "stream"))
+
+
+@query()
+def stream_trace_ratio(spark, sf_dir):
+    """Paced ratios written for every finished window."""
+    out = new_path(spark, "ratios")
+    obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N)
+    telemetry.finish(telemetry.ratios_per_window(obs, links.supplier_links(spark, sf_dir, N), out, base_ratio=RATIO, n_params=1000, v=V), 300)
+    rows = spark.read.parquet(out)
+    return rows.select(F.date_format("w_start", "yyyy-MM-dd HH:mm:ss").alias("w_start"), "client_id", r6("keep_ratio").alias("keep_ratio"))
+
+
+@query()
+def stream_deadline_agg(spark, sf_dir):
+    """Uploads summed per day and coordinate, those past the deadline dropped."""
+    obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N)
+    up = obs.select("client_id", "at", (F.col("event_id") % 16).alias("param_idx"), F.col("mbps").alias("value"))
+    rows = telemetry.run_to_table(telemetry.deadline_sums(up, "6 hours"), "deadline")
+    return rows.select(F.date_format("w_start", "yyyy-MM-dd HH:mm:ss").alias("w_start"), "param_idx", r6("step").alias("step"), "degree")
+
+
+@query()
+def stream_ef_state(spark, sf_dir):
+    """Error feedback with the residual in the state store."""
+    obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N)
+    up = obs.select("client_id", (F.col("event_id") % 64).alias("param_idx"), (F.col("mbps") - 1).alias("delta"))
+    return telemetry.run_to_table(residual_state.stream_error_feedback(up, 6), "feedback").select("client_id", "param_idx", r6("sent").alias("sent"), "kept_back")
