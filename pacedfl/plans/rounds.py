@@ -82,8 +82,9 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
     if len({s.cohort() for s in specs}) != 1 or len({s.run_id for s in specs}) != len(specs):
         raise ValueError("specs must share a cohort and differ in run_id")
     out_dir = out_dir or new_path(spark, "run")
+    samples = samples.select("sample_id", "x", "y", "is_test", *[c for c in samples.columns if c == "client_id"])
     if exists(spark, f"{out_dir}/samples/_SUCCESS"):
-        assigned = spark.read.parquet(f"{out_dir}/samples")
+        assigned = spark.read.schema(samples.select("sample_id", "x", "y", "is_test").schema.add("client_id", "integer")).parquet(f"{out_dir}/samples")
     else:
         train = samples.where("not is_test")
         mode = {"mode": first.partition, "column": "client_id"} if first.partition == "column" else {"mode": first.partition}
