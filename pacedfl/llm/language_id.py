@@ -2,7 +2,8 @@
 
 A word that the model knows is scored by its log frequency in each language. An unseen word is scored
 by the longest known character n-grams that cover it, shortest last. The model is a bounded table: the
-most frequent WORDS_PER_LANGUAGE words of each language, counted over all training rows.
+most frequent WORDS_PER_LANGUAGE words of each language, counted over a bounded sample of SAMPLE_ROWS training
+rows picked by a hash of their identifier.
 
 Edge cases: null text or text without a letter gives `und` with score 0; rows without language or
 identifier are not learned from; without any training row every result is `und`; a tie goes to the
@@ -26,6 +27,7 @@ WORD = re.compile(r"[^\W\d_]+")
 WORDS_PER_LANGUAGE = 10_000
 MAX_LANGUAGES = 256
 MAX_GRAM = 4
+SAMPLE_ROWS = 20_000
 SALTS = 64
 UNKNOWN = "und"
 
@@ -37,18 +39,36 @@ class LanguageModel:
     grams: dict[str, np.ndarray]
     floor: np.ndarray
 
-    def of_word(self, word: str) -> np.ndarray:
-        """Log score of a word in each language."""
-        if (known := self.words.get(word)) is not None:
-            return known
-        framed, at, seen = f"<{word[:64]}>", 0, []
+    def __post_init__(self):
+        self.word_at = {w: i for i, w in enumerate(self.words)}
+        self.gram_at = {g: i for i, g in enumerate(self.grams)}
+        self.word_table = np.array([*self.words.values(), self.floor], np.float32)
+        self.gram_table = np.array([*self.grams.values(), self.floor], np.float32)
+        self.words, self.grams = {}, {}
+
+    def pieces(self, word: str) -> list[int]:
+        """The n-grams that cover an unseen word, the longest known one at each place."""
+        framed, at, found, get = f"<{word[:64]}>", 0, [], self.gram_at.get
         while at < len(framed):
-            for n in range(min(MAX_GRAM, len(framed) - at), 0, -1):
-                if (g := self.grams.get(framed[at : at + n])) is not None:
-                    seen.append(g)
+            for n in range(MAX_GRAM, 0, -1):
+                if (g := get(framed[at : at + n])) is not None:
+                    found.append(g)
                     break
             at += n
-        return np.mean(seen, axis=0) if seen else self.floor
+        return found or [len(self.gram_at)]
+
+    def of_words(self, words: list[str]) -> np.ndarray:
+        """Log score of each word in each language: its own, or the mean of its n-grams'."""
+        out = np.zeros((len(words), len(self.langs)), np.float32)
+        known = np.fromiter((self.word_at.get(w, -1) for w in words), np.int64, len(words))
+        out[known >= 0] = self.word_table[known[known >= 0]]
+        new = np.flatnonzero(known < 0)
+        if len(new):
+            covers = [self.pieces(words[i]) for i in new]
+            size = np.fromiter(map(len, covers), np.int64, len(covers))
+            flat = np.fromiter((g for c in covers for g in c), np.int64, int(size.sum()))
+            out[new] = np.add.reduceat(self.gram_table[flat], np.cumsum(size) - size, axis=0) / size[:, None]
+        return out
 
 
 def count_words(docs: DataFrame, lang_col: str, text_col: str) -> DataFrame:
@@ -74,7 +94,7 @@ def count_words(docs: DataFrame, lang_col: str, text_col: str) -> DataFrame:
 
 
 def fit_language_model(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", words_per_language: int = WORDS_PER_LANGUAGE, max_languages: int = MAX_LANGUAGES) -> LanguageModel:
-    """Fit on every row with a language. The table that reaches the driver has at most
+    """Fit on all the rows given that have a language. The table that reaches the driver has at most
     words_per_language rows for each of at most max_languages languages (the most frequent ones)."""
     counts = count_words(docs.where(F.col(lang_col).isNotNull()), lang_col, text_col)
     near = Window.partitionBy("lang", F.pmod(F.xxhash64("word"), F.lit(SALTS))).orderBy(F.desc("n"), "word")
@@ -112,32 +132,37 @@ def predict_language(docs: DataFrame, model: LanguageModel, keep: list[str], tex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        rows: dict[str, int] = {}
-        table = np.zeros((WORD_CACHE + 1, max(1, len(m.langs))), np.float32)
-
-        def row_of(word: str) -> int:
-            if (k := rows.get(word)) is None:
-                k = 0
-                if any(map(str.isalpha, word)):
-                    k = len(rows) + 1
-                    table[k] = m.of_word(word)
-                rows[word] = k
-            return k
+        width = max(1, len(m.langs))
+        rows: dict[str, int] = {}  # row 0: no letter in it
+        table = np.zeros((WORD_CACHE + 1, width), np.float32)
+
+        def learn(words: list[str]) -> None:
+            nonlocal table
+            new = list(set(words) - rows.keys())
+            if len(rows) + len(new) > WORD_CACHE:
+                rows.clear()
+                new = list(set(words))
+            lettered = [w for w in new if any(map(str.isalpha, w))]
+            rows.update(dict.fromkeys(new, 0))
+            at = len(rows) - len(new) + 1
+            if at + len(lettered) > len(table):
+                table = np.concatenate([table, np.zeros((at + len(lettered) - len(table), width), np.float32)])
+            table[at : at + len(lettered)] = m.of_words(lettered)
+            rows.update(zip(lettered, range(at, at + len(lettered)), strict=True))
 
         for batch in batches:
-            for part in slices(batch, text_col, 2 << 20):
-                found, score = [], []
-                for text in texts(part, text_col):
+            for part in slices(batch, text_col, 1 << 20):
+                split = [WORD.findall(text.lower()) if m.langs else [] for text in texts(part, text_col)]
+                if m.langs:
+                    learn([w for words in split for w in words])
+                ids = np.fromiter((rows[w] for words in split for w in words), np.int64, sum(map(len, split)))
+                found, score, end = [], [], 0
+                for words in split:
+                    own, end = ids[end : end + len(words)], end + len(words)
+                    own = own[own > 0]
                     lang, p = UNKNOWN, 0.0
-                    words = WORD.findall(text.lower()) if m.langs else []
-                    total, n = np.zeros(max(1, len(m.langs))), 0
-                    for a in range(0, len(words), 50_000):
-                        if len(rows) + 50_000 > WORD_CACHE:
-                            rows.clear()
-                        ids = np.fromiter(map(row_of, words[a : a + 50_000]), np.int64)
-                        ids = ids[ids > 0]
-                        total, n = total + table[ids].sum(axis=0, dtype=np.float64), n + len(ids)
-                    if n:
+                    if n := len(own):
+                        total = table[own].sum(axis=0, dtype=np.float64)
                         best = int(total.argmax())
                         lang, p = m.langs[best], float(1 / np.exp(np.maximum((total - total[best]) / n * min(n, 20), -700)).sum())
                     found.append(lang)
@@ -154,7 +179,12 @@ def held_out(id_col: str = "doc_id") -> Column:
 
 
 def identify_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """Learn from the rows that are not held out, predict all rows from their texts alone."""
-    model = fit_language_model(docs.where(~held_out(id_col) & F.col(id_col).isNotNull()), lang_col, text_col)
+    """Learn from rows that are not held out, predict all rows from their texts alone.
+
+    The identifiers of the sample are bounded by SAMPLE_ROWS and broadcast.
+    """
+    train = docs.where(~held_out(id_col) & F.col(id_col).isNotNull() & F.col(lang_col).isNotNull())
+    sample = train.select(F.col(id_col).alias("__id")).orderBy(F.xxhash64("__id"), "__id").limit(SAMPLE_ROWS).distinct()
+    model = fit_language_model(train.join(F.broadcast(sample), train[id_col] == sample["__id"], "left_semi"), lang_col, text_col)
     rows = docs.select(F.col(id_col).cast("bigint").alias(id_col), held_out(id_col).alias("held_out"), F.col(text_col).alias(text_col))
     return predict_language(rows, model, [id_col, "held_out"], text_col)
