@@ -14,6 +14,7 @@ grades in the sample everything is selected.
 
 from __future__ import annotations
 
+import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -32,24 +33,44 @@ SCREEN = 5.0  # standard deviations
 SELECT_GRADE = 2
 SELECT_TAIL = 0.3
 PREFIXES = (5, 6, 7)
+DIGIT = re.compile(rb"[0-9]")
 PUNCTUATION = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 
 
 class WordFeatures(dict):
-    """word -> (shape bucket, buckets of the word and of its prefixes)."""
+    """word -> (shape bucket, buckets of the word and of its prefixes), of the live buckets where they are given."""
+
+    def __init__(self, live: np.ndarray | None = None):
+        super().__init__()
+        self.live = None if live is None else set(np.flatnonzero(live).tolist())
+        self.buckets: dict[str, int] = {}
+        self.shapes: dict[bytes, int] = {}
 
     def __missing__(self, word: bytes) -> tuple[int, tuple[int, ...]]:
         core = word.strip(PUNCTUATION)
         head, _, tail = word.partition(core) if core else (word, b"", b"")
         case = b"-" if not core else b"U" if core.isupper() and len(core) > 1 else b"T" if core[:1].isupper() else b"l"
-        shape = head[-2:] + case + (b"9" if any(48 <= c < 58 for c in core) else b"") + tail[:2]
+        name = head[-2:] + case + (b"9" if DIGIT.search(core) else b"") + tail[:2]
+        if (shape := self.shapes.get(name)) is None:
+            shape = self.shapes[name] = (1 << WORD_BITS) + (xxhash.xxh64_intdigest(name, 8) & ((1 << SHAPE_BITS) - 1))
         low = core.decode("utf-8", "replace").lower()
-        names = [low, *(f"{low[:k]}*" for k in PREFIXES if len(low) > k)]
-        found = ((1 << WORD_BITS) + (xxhash.xxh64_intdigest(shape, 8) & ((1 << SHAPE_BITS) - 1)), tuple(xxhash.xxh64_intdigest(x.encode(), 7) & ((1 << WORD_BITS) - 1) for x in names))
+        n, known = len(low), self.buckets
         if len(self) >= WORD_CACHE:
             self.clear()
-        self[word] = found
-        return found
+        if len(known) >= WORD_CACHE:
+            known.clear()
+        found = []
+        for part in (low, *(low[:k] + "*" for k in PREFIXES if n > k)):
+            if (bucket := known.get(part)) is None:
+                bucket = xxhash.xxh64_intdigest(part.encode(), 7) & ((1 << WORD_BITS) - 1)
+                if self.live is not None and bucket not in self.live:
+                    bucket = -1
+                if len(part) < 9:  # whole words rarely come back once their own entry is gone
+                    known[part] = bucket
+            if bucket >= 0:
+                found.append(bucket)
+        self[word] = out = (shape, tuple(found))
+        return out
 
 
 def features(text: bytes, cache: WordFeatures) -> tuple[np.ndarray, np.ndarray]:
@@ -62,7 +83,8 @@ def features(text: bytes, cache: WordFeatures) -> tuple[np.ndarray, np.ndarray]:
     for word, n in count.items():
         shape, buckets = cache[word]
         shapes[shape] = shapes.get(shape, 0) + n
-        words.update(buckets)
+        if buckets:
+            words.update(buckets)
     known = np.fromiter(words, np.int32, len(words))
     known.sort()
     share = np.array(sorted(shapes.items()), dtype=np.float64).reshape(-1, 2)
@@ -79,7 +101,7 @@ class OrdinalModel:
         return 1 / (1 + np.exp(np.clip(self.thresholds - score, -60, 60)))
 
 
-def _screened(row: np.ndarray, column: np.ndarray, grades: np.ndarray, width: int) -> np.ndarray:
+def _screened(row: np.ndarray, column: np.ndarray, grades: np.ndarray, width: int, screen: float) -> np.ndarray:
     """Features whose presence and a grade go together beyond chance, given how common both are."""
     n, live = len(grades), np.zeros(width, bool)
     seen = np.bincount(column, minlength=width)
@@ -88,11 +110,11 @@ def _screened(row: np.ndarray, column: np.ndarray, grades: np.ndarray, width: in
         inside = (grades == k)[row].astype(np.float64)
         share = (grades == k).mean()
         z = (np.bincount(column, inside, minlength=width) - seen * share) / np.sqrt(np.maximum(n * p * (1 - p) * share * (1 - share), 0.25))
-        live |= (np.abs(z) > SCREEN) & (seen >= 3)
+        live |= (np.abs(z) > screen) & (seen >= 3)
     return live
 
 
-def fit_ordinal(indexes: list[np.ndarray], values: list[np.ndarray], grades: np.ndarray, steps: int = 300, rate: float = 0.05, ridge: float = 3e-4) -> OrdinalModel:
+def fit_ordinal(indexes: list[np.ndarray], values: list[np.ndarray], grades: np.ndarray, steps: int = 300, rate: float = 0.05, ridge: float = 3e-4, screen: float = SCREEN) -> OrdinalModel:
     """Maximum likelihood with a ridge by full-batch adaptive gradient steps."""
     n_grades = int(grades.max()) + 1 if len(grades) else 0
     if n_grades < 2 or len(np.unique(grades)) < 2:
@@ -101,7 +123,7 @@ def fit_ordinal(indexes: list[np.ndarray], values: list[np.ndarray], grades: np.
     at, value = np.concatenate(indexes), np.concatenate(values)
     used, column = np.unique(at, return_inverse=True)
     row = np.repeat(np.arange(len(sizes)), sizes)
-    live = _screened(row, column, grades, len(used))
+    live = _screened(row, column, grades, len(used), screen)
     keep = live[column]  # the rest carries noise only
     row, column, value = row[keep], column[keep], value[keep]
     share = np.array([(grades <= k).mean() for k in range(n_grades - 1)]).clip(1e-3, 1 - 1e-3)
@@ -174,7 +196,7 @@ def grade_documents(docs: DataFrame, model: OrdinalModel, id_col: str = "doc_id"
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache = WordFeatures()
+        cache = WordFeatures(shared.value.weights)
         for batch in batches:
             for part in slices(batch, text_col):
                 expected, tail = _graded(part, text_col, shared.value, cache)
@@ -188,7 +210,7 @@ def select_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cache = WordFeatures()
+        cache = WordFeatures(shared.value.weights)
         for batch in batches:
             for part in slices(batch, text_col):
                 _, tail = _graded(part, text_col, shared.value, cache)
