@@ -214,14 +214,19 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     spans = written(compacted(repeated_edges(docs, id_col, text_col, bin_bits(docs, text_col))), "spans")
     found = written(_applied(docs, spans, id_col, text_col, "left"), "kept")
     ends = found.where("own is not null")
-    own = ends.where("own").select(F.col(id_col).alias("doc"), "start", "size", F.col("digest").alias("here"))
-    there = ends.where("not own").select(F.col(id_col).alias("source"), F.col("start").alias("source_start"), "size", F.col("digest").alias("there")).distinct()
-    good = spans.join(own.distinct(), ["doc", "start", "size"]).join(there, ["source", "source_start", "size"]).where("here = there").select("doc", "start", "size").distinct()
-    bad = written(spans.join(good, ["doc", "start", "size"], "left_anti").select("doc").distinct(), "unverified")
+    own = ends.where("own").select(F.col(id_col).alias("doc"), "start", "size", F.col("digest").alias("here")).distinct()
+    there = ends.where("not own").select(F.col(id_col).alias("source"), F.col("start").alias("source_start"), "size", F.col("digest").alias("here")).distinct()
+    both = spans.join(own, ["doc", "start", "size"])
+    # many documents share a source span: equal claims are folded before they meet the source's digest
+    claims = both.groupBy("source", "source_start", "size", "here").agg(F.count("*").alias("n")).drop("n")
+    wrong = written(claims.join(there, ["source", "source_start", "size", "here"], "left_anti"), "unverified")
     rows = found.where("own is null").select(id_col, "n_words", "n_removed", "kept_sha256")
-    if bad.isEmpty():
+    if wrong.isEmpty():
         return rows
+    bad = both.join(wrong, ["source", "source_start", "size", "here"], "left_semi").select("doc", "start", "size").distinct()
+    bad = written(bad, "bad")
+    affected = written(bad.select("doc").distinct(), "affected")
     # hash collisions, or rows that share an identifier: these documents again, with verified spans only
-    verified = spans.join(bad, "doc", "left_semi").join(good, ["doc", "start", "size"], "left_semi")
-    again = _applied(docs.join(bad, docs[id_col] == bad["doc"], "left_semi"), verified, id_col, text_col, "left").where("own is null").select(id_col, "n_words", "n_removed", "kept_sha256")
-    return rows.join(bad, rows[id_col] == bad["doc"], "left_anti").union(again)
+    verified = spans.join(affected, "doc", "left_semi").join(bad, ["doc", "start", "size"], "left_anti")
+    again = _applied(docs.join(affected, docs[id_col] == affected["doc"], "left_semi"), verified, id_col, text_col, "left").where("own is null").select(id_col, "n_words", "n_removed", "kept_sha256")
+    return rows.join(affected, rows[id_col] == affected["doc"], "left_anti").union(again)
