@@ -8,12 +8,13 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
+from pacedfl.functions import udfs
 from pacedfl.functions.portable import r6
 from pacedfl.operators import compress, learner, links, overlap, partition, schedule, server
 from pacedfl.operators.coeffs import coef_stats, with_adjusted, with_share
-from pacedfl.plans import metrics
+from pacedfl.plans import experiments, metrics
 from pacedfl.plans.rounds import run_cohort
 from pacedfl.plans.spec import METHODS, method
 from pacedfl.sources import features, updates
@@ -172,7 +173,7 @@ def sparse_times(spark, sf_dir):
     return links.supplier_links(spark, sf_dir, N).select("client_id", r6(links.sparse_time(V, RATIO, "bandwidth_mbps", "latency_s")).alias("t"))
 
 
-@query(ORACLE_SQLFUNCS := f"SELECT client_id, round(latency_s + {V} / bandwidth_mbps, 6) AS t_dense, round(latency_s + {2 * V} * {RATIO} / bandwidth_mbps, 6) AS t_sparse, round(least(1, (80.0 - latency_s) * bandwidth_mbps / {2 * V}), 6) AS ratio FROM links")
+@query(f"SELECT client_id, round(latency_s + {V} / bandwidth_mbps, 6) AS t_dense, round(latency_s + {2 * V} * {RATIO} / bandwidth_mbps, 6) AS t_sparse, round(least(1, (80.0 - latency_s) * bandwidth_mbps / {2 * V}), 6) AS ratio FROM links")
 def sql_functions(spark, sf_dir):
     """The registered SQL functions in one SELECT."""
     from pacedfl.functions.sqlfuncs import register
@@ -832,3 +833,99 @@ def stream_ef_state(spark, sf_dir):
     obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N)
     up = obs.select("client_id", (F.col("event_id") % 64).alias("param_idx"), (F.col("mbps") - 1).alias("delta"))
     return telemetry.run_to_table(residual_state.stream_error_feedback(up, 6), "feedback").select("client_id", "param_idx", r6("sent").alias("sent"), "kept_back")
+
+
+# --- packed updates, ranks, reports ---------------------------------------------------------------------------
+
+
+@query("SELECT param_idx, count(*) AS degree, round(sum(p_adj * delta::FLOAT::DOUBLE), 6) + 0.0 AS step FROM kept_paced JOIN (SELECT client_id, p_adj FROM sel0) USING (client_id) GROUP BY 1")
+def server_packed(spark, sf_dir):
+    """The paced step from packed updates, merged shard by shard in Arrow-fed groups."""
+    packed = compress.pack(kept(spark, sf_dir, "paced"), shards=8).join(F.broadcast(first_round(spark, sf_dir).select("client_id", "p_adj")), "client_id")
+    rows = udfs.merged(packed, "p_adj").select(F.explode(F.arrays_zip("idx", "step", "degree")).alias("e"))
+    return rows.select(F.col("e.idx").alias("param_idx"), F.col("e.degree").alias("degree"), r6("e.step").alias("step"))
+
+
+@query(EF_SQL[1].replace("SELECT 1::INT AS round, ", "SELECT "))
+def ef_cogroup(spark, sf_dir):
+    """The second round of error feedback by cogroup; equals the join."""
+    u, k = updates.update_lineitem_rounds(spark, sf_dir, N), schedule.kept_count(F.lit(RATIO), updates.n_params(spark, sf_dir))
+    n = spark.range(1).select(k).first()[0]
+    one = compress.ef_topk(u.where("round = 0"), None, links.supplier_links(spark, sf_dir, N).select("client_id", F.lit(n).alias("k")))
+    rows = udfs.feedback_cogroup(u.where("round = 1").select("client_id", "param_idx", "delta"), one.where("residual <> 0").select("client_id", "param_idx", "residual"), n)
+    return rows.select("client_id", "param_idx", r6("sent").alias("sent"), r6("residual").alias("residual"))
+
+
+@query("SELECT client_id, rank() OVER w::INT AS rnk, dense_rank() OVER w::INT AS dense, round(percent_rank() OVER w, 6) AS pct, ntile(4) OVER w::INT AS quartile FROM links WINDOW w AS (ORDER BY bandwidth_mbps DESC, client_id)".replace("OVER w::INT", "OVER w"))
+def client_ranks(spark, sf_dir):
+    """Clients by bandwidth: ranks and quartiles (a registry is small, so one ordered window serves)."""
+    w = Window.partitionBy(F.lit(0)).orderBy(F.desc("bandwidth_mbps"), "client_id")
+    rows = links.supplier_links(spark, sf_dir, N)
+    return rows.select("client_id", F.rank().over(w).cast("long").alias("rnk"), F.dense_rank().over(w).cast("long").alias("dense"), r6(F.percent_rank().over(w)).alias("pct"), F.ntile(4).over(w).cast("long").alias("quartile"))
+
+
+@query("SELECT run_id, round, grouping(run_id, round)::INT AS gid, round(avg(t_own), 6) AS mean_t, sum(sent)::BIGINT AS sent FROM uploads GROUP BY GROUPING SETS ((run_id), (round), ())")
+def report_sets(spark, sf_dir):
+    """Mean upload time and entries sent by method, by round, and over all."""
+    uploads(spark, sf_dir).createOrReplaceTempView("pacedfl_uploads")
+    return spark.sql("SELECT run_id, round, CAST(grouping_id(run_id, round) AS INT) AS gid, round(avg(t_own), 6) + 0D AS mean_t, sum(sent) AS sent FROM pacedfl_uploads GROUP BY GROUPING SETS ((run_id), (round), ())")
+
+
+@query(f"SELECT round, {', '.join(f'''round(max(t_own) FILTER (WHERE run_id = '{m}'), 6) AS {m}''' for m in metrics.METHODS)} FROM uploads GROUP BY round")
+def report_pivot(spark, sf_dir):
+    """Round times, one column a method."""
+    rows = uploads(spark, sf_dir).groupBy("round").pivot("run_id", list(metrics.METHODS)).agg(F.max("t_own"))
+    return rows.select("round", *(r6(m).alias(m) for m in metrics.METHODS))
+
+
+# --- experiments, short forms (full grids: pacedfl.plans.experiments) -------------------------------------------
+
+
+@query()
+def experiment_accuracy_grid(spark, sf_dir):
+    """Five methods at two ratios, planted classes, three rounds."""
+    rows = experiments.accuracy_grid(spark, sf_dir, ("W3",), betas=(0.5,), rounds=3)
+    return rows.select("workload", "method", "beta", "base_ratio", r6("accuracy").alias("accuracy"), r6("t_actual").alias("t_actual"))
+
+
+@query()
+def experiment_gamma_sweep(spark, sf_dir):
+    """Boosts of 1 to 10 at one cell, three rounds, one cohort."""
+    return experiments.gamma_sweep(spark, sf_dir, "W3", betas=(0.1,), ratios=(0.1,), rounds=3).withColumn("accuracy", r6("accuracy"))
+
+
+@query()
+def experiment_client_scaling(spark, sf_dir):
+    """Best boost for 10, 16 and 20 clients, two rounds."""
+    return experiments.client_scaling(spark, sf_dir, "W3", betas=(0.1,), ratios=(0.1,), gammas=(1, 3, 5, 7), rounds=2).withColumn("accuracy", r6("accuracy"))
+
+
+@query()
+def experiment_time_to_accuracy(spark, sf_dir):
+    """Communication time to 40 % on planted classes, and the speed-up over top-k."""
+    rows = experiments.time_to_accuracy(spark, sf_dir, "W3", 0.4, rounds=4)
+    return rows.select("method", "base_ratio", "round_hit", *(r6(c).alias(c) for c in ("time_actual", "time_max", "time_min", "speedup")))
+
+
+@query()
+def experiment_alpha_tuning(spark, sf_dir):
+    """Server factor by validation, two rounds."""
+    return experiments.alpha_tuning(spark, sf_dir, "W3", rounds=2).withColumn("accuracy", r6("accuracy"))
+
+
+@query()
+def experiment_breakdown(spark, sf_dir):
+    """Seconds of a round by part (wall clock, so values differ from run to run)."""
+    return experiments.round_breakdown(spark, sf_dir, "W3", rounds=2)
+
+
+@query()
+def experiment_accuracy_over_time(spark, sf_dir):
+    return experiments.accuracy_over_time(spark, sf_dir, "W3", betas=(0.5,), ratios=(0.1,), rounds=3, steps=10).withColumn("accuracy", r6("accuracy"))
+
+
+@query()
+def experiment_quality_balanced(spark, sf_dir):
+    """The unbalanced quality labels, two rounds of dense and boosted."""
+    log, _ = run_cohort([method(m, rounds=2, beta=0.5) for m in ("dense", "boosted")], features.quality_samples(spark, sf_dir), 2)
+    return log.select("run_id", "round", r6("accuracy").alias("accuracy"), r6("loss").alias("loss"))
