@@ -10,6 +10,7 @@ import time
 from functools import reduce
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from pacedfl.operators import compress, schedule
@@ -94,11 +95,16 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
     n_features = len(assigned.select("x").first().x)
     extra = {"hidden": first.hidden} if first.model == "perceptron" else {}
     model: Model = MODELS[first.model](n_features, n_classes, **extra)
-    sizes = train.groupBy("client_id").agg(F.count("*").alias("n_samples"))
     plan = f"{out_dir}/plan"
+    counted = train.groupBy("client_id").agg(F.count("*").alias("n_samples"))
+    sizes = counted if exists(spark, f"{plan}/_SUCCESS") else _fresh(counted, f"{out_dir}/sizes")
     rounds = spark.read.parquet(plan) if exists(spark, f"{plan}/_SUCCESS") else written(_union([plan_rounds(spark, s, sizes, model.n_params, links) for s in specs]), plan)
     account = {(r.run_id, r.round): r for r in rounds.groupBy("run_id", "round").agg(F.max("t_own").alias("t_actual"), F.max("t_dense").alias("t_max"), F.min("t_dense").alias("t_min"), F.sum("weight").alias("coef_sum")).collect()}
     weights = {s.run_id: model.start(s.seed) for s in specs}
+    alike: dict[tuple, list[RunSpec]] = {}
+    for s in specs:
+        alike.setdefault(_compression(s), []).append(s)
+    groups = list(alike.values())
     begin = 0
     while exists(spark, f"{out_dir}/w/round={begin}/_SUCCESS") and exists(spark, f"{out_dir}/log/round={begin}/_SUCCESS"):
         begin += 1
@@ -113,13 +119,13 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
         now = time.time()
         info = picked.select("run_id", "client_id", "k", "weight")
         kept = []
-        for s in specs:
-            own = delta.where(F.col("run_id") == s.run_id)
-            mine = info.where(F.col("run_id") == s.run_id)
-            if s.error_feedback:
-                kept.append(_with_feedback(own, mine, s, model, f"{out_dir}/residual", t))
+        for n, group in enumerate(groups):  # one pass over the updates for all runs that compress alike
+            runs = [s.run_id for s in group]
+            own, mine = (df.where(F.col("run_id").isin(runs)) if len(groups) > 1 else df for df in (delta, info))
+            if group[0].error_feedback:
+                kept.append(_with_feedback(own, mine, group[0], model, f"{out_dir}/residual/{n}", t))
             else:
-                kept.append(compressed(own.join(mine.drop("weight"), list(KEYS)), s, model.layers()).select(*KEYS, "param_idx", "delta"))
+                kept.append(compressed(own.join(mine.drop("weight"), list(KEYS)), group[0], model.layers()).select(*KEYS, "param_idx", "delta"))
         took["compress_s"] = time.time() - now
         now = time.time()
         sums = _union(kept).join(info.drop("k"), list(KEYS)).groupBy("run_id", "param_idx").agg(F.sum(F.col("weight") * F.col("delta")).alias("step"), F.count_if(F.col("delta") != 0).alias("degree"))
@@ -133,7 +139,7 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
             w[g["param_idx"].to_numpy()] -= s.step_size * g["step"].to_numpy() * mask
             weights[run_id] = w
         took["server_s"] = time.time() - now
-        rows = spark.createDataFrame([(k, int(i), float(v)) for k, w in weights.items() for i, v in enumerate(w)], "run_id string, param_idx bigint, w double")
+        rows = spark.createDataFrame(pa.table({"run_id": np.repeat(list(weights), [len(w) for w in weights.values()]), "param_idx": np.concatenate([np.arange(len(w)) for w in weights.values()]), "w": np.concatenate(list(weights.values()))}))
         rows.coalesce(1).write.mode("overwrite").parquet(f"{out_dir}/w/round={t}")
         scores = {}
         if (t + 1) % first.eval_every == 0 or t == first.rounds - 1:
@@ -158,10 +164,15 @@ def _fresh(df: DataFrame, path: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def _with_feedback(delta: DataFrame, info: DataFrame, spec: RunSpec, model: Model, folder: str, t: int) -> DataFrame:
+def _compression(s: RunSpec) -> tuple:
+    """Runs with equal values are compressed in one pass; how much each client keeps is in its k."""
+    return (s.compressor, s.scope, s.error_feedback, s.tau if s.compressor == "threshold" else 0, s.bits if s.compressor == "quantize" else 0, s.base_ratio if s.scope == "layer" else 0)
+
+
+def _with_feedback(delta: DataFrame, info: DataFrame, spec: RunSpec, model: Model, where: str, t: int) -> DataFrame:
     """Send the top of update plus residual; what is left becomes the residual of the round's clients,
     others' residuals are carried over. Each round's residuals are a new table."""
-    spark, where = delta.sparkSession, f"{folder}/{spec.run_id}"
+    spark = delta.sparkSession
     if t and exists(spark, f"{where}/round={t - 1}"):
         old = spark.read.parquet(f"{where}/round={t - 1}")
         mine = old.join(info.select(*KEYS), list(KEYS), "left_semi")
