@@ -258,8 +258,9 @@ def evaluate(test: DataFrame, weights: dict[str, np.ndarray], model: Model) -> D
             rows = []
             for run_id, w in start.items():
                 right, loss = m.predict(w, x) == y, m.loss(w, x, y)
-                for c in np.unique(y).tolist():
-                    k = y == c
+                group = np.zeros(len(y), np.int64) if isinstance(m, Linear) else y
+                for c in np.unique(group).tolist():
+                    k = group == c
                     rows.append((run_id, int(c), int(k.sum()), int(right[k].sum()), float(loss[k].sum())))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.string(), pa.int32(), pa.int64(), pa.int64(), pa.float64()), strict=True)], names=["run_id", "y", "n", "correct", "loss"])
 

@@ -13,10 +13,12 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from pacedfl.functions.portable import uniform
+from pacedfl.operators import compress, overlap
 from pacedfl.plans import metrics
-from pacedfl.plans.rounds import run_all
+from pacedfl.plans.rounds import run_all, run_cohort
 from pacedfl.plans.spec import RunSpec, method
 from pacedfl.sources import features
+from pacedfl.sources.tables import new_path
 
 MAIN = ("dense", "topk", "ef_topk", "paced", "boosted")
 WORKLOADS = {
@@ -105,6 +107,29 @@ def time_to_accuracy(spark: SparkSession, sf_dir: str, workload: str = "W1", tar
     return rows.join(F.broadcast(ref), "base_ratio").select("workload", "method", "base_ratio", "round_hit", "time_actual", "time_max", "time_min", (F.col("__ref") / F.col("time_actual")).alias("speedup"))
 
 
+def overlap_distribution(spark: SparkSession, sf_dir: str, workload: str = "W1", betas=BETAS, ratios=RATIOS, seed: int = 42) -> DataFrame:
+    """Degrees of overlap of what clients keep of a trained first round, by cell: (beta, base_ratio, degree, n_coords, share)."""
+    make, n = WORKLOADS[workload]
+    out = None
+    for b in betas:
+        folder = new_path(spark, "overlap")
+        specs = [method("topk", run_id=f"r{r}", beta=b, base_ratio=r, seed=seed, rounds=1) for r in ratios]
+        run_cohort(specs, make(spark, sf_dir), n, out_dir=folder, keep_updates=True)
+        sent = spark.read.parquet(f"{folder}/delta/round=0").join(spark.read.parquet(f"{folder}/plan").where("round = 0").select("run_id", "client_id", "k"), ["run_id", "client_id"])
+        kept = compress.topk(sent, ("run_id", "client_id"))
+        rows = overlap.overlap_histogram(overlap.overlap_degree(kept, ("run_id",)), ("run_id",))
+        rows = rows.select(F.lit(b).alias("beta"), F.expr("cast(substring(run_id, 2) as double)").alias("base_ratio"), "degree", "n_coords", "share")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def regression(spark: SparkSession, sf_dir: str, rounds: int = 5, methods=MAIN, n_clients: int = 10, **changes) -> DataFrame:
+    """W4: prices of lineitem by least squares, clients by supplier; held-out loss by round."""
+    specs = [method(m, n_clients=n_clients, rounds=rounds, partition="column", model="linear", lr=0.1, base_ratio=0.5, **changes) for m in methods]
+    log, _ = run_cohort(specs, features.regression_samples(spark, sf_dir, n_clients), 1)
+    return log.select("run_id", "round", "loss", "sent_rows", "t_actual")
+
+
 def round_breakdown(spark: SparkSession, sf_dir: str, workload: str = "W1", rounds: int = 5) -> DataFrame:
     make, n = WORKLOADS[workload]
     return metrics.breakdown(run_all(grid_specs(betas=(0.1,), rounds=rounds), make(spark, sf_dir), n))

@@ -64,6 +64,12 @@ def gain(log: DataFrame, reference: str) -> DataFrame:
     return last.crossJoin(F.broadcast(ref)).select("run_id", "reference", "accuracy", (F.col("accuracy") - F.col("__ref")).alias("gain_abs"), (F.col("accuracy") / F.col("__ref") - 1).alias("gain_rel"))
 
 
+def accuracy_interval(log: DataFrame, n_test: int, z: float = 1.96) -> DataFrame:
+    """Accuracy with its binomial interval when it was measured on n_test rows."""
+    half = z * F.sqrt(F.col("accuracy") * (1 - F.col("accuracy")) / n_test)
+    return log.select("run_id", "round", "accuracy", F.greatest(F.lit(0.0), F.col("accuracy") - half).alias("low"), F.least(F.lit(1.0), F.col("accuracy") + half).alias("high"))
+
+
 def curve(log: DataFrame, width: int = 5) -> DataFrame:
     """Accuracy per round with its change and moving average."""
     near = _run().rowsBetween(1 - width, 0)

@@ -1,6 +1,6 @@
 """The round loop. Runs of one cohort go through every round together, in the same jobs.
 
-State of a round: weights, residuals and log, each a Parquet table in the run's folder. Selections, links and
+State of a round: log and weights in one Parquet table, residuals in another, in the run's folder. Selections, links and
 sample order are functions of (seed, round), so a run resumes from its last complete round.
 """
 
@@ -11,21 +11,24 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F, types as T
 
+from pacedfl.functions.portable import uniform
 from pacedfl.operators import compress, schedule
 from pacedfl.operators.coeffs import with_adjusted, with_share
 from pacedfl.operators.learner import MODELS, Model, evaluate, local_update
 from pacedfl.operators.links import dense_time, gaussian_links, round_links
 from pacedfl.operators.partition import assign_clients
 from pacedfl.plans.spec import RunSpec
-from pacedfl.sources.tables import ROUND_LOG, exists, new_path, written
+from pacedfl.sources.tables import ROUND_LOG, exists, new_path, removed, written
 
-LOG = ROUND_LOG.add("train_s", "double").add("compress_s", "double").add("server_s", "double")
+LOG = T.StructType([*ROUND_LOG.fields, *(T.StructField(n, T.DoubleType()) for n in ("train_s", "compress_s", "server_s"))])
+LOG_NAMES = [n for n in LOG.names if n != "round"]
+LOG_KINDS = [pa.int64() if n == "sent_rows" else pa.string() if n == "run_id" else pa.float64() for n in LOG_NAMES]
 KEYS = ("run_id", "client_id")
 
 
-def plan_rounds(spark: SparkSession, spec: RunSpec, sizes: DataFrame, n_params: int, links: DataFrame | None = None) -> DataFrame:
+def plan_rounds(spark: SparkSession, spec: RunSpec, sizes: DataFrame, n_params: int, links: DataFrame | None = None, trace: DataFrame | None = None) -> DataFrame:
     """All rounds' clients of a run in one plan: round, client_id, k, weight, t_own, t_dense, keep_ratio.
 
     sizes: (client_id, n_samples); clients without samples are never selected.
@@ -36,6 +39,12 @@ def plan_rounds(spark: SparkSession, spec: RunSpec, sizes: DataFrame, n_params:
     rows = schedule.select_clients(registry, spec.rounds, spec.n_clients, spec.fraction, spec.seed)
     if spec.link_mode == "per_round":
         rows = rows.drop("bandwidth_mbps", "latency_s").join(round_links(sizes.select("client_id"), spec.rounds, spec.seed), ["round", "client_id"])
+    if spec.link_mode == "trace":
+        # a day of telemetry is a round; a client without an observation that day keeps its own link
+        day = trace.select("client_id", (F.dense_rank().over(Window.partitionBy(F.lit(0)).orderBy("day")) - 1).cast("int").alias("round"), F.col("bandwidth_mbps").alias("__seen"))
+        days = day.agg(F.max("round") + 1).first()[0] or 1
+        rows = rows.withColumn("__day", F.col("round") % days).join(day.withColumnRenamed("round", "__day"), ["client_id", "__day"], "left")
+        rows = rows.withColumn("bandwidth_mbps", F.coalesce("__seen", "bandwidth_mbps")).drop("__seen", "__day")
     if spec.schedule == "paced":
         rows = schedule.paced_ratios(rows, spec.base_ratio, n_params, spec.v_mbit, spec.clamp, spec.dense_fallback, spec.payload_factor)
     else:
@@ -74,9 +83,11 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 
 
-def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links: DataFrame | None = None, out_dir: str | None = None, partitions: int | None = None) -> tuple[DataFrame, dict[str, np.ndarray]]:
+def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links: DataFrame | None = None, out_dir: str | None = None, partitions: int | None = None, keep_updates: bool = False, trace: DataFrame | None = None) -> tuple[DataFrame, dict[str, np.ndarray]]:
     """Run the specs (of one cohort) over samples (sample_id, x, y, is_test); (log, final weights by run).
 
+    keep_updates: leave every round's updates in the folder (else they go once the round is written).
+    trace: (client_id, day, bandwidth_mbps) for runs whose links follow telemetry, a day a round.
     The driver holds weights and one row per coordinate and run of each step; nothing that grows with samples.
     """
     spark, first = samples.sparkSession, specs[0]
@@ -98,7 +109,7 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
     plan = f"{out_dir}/plan"
     counted = train.groupBy("client_id").agg(F.count("*").alias("n_samples"))
     sizes = counted if exists(spark, f"{plan}/_SUCCESS") else _fresh(counted, f"{out_dir}/sizes")
-    rounds = spark.read.parquet(plan) if exists(spark, f"{plan}/_SUCCESS") else written(_union([plan_rounds(spark, s, sizes, model.n_params, links) for s in specs]), plan)
+    rounds = spark.read.parquet(plan) if exists(spark, f"{plan}/_SUCCESS") else written(_union([plan_rounds(spark, s, sizes, model.n_params, links, trace) for s in specs]), plan)
     account = {(r.run_id, r.round): r for r in rounds.groupBy("run_id", "round").agg(F.max("t_own").alias("t_actual"), F.max("t_dense").alias("t_max"), F.min("t_dense").alias("t_min"), F.sum("weight").alias("coef_sum")).collect()}
     weights = {s.run_id: model.start(s.seed) for s in specs}
     alike: dict[tuple, list[RunSpec]] = {}
@@ -106,11 +117,11 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
         alike.setdefault(_compression(s), []).append(s)
     groups = list(alike.values())
     begin = 0
-    while exists(spark, f"{out_dir}/w/round={begin}/_SUCCESS") and exists(spark, f"{out_dir}/log/round={begin}/_SUCCESS"):
+    while exists(spark, f"{out_dir}/state/round={begin}/_SUCCESS"):
         begin += 1
     if begin:
-        for r in spark.read.parquet(f"{out_dir}/w/round={begin - 1}").collect():
-            weights[r.run_id][r.param_idx] = r.w
+        for r in spark.read.parquet(f"{out_dir}/state/round={begin - 1}").select("run_id", "w").collect():
+            weights[r.run_id] = np.array(r.w)
     for t in range(begin, first.rounds):
         now = time.time()
         picked = rounds.where(F.col("round") == t)
@@ -139,23 +150,25 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
             w[g["param_idx"].to_numpy()] -= s.step_size * g["step"].to_numpy() * mask
             weights[run_id] = w
         took["server_s"] = time.time() - now
-        rows = spark.createDataFrame(pa.table({"run_id": np.repeat(list(weights), [len(w) for w in weights.values()]), "param_idx": np.concatenate([np.arange(len(w)) for w in weights.values()]), "w": np.concatenate(list(weights.values()))}))
-        rows.coalesce(1).write.mode("overwrite").parquet(f"{out_dir}/w/round={t}")
         scores = {}
         if (t + 1) % first.eval_every == 0 or t == first.rounds - 1:
-            for r in evaluate(test, weights, model).groupBy("run_id").agg((F.sum("correct") / F.sum("n")).alias("accuracy"), (F.sum("loss") / F.sum("n")).alias("loss")).collect():
+            seen = test if first.eval_share >= 1 else test.where(uniform(first.seed, "eval", "sample_id") < first.eval_share)
+            for r in evaluate(seen, weights, model).groupBy("run_id").agg((F.sum("correct") / F.sum("n")).alias("accuracy"), (F.sum("loss") / F.sum("n")).alias("loss")).collect():
                 scores[r.run_id] = (r.accuracy, r.loss)
         log = []
         for s in specs:
             a = account.get((s.run_id, t))
             accuracy, loss = scores.get(s.run_id, (None, None))
-            log.append((s.run_id, t, accuracy, loss, a and a.t_actual, a and a.t_max, a and a.t_min, a and a.coef_sum, int(sent.get(s.run_id, 0)), took["train_s"], took["compress_s"], took["server_s"]))
-        spark.createDataFrame(log, LOG).coalesce(1).write.mode("overwrite").parquet(f"{out_dir}/log/round={t}")
+            log.append((s.run_id, accuracy, loss, a and a.t_actual, a and a.t_max, a and a.t_min, a and a.coef_sum, int(sent.get(s.run_id, 0)), took["train_s"], took["compress_s"], took["server_s"]))
+        columns = [pa.array(c, k) for c, k in zip(zip(*log, strict=True), LOG_KINDS, strict=True)] + [pa.array([weights[s.run_id] for s in specs], pa.list_(pa.float64()))]
+        # one table holds the round's log and weights: it is there whole or not at all
+        spark.createDataFrame(pa.table(columns, names=[*LOG_NAMES, "w"])).coalesce(1).write.mode("overwrite").parquet(f"{out_dir}/state/round={t}")
+        if not keep_updates:
+            removed(spark, f"{out_dir}/delta/round={t}")
         goals = [(s.target_accuracy, scores.get(s.run_id, (0, 0))[0]) for s in specs]
         if all(goal is not None and reached is not None and reached >= goal for goal, reached in goals):
             break
-    folder = f"{out_dir}/log"
-    return spark.read.schema(LOG).parquet(folder).where(F.col("round") >= 0), weights
+    return spark.read.schema(LOG).parquet(f"{out_dir}/state").where(F.col("round") < first.rounds), weights
 
 
 def _fresh(df: DataFrame, path: str) -> DataFrame:

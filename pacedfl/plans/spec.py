@@ -18,7 +18,7 @@ class RunSpec:
     server_lr: float | str = 1.0  # 'literal': the local rate once more
     partition: str = "quota"  # quota, hashed, iid, column
     beta: float = 0.1
-    link_mode: str = "static"  # static, per_round
+    link_mode: str = "static"  # static, per_round, trace
     v_mbit: float = 357.0
     payload_factor: float = 2.0
     dense_fallback: bool = False
@@ -41,6 +41,7 @@ class RunSpec:
     hidden: int = 16
     target_accuracy: float | None = None
     eval_every: int = 1
+    eval_share: float = 1.0  # of the test rows, by hash; metrics.accuracy_interval gives the error
 
     @property
     def step_size(self) -> float:

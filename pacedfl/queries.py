@@ -929,3 +929,28 @@ def experiment_quality_balanced(spark, sf_dir):
     """The unbalanced quality labels, two rounds of dense and boosted."""
     log, _ = run_cohort([method(m, rounds=2, beta=0.5) for m in ("dense", "boosted")], features.quality_samples(spark, sf_dir), 2)
     return log.select("run_id", "round", r6("accuracy").alias("accuracy"), r6("loss").alias("loss"))
+
+
+@query()
+def experiment_overlap(spark, sf_dir):
+    """Degrees of overlap after a trained first round, at both ratios."""
+    return experiments.overlap_distribution(spark, sf_dir, "W1", betas=(0.1,)).withColumn("share", r6("share"))
+
+
+@query()
+def experiment_regression(spark, sf_dir):
+    """Held-out loss of least squares on lineitem, two rounds of every main method."""
+    return experiments.regression(spark, sf_dir, 2).withColumns({"loss": r6("loss"), "t_actual": r6("t_actual")})
+
+
+@query()
+def train_traced_links(spark, sf_dir):
+    """Pacing by the links that the telemetry shows, a day a round."""
+    trace = links.traced_links(spark, sf_dir, N)
+    log, _ = run_cohort([method("paced", rounds=3, beta=0.5, link_mode="trace")], features.embedding_samples(spark, sf_dir), 10, trace=trace)
+    return log.select("round", r6("accuracy").alias("accuracy"), r6("t_actual").alias("t_actual"), r6("t_max").alias("t_max"), r6("t_min").alias("t_min"))
+
+
+@query("SELECT run_id, round, accuracy, round(greatest(0, accuracy - 1.96 * sqrt(accuracy * (1 - accuracy) / 500)), 6) AS low, round(least(1, accuracy + 1.96 * sqrt(accuracy * (1 - accuracy) / 500)), 6) AS high FROM log")
+def accuracy_interval(spark, sf_dir):
+    return metrics.accuracy_interval(round_log(spark, sf_dir), 500).select("run_id", "round", "accuracy", r6("low").alias("low"), r6("high").alias("high"))

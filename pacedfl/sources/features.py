@@ -17,9 +17,8 @@ def is_test(key: str, seed: int = 42) -> Column:
     return uniform(seed, "split", key) < TEST_SHARE
 
 
-def letter_rates(text: Column) -> Column:
-    """Share of each letter and of blanks in the text, times ten."""
-    low = F.lower(text)
+def letter_rates(low: Column) -> Column:
+    """Share of each letter and of blanks in a lower-case text, times ten."""
     return F.array(*((F.length(low) - F.length(F.replace(low, F.lit(c), F.lit("")))) * 10.0 / F.greatest(F.length(low), F.lit(1)) for c in LETTERS))
 
 
@@ -27,7 +26,8 @@ def language_samples(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFr
     """Documents by letter rates, labelled with their language."""
     docs = table(spark, sf_dir, "documents").where(F.col("lang").isin(*LANGS) & F.col("text").isNotNull())
     y = F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1
-    return docs.select(F.col("doc_id").alias("sample_id"), letter_rates(F.col("text")).alias("x"), y.alias("y"), is_test("doc_id", seed).alias("is_test"))
+    docs = docs.select("doc_id", F.lower("text").alias("low"), y.alias("y"))
+    return docs.select(F.col("doc_id").alias("sample_id"), letter_rates(F.col("low")).alias("x"), "y", is_test("doc_id", seed).alias("is_test"))
 
 
 def quality_samples(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFrame:
@@ -36,7 +36,8 @@ def quality_samples(spark: SparkSession, sf_dir: str, seed: int = 42) -> DataFra
     docs = table(spark, sf_dir, "documents").where(F.col("text").isNotNull()).join(labels, "doc_id")
     words = F.split(F.col("text"), r"\s+")
     more = F.array(F.log1p(F.length("text").cast("double")) / 5, F.size(F.array_distinct(words)) / F.size(words), F.regexp_count("text", F.lit(r"[0-9]")) * 10.0 / F.greatest(F.length("text"), F.lit(1)), F.lit(1.0))
-    return docs.select(F.col("doc_id").alias("sample_id"), F.concat(letter_rates(F.col("text")), more).alias("x"), F.col("y").cast("int").alias("y"), is_test("doc_id", seed).alias("is_test"))
+    docs = docs.withColumn("low", F.lower("text"))
+    return docs.select(F.col("doc_id").alias("sample_id"), F.concat(letter_rates(F.col("low")), more).alias("x"), F.col("y").cast("int").alias("y"), is_test("doc_id", seed).alias("is_test"))
 
 
 def walsh_signs(first: int, last: int, width: int = 64) -> list[list[int]]:
@@ -63,7 +64,8 @@ def conversation_samples(spark: SparkSession, sf_dir: str, seed: int = 42) -> Da
     roles = F.array(F.lit("assistant"), F.lit("system"), F.lit("user"))
     y = F.array_position(roles, F.col("role")).cast("int") - 1
     key = F.col("conv_id") * 1000 + F.coalesce("turn", F.lit(0))
-    return rows.select(key.alias("sample_id"), "conv_id", letter_rates(F.col("text")).alias("x"), y.alias("y")).where("y >= 0").withColumn("is_test", is_test("sample_id", seed))
+    rows = rows.withColumn("low", F.lower("text"))
+    return rows.select(key.alias("sample_id"), "conv_id", letter_rates(F.col("low")).alias("x"), y.alias("y")).where("y >= 0").withColumn("is_test", is_test("sample_id", seed))
 
 
 def regression_rows(spark: SparkSession, sf_dir: str, n_clients: int = 10) -> DataFrame:
@@ -72,6 +74,13 @@ def regression_rows(spark: SparkSession, sf_dir: str, n_clients: int = 10) -> Da
     return table(spark, sf_dir, "lineitem").select((F.col("l_suppkey") % n_clients).cast("int").alias("client_id"), x.alias("x"), (F.col("l_extendedprice") / 100000).alias("y"))
 
 
+def regression_samples(spark: SparkSession, sf_dir: str, n_clients: int = 10, seed: int = 42) -> DataFrame:
+    """The same rows as samples with a split by hash; the table has no key, so a row's hash stands for one."""
+    rows = table(spark, sf_dir, "lineitem").withColumn("sample_id", F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice"))
+    x = F.array(F.lit(1.0), F.col("l_quantity") / 50, F.col("l_discount") * 10, F.col("l_tax") * 10)
+    return rows.select("sample_id", (F.col("l_suppkey") % n_clients).cast("int").alias("client_id"), x.alias("x"), (F.col("l_extendedprice") / 100000).alias("y"), is_test("sample_id", seed).alias("is_test"))
+
+
 def without_benchmark(spark: SparkSession, sf_dir: str, samples: DataFrame, words: int = 8) -> DataFrame:
     """Samples whose document shares no run of words with a benchmark item (an equi anti-join on runs)."""
 

@@ -63,7 +63,7 @@ def test_run_resumes_from_last_round(spark, samples, tmp_path):
     jvm_path = spark._jvm.org.apache.hadoop.fs.Path
     run_cohort([spec], samples, 10, out_dir=out)
     fs = jvm_path(out).getFileSystem(spark._jsc.hadoopConfiguration())
-    fs.delete(jvm_path(f"{out}/log/round=2"), True)  # as if the last round had broken off
+    fs.delete(jvm_path(f"{out}/state/round=2"), True)  # as if the last round had broken off
     _, again = run_cohort([spec], samples, 10, out_dir=out)
     assert np.allclose(whole["ef_boosted"], again["ef_boosted"], rtol=1e-9)
 
@@ -118,3 +118,25 @@ def test_benchmark_documents_can_be_left_out(spark, small):
     docs, items = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "benchmark"))
     hit = docs.join(items.withColumnRenamed("text", "item"), F.expr("contains(text, item)")).select("doc_id").distinct()
     assert hit.count() > 0 and left.join(hit, left.sample_id == hit.doc_id, "left_semi").count() == 0 and left.count() > 0.8 * s.count()
+
+
+def test_early_stop_sampled_evaluation_and_traced_links(spark, small, samples):
+    from pacedfl.operators import links
+
+    log, _ = run_cohort([method("dense", rounds=6, n_clients=4, beta=0.5, target_accuracy=0.0)], samples, 10)
+    assert log.count() == 1
+    log, _ = run_cohort([method("dense", rounds=1, n_clients=4, beta=0.5, eval_share=0.5)], samples, 10)
+    assert 0 <= log.first().accuracy <= 1
+    log, _ = run_cohort([method("paced", rounds=2, n_clients=4, beta=0.5, link_mode="trace")], samples, 10, trace=links.traced_links(spark, small, 4))
+    assert log.agg(F.countDistinct("t_max")).first()[0] == 2
+
+
+def test_regression_loss_falls(spark, small):
+    rows = {(r.run_id, r["round"]): r.loss for r in experiments.regression(spark, small, 3, ("dense", "boosted")).collect()}
+    assert rows["dense", 2] < rows["dense", 0] and rows["boosted", 2] < rows["boosted", 0]
+
+
+def test_rarer_overlap_at_smaller_ratio(spark):
+    rows = experiments.overlap_distribution(spark, "/root/testdata/sf0.01", "W1", betas=(0.1,)).collect()
+    alone = {r.base_ratio: r.share for r in rows if r.degree == 1}
+    assert alone[0.01] > alone[0.1]
