@@ -26,6 +26,7 @@ LOG = T.StructType([*ROUND_LOG.fields, *(T.StructField(n, T.DoubleType()) for n
 LOG_NAMES = [n for n in LOG.names if n != "round"]
 LOG_KINDS = [pa.int64() if n == "sent_rows" else pa.string() if n == "run_id" else pa.float64() for n in LOG_NAMES]
 KEYS = ("run_id", "client_id")
+BUCKETS = 64  # folders of clients: a round reads only those of its clients
 
 
 def plan_rounds(spark: SparkSession, spec: RunSpec, sizes: DataFrame, n_params: int, links: DataFrame | None = None, trace: DataFrame | None = None) -> DataFrame:
@@ -83,10 +84,11 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 
 
-def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links: DataFrame | None = None, out_dir: str | None = None, partitions: int | None = None, keep_updates: bool = False, trace: DataFrame | None = None) -> tuple[DataFrame, dict[str, np.ndarray]]:
+def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links: DataFrame | None = None, out_dir: str | None = None, partitions: int | None = None, keep_updates: bool = False, spread: int = 1, trace: DataFrame | None = None) -> tuple[DataFrame, dict[str, np.ndarray]]:
     """Run the specs (of one cohort) over samples (sample_id, x, y, is_test); (log, final weights by run).
 
     keep_updates: leave every round's updates in the folder (else they go once the round is written).
+    spread: files of each folder of samples; raise it with the size of the largest client.
     trace: (client_id, day, bandwidth_mbps) for runs whose links follow telemetry, a day a round.
     The driver holds weights and one row per coordinate and run of each step; nothing that grows with samples.
     """
@@ -96,12 +98,15 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
     out_dir = out_dir or new_path(spark, "run")
     samples = samples.select("sample_id", "x", "y", "is_test", *[c for c in samples.columns if c == "client_id"])
     if exists(spark, f"{out_dir}/samples/_SUCCESS"):
-        assigned = spark.read.schema(samples.select("sample_id", "x", "y", "is_test").schema.add("client_id", "integer")).parquet(f"{out_dir}/samples")
+        assigned = spark.read.schema(samples.select("sample_id", "x", "y", "is_test").schema.add("client_id", "integer").add("bucket", "integer")).parquet(f"{out_dir}/samples")
     else:
         train = samples.where("not is_test")
         mode = {"mode": first.partition, "column": "client_id"} if first.partition == "column" else {"mode": first.partition}
         train = assign_clients(train, "y", first.n_clients, first.beta, first.seed, **mode)
-        assigned = written(_union([train.withColumn("is_test", F.lit(False)), samples.where("is_test").withColumn("client_id", F.lit(-1))]), f"{out_dir}/samples", "is_test")
+        both = _union([train.withColumn("is_test", F.lit(False)), samples.where("is_test").withColumn("client_id", F.lit(-1))]).select("sample_id", "x", "y", "is_test", "client_id")
+        both = both.withColumn("bucket", F.pmod("client_id", F.lit(BUCKETS)).cast("int"))
+        # rows of a folder come from `spread` tasks: a client may hold a large part of all rows
+        assigned = written(both.repartition("bucket", F.pmod(F.xxhash64("sample_id"), F.lit(spread))), f"{out_dir}/samples", "is_test", "bucket")
     train, test = assigned.where("not is_test"), assigned.where("is_test")
     n_features = len(assigned.select("x").first().x)
     extra = {"hidden": first.hidden} if first.model == "perceptron" else {}
@@ -111,6 +116,7 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
     sizes = counted if exists(spark, f"{plan}/_SUCCESS") else _fresh(counted, f"{out_dir}/sizes")
     rounds = spark.read.parquet(plan) if exists(spark, f"{plan}/_SUCCESS") else written(_union([plan_rounds(spark, s, sizes, model.n_params, links, trace) for s in specs]), plan)
     account = {(r.run_id, r.round): r for r in rounds.groupBy("run_id", "round").agg(F.max("t_own").alias("t_actual"), F.max("t_dense").alias("t_max"), F.min("t_dense").alias("t_min"), F.sum("weight").alias("coef_sum")).collect()}
+    folders = {r["round"]: r.b for r in rounds.groupBy("round").agg(F.collect_set(F.pmod("client_id", F.lit(BUCKETS))).alias("b")).collect()}
     weights = {s.run_id: model.start(s.seed) for s in specs}
     alike: dict[tuple, list[RunSpec]] = {}
     for s in specs:
@@ -125,7 +131,7 @@ def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links:
     for t in range(begin, first.rounds):
         now = time.time()
         picked = rounds.where(F.col("round") == t)
-        delta = _fresh(local_update(train, picked, weights, model, first.lr, first.epochs, first.batch_size, first.seed, partitions), f"{out_dir}/delta/round={t}")
+        delta = _fresh(local_update(train.where(F.col("bucket").isin(*folders.get(t, ()))), picked, weights, model, first.lr, first.epochs, first.batch_size, first.seed, partitions), f"{out_dir}/delta/round={t}")
         took = {"train_s": time.time() - now}
         now = time.time()
         info = picked.select("run_id", "client_id", "k", "weight")

@@ -68,6 +68,15 @@ def test_run_resumes_from_last_round(spark, samples, tmp_path):
     assert np.allclose(whole["ef_boosted"], again["ef_boosted"], rtol=1e-9)
 
 
+def test_a_round_reads_only_its_clients(spark, samples, tmp_path):
+    out = f"file://{tmp_path}/run"
+    run_cohort([method("dense", rounds=1, n_clients=6, fraction=0.34, beta=5.0)], samples, 10, out_dir=out)
+    rows = spark.read.parquet(f"{out}/samples")
+    plan = rows.where("not is_test").where(F.col("bucket").isin(1, 2))._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [isnotnull" in plan or "bucket" in plan.split("PartitionFilters")[1][:200]
+    assert rows.count() == samples.count() and rows.where("not is_test and client_id <> bucket").count() == 0
+
+
 def test_every_method_runs_in_one_cohort(samples):
     specs = [method(m, rounds=1, beta=0.5, n_clients=4) for m in METHODS]
     log, weights = run_cohort(specs, samples, 10)
