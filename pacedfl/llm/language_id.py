@@ -21,14 +21,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from pacedfl.llm.common import WORD_CACHE, slices, texts
+from pacedfl.llm.common import WORD_CACHE, checkpointed, slices, texts
 
 WORD = re.compile(r"[^\W\d_]+")
 WORDS_PER_LANGUAGE = 10_000
 MAX_LANGUAGES = 256
 MAX_GRAM = 4
 SAMPLE_ROWS = 20_000
-SALTS = 64
 UNKNOWN = "und"
 
 
@@ -95,22 +94,26 @@ def count_words(docs: DataFrame, lang_col: str, text_col: str) -> DataFrame:
 
 def fit_language_model(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", words_per_language: int = WORDS_PER_LANGUAGE, max_languages: int = MAX_LANGUAGES) -> LanguageModel:
     """Fit on all the rows given that have a language. The table that reaches the driver has at most
-    words_per_language rows for each of at most max_languages languages (the most frequent ones)."""
+    words_per_language rows for each of at most max_languages languages (those with the most words): the most
+    frequent words, those of equal count all or none."""
     counts = count_words(docs.where(F.col(lang_col).isNotNull()), lang_col, text_col)
-    near = Window.partitionBy("lang", F.pmod(F.xxhash64("word"), F.lit(SALTS))).orderBy(F.desc("n"), "word")
-    whole = Window.partitionBy("lang").orderBy(F.desc("n"), "word")
-    top = counts.withColumn("r", F.row_number().over(near)).where(F.col("r") <= words_per_language).withColumn("r", F.row_number().over(whole)).where(F.col("r") <= words_per_language)
-    rows = top.select("lang", "word", "n").toPandas() if max_languages else None
-    if rows is None or not len(rows):
+    counts = checkpointed(counts)
+    # words of a count stay or go together: the lowest count that fits is found on counts of counts
+    steps = counts.groupBy("lang", "n").agg(F.count("*").alias("words")).withColumn("so_far", F.sum("words").over(Window.partitionBy("lang").orderBy(F.desc("n"))))
+    fits = steps.groupBy("lang").agg(F.min(F.when(F.col("so_far") <= words_per_language, F.col("n"))).alias("least"), F.max("n").alias("most"), F.max_by("words", "n").alias("tied"), F.sum(F.col("n") * F.col("words")).alias("mass"))
+    fits = fits.orderBy(F.desc("mass"), "lang").limit(max_languages)
+    # where even the highest count has too many words, a hash picks among them
+    picked = F.pmod(F.xxhash64("word"), F.ceil(2 * F.col("tied") / words_per_language)) == 0
+    top = counts.join(F.broadcast(fits), "lang").where((F.col("n") >= F.col("least")) | (F.col("least").isNull() & (F.col("n") == F.col("most")) & picked))
+    rows = top.select("lang", "word", "n").toPandas()
+    if not len(rows):
         return LanguageModel([], {}, {}, np.zeros(0))
-    kept = rows.groupby("lang")["n"].sum().sort_values(ascending=False, kind="stable").index[:max_languages]
-    langs = sorted(kept)
+    langs = sorted(set(rows["lang"]))
     at = {x: i for i, x in enumerate(langs)}
     words: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
     grams: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
     for lang, word, n in rows.itertuples(index=False):
-        if (i := at.get(lang)) is None:
-            continue
+        i = at[lang]
         words[word][i] += n
         framed = f"<{word[:64]}>"
         for size in range(1, MAX_GRAM + 1):

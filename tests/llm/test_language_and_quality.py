@@ -33,6 +33,14 @@ def test_language_edges(spark):
     assert lang.identify_documents(docs.limit(0)).count() == 0
 
 
+def test_language_model_is_bounded(spark):
+    rows = [("a", " ".join(f"{chr(97 + i % 26)}{chr(97 + i // 26 % 26)}{chr(97 + i // 676)}" for i in range(400))), ("b", "uno dos tres " * 5 + "cuatro")]
+    docs = spark.createDataFrame(rows, "lang string, text string")
+    model = lang.fit_language_model(docs, words_per_language=20)
+    assert model.langs == ["a", "b"] and 4 < len(model.word_at) <= 60 and {"uno", "dos", "tres", "cuatro"} <= model.word_at.keys()
+    assert lang.fit_language_model(docs, max_languages=1).langs == ["a"]
+
+
 def test_language_never_reads_lang_of_predicted_rows(spark):
     rows = [(i, "the cat and the dog" if i % 2 else "der hund und die katze", "en" if i % 2 else "de") for i in range(60)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
