@@ -82,15 +82,16 @@ class ByteBpe:
         self.vocab = [b""] * (max(ranks.values()) + 1)
         for t, r in ranks.items():
             self.vocab[r] = t
+        self.alone = [r.to_bytes(4, "little") for r in range(len(self.vocab))]
         self.known: dict[str, bytes] = {}
 
-    def encode_pieces(self, pieces: list[bytes]) -> list[np.ndarray]:
-        """Ids of each pre-token."""
-        out: list[np.ndarray] = [np.empty(0, np.int32)] * len(pieces)
+    def encode_pieces(self, pieces: list[bytes]) -> list[bytes]:
+        """Ids of each pre-token, as little-endian unsigned 32-bit integers."""
+        out = [b""] * len(pieces)
         buckets: dict[int, list[int]] = {}
         for i, p in enumerate(pieces):
             if (whole := self.ranks.get(p)) is not None:
-                out[i] = np.array([whole], np.int32)
+                out[i] = self.alone[whole]
             elif len(p) > LONG_PIECE:
                 out[i] = self._long(p)
             elif p:
@@ -103,20 +104,26 @@ class ByteBpe:
                     out[i] = ids
         return out
 
-    def _matrix(self, pieces: list[bytes], width: int) -> list[np.ndarray]:
+    def _matrix(self, pieces: list[bytes], width: int) -> list[bytes]:
         n = len(pieces)
         size = np.fromiter(map(len, pieces), np.int64, n)
         ids = np.full((n, width), -1, np.int32)
         ids[np.arange(width) < size[:, None]] = self.byte_id[np.frombuffer(b"".join(pieces), np.uint8)]
-        done: list[np.ndarray] = [None] * n  # type: ignore[list-item]
+        done = [b""] * n
+
+        def leave(which: np.ndarray) -> None:
+            flat, step = ids[which].astype("<u4").tobytes(), 4 * ids.shape[1]
+            for k, (r, m) in enumerate(zip(row[which].tolist(), size[row[which]].tolist(), strict=True)):
+                done[r] = flat[k * step : k * step + 4 * m]
+
         row = np.arange(n)
         rank = self.pairs.ranks_of(ids[:, :-1], ids[:, 1:]) if width > 1 else np.full((n, 0), NONE)
         while len(row):
             best = rank.argmin(axis=1) if rank.shape[1] else np.zeros(len(row), np.int64)
             low = rank[np.arange(len(row)), best] if rank.shape[1] else np.full(len(row), NONE)
             stays = low != NONE
-            for k in np.flatnonzero(~stays):
-                done[row[k]] = ids[k, : size[row[k]]].copy()
+            if not stays.all():
+                leave(np.flatnonzero(~stays))
             ids, rank, row, best, low = ids[stays], rank[stays], row[stays], best[stays], low[stays]
             if not len(row):
                 break
@@ -128,8 +135,7 @@ class ByteBpe:
             ids[at, best] = low
             ids = ids[:, : max(1, int(size[row].max()))]
             if ids.shape[1] == 1:
-                for k, r in enumerate(row):
-                    done[r] = ids[k].copy()
+                leave(np.arange(len(row)))
                 break
             rank = np.where(moved, rank[:, np.minimum(column + 1, rank.shape[1] - 1)], rank)[:, : ids.shape[1] - 1]
             for side in (best - 1, best):
@@ -138,7 +144,7 @@ class ByteBpe:
             rank[np.arange(rank.shape[1])[None, :] >= (size[row] - 1)[:, None]] = NONE
         return done
 
-    def _long(self, piece: bytes) -> np.ndarray:
+    def _long(self, piece: bytes) -> bytes:
         token = [self.vocab[self.byte_id[b]] for b in piece]
         n = len(token)
         before, after, heap = list(range(-1, n - 1)), list(range(1, n + 1)), []
@@ -158,7 +164,7 @@ class ByteBpe:
             for x in (before[i], i):
                 if x >= 0 and after[x] < n and (r := self.ranks.get(token[x] + token[after[x]])) is not None:
                     heapq.heappush(heap, (r, x, token[x], token[after[x]]))
-        return np.array([self.ranks[t] for t in token if t is not None], np.int32)
+        return b"".join(self.alone[self.ranks[t]] for t in token if t is not None)
 
     def encode_batch(self, batch: list[str]) -> list[bytes]:
         """Of each text, its ids as little-endian unsigned 32-bit integers."""
@@ -167,8 +173,7 @@ class ByteBpe:
         if len(self.known) + len(new) > PIECE_CACHE:
             self.known.clear()
             new = list({p for pieces in split for p in pieces})
-        for p, ids in zip(new, self.encode_pieces([p.encode() for p in new]), strict=True):
-            self.known[p] = ids.astype("<u4").tobytes()
+        self.known.update(zip(new, self.encode_pieces([p.encode() for p in new]), strict=True))
         get = self.known.__getitem__
         return [b"".join(map(get, pieces)) for pieces in split]
 
