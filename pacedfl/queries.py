@@ -697,7 +697,7 @@ def round_sql_regression(spark, sf_dir):
 
 
 def _training(name: str):
-    @query(name=f"train_{name}")
+    @query(name=f"train_{name}" if name != "ef_topk" else "train_ef")
     def run(spark, sf_dir):
         """Three rounds on the language of documents."""
         spec = method(name, rounds=3, beta=0.5)

@@ -73,7 +73,7 @@ def test_a_round_reads_only_its_clients(spark, samples, tmp_path):
     run_cohort([method("dense", rounds=1, n_clients=6, fraction=0.34, beta=5.0)], samples, 10, out_dir=out)
     rows = spark.read.parquet(f"{out}/samples")
     plan = rows.where("not is_test").where(F.col("bucket").isin(1, 2))._jdf.queryExecution().executedPlan().toString()
-    assert "PartitionFilters: [isnotnull" in plan or "bucket" in plan.split("PartitionFilters")[1][:200]
+    assert "bucket" in plan.split("PartitionFilters")[1].split("]")[0]
     assert rows.count() == samples.count() and rows.where("not is_test and client_id <> bucket").count() == 0
 
 
