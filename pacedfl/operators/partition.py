@@ -8,6 +8,9 @@ from pyspark.sql import Column, DataFrame, Window, functions as F
 from pacedfl.functions.portable import uniform
 
 
+STRETCHES = 256
+
+
 def dirichlet_shares(classes: list, n_clients: int, beta: float, seed: int = 42) -> dict:
     """class -> each client's share of it, from a symmetric Dirichlet; low beta is severe skew."""
     rng = np.random.default_rng(seed)
@@ -35,7 +38,7 @@ def assign_clients(samples: DataFrame, label: str = "y", n_clients: int = 10, be
     """samples with client_id.
 
     quota: positions in each class's hash order, so that shares are met within one sample (one shuffle by
-    class). hashed: each sample's own hash as position, no shuffle. iid: hash modulo clients. column: as given.
+    class and stretch of the hash). hashed: each sample's own hash as position, no shuffle. iid: hash modulo clients. column: as given.
     shares: class -> shares; by default drawn for the classes found in the data (one small aggregate).
     """
     if mode == "iid":
@@ -50,10 +53,16 @@ def assign_clients(samples: DataFrame, label: str = "y", n_clients: int = 10, be
     if mode == "hashed":
         return samples.withColumn("client_id", _locate(F.col(label), u, cum))
     if mode == "quota":
-        order = Window.partitionBy(label).orderBy("__u", key)
-        rows = samples.withColumn("__u", u)
-        position = (F.row_number().over(order) - 0.5) / F.count("*").over(Window.partitionBy(label))
-        return rows.withColumn("client_id", _locate(F.col(label), position, cum)).drop("__u")
+        # a class may hold a large part of all rows: rank within stretches of the hash, and add what lies below.
+        # The counts have a row per class and stretch; classes are a parameter's size (shares has one entry each).
+        rows = samples.withColumn("__u", u).withColumn("__b", F.floor(F.col("__u") * STRETCHES).cast("int"))
+        below = Window.partitionBy("__c").orderBy("__b").rowsBetween(Window.unboundedPreceding, -1)
+        counts = rows.where(F.col(label).isin(list(cum))).groupBy(F.col(label).alias("__c"), "__b").agg(F.count("*").alias("__n"))
+        counts = counts.select("__c", F.col("__b").alias("__s"), F.coalesce(F.sum("__n").over(below), F.lit(0)).alias("__below"), F.sum("__n").over(Window.partitionBy("__c")).alias("__all"))
+        order = Window.partitionBy(label, "__b").orderBy("__u", key)
+        rows = rows.withColumn("__r", F.row_number().over(order)).join(F.broadcast(counts), (F.col(label) == F.col("__c")) & (F.col("__b") == F.col("__s")), "left")
+        position = (F.col("__below") + F.col("__r") - 0.5) / F.col("__all")
+        return rows.withColumn("client_id", _locate(F.col(label), position, cum)).drop("__u", "__b", "__r", "__c", "__s", "__below", "__all")
     raise ValueError(mode)
 
 
