@@ -114,3 +114,18 @@ def test_one_of_each_group(spark, small):
     got = {r.doc_id for r in kept.collect()}
     assert got >= set(want.values()) and len(got) <= len(set(want.values())) + 1
     assert wide.one_of_each_group(docs.limit(0)).count() == 0
+
+
+def similar(spark, docs, **more):
+    return {r.doc_id: r.component_id for r in wide.similar_components(spark.createDataFrame(list(docs.items()), "doc_id long, text string"), **more).collect()}
+
+
+@pytest.mark.parametrize("short, long, shared", [(8, 9, 8), (12, 15, 12), (13, 14, 12), (16, 19, 16), (5, 5, 5)])
+def test_short_texts_at_the_threshold(spark, short, long, shared):
+    """Pairs of a few words that are just similar enough: no fingerprint may drop them."""
+    docs = {}
+    for k in range(200):
+        head = [f"{k}w{i}" for i in range(shared)]
+        docs[2 * k] = " ".join(head + [f"{k}x{i}" for i in range(short - shared)])
+        docs[2 * k + 1] = " ".join(head + [f"{k}y{i}" for i in range(long - shared)])
+    assert similar(spark, docs) == exact_components(docs)
