@@ -129,3 +129,21 @@ def test_short_texts_at_the_threshold(spark, short, long, shared):
         docs[2 * k] = " ".join(head + [f"{k}x{i}" for i in range(short - shared)])
         docs[2 * k + 1] = " ".join(head + [f"{k}y{i}" for i in range(long - shared)])
     assert similar(spark, docs) == exact_components(docs)
+
+
+def graded_copies():
+    """A text under more and more edits: many copies are near the threshold to many others."""
+    rng = np.random.default_rng(6)
+    base, docs = [f"b{i}" for i in range(120)], {}
+    for n in range(600):
+        copy = list(base)
+        for _ in range(rng.integers(0, 12)):
+            copy[rng.integers(len(copy))] = f"e{rng.integers(10**6)}"
+        docs[n] = " ".join(copy)
+    return docs
+
+
+def test_graded_copies(spark):
+    """A copy whose nearest neighbour by fingerprint is not similar enough is linked by another one."""
+    docs = graded_copies()
+    assert similar(spark, docs) == exact_components(docs)
