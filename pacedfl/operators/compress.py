@@ -16,8 +16,8 @@ KEYS = ("client_id",)
 def topk(delta: DataFrame, keys: tuple[str, ...] = KEYS, k: str = "k", k_max: int | None = None, scope: str | None = None, coord: str = "param_idx") -> DataFrame:
     """The k entries of largest magnitude of each update (of each layer of it with scope=column); adds rank.
 
-    k_max: a literal bound on k. With it Spark cuts every partition before the exchange (where the session's
-    window group limit allows a bound that large); k alone, being a column, does not.
+    k_max: a literal that no k exceeds; rows past it are dropped. With it Spark cuts every partition before the
+    exchange (where the session's window group limit allows a bound that large); k alone, being a column, does not.
     """
     group = [*keys, *([scope] if scope else [])]
     w = Window.partitionBy(*group).orderBy(F.abs("delta").desc(), coord)

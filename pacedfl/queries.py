@@ -22,7 +22,7 @@ from pacedfl.sources.tables import new_path, table
 from pacedfl.streaming import residual_state, telemetry
 
 N, FRACTION, ROUNDS, SEED, V, RATIO, ALPHA, GAMMA = 10, 0.5, 10, 42, 357.0, 0.1, 0.3, 5.0
-TAU, BITS, K_MAX = 5.0, 8, 100_000
+TAU, BITS = 5.0, 8
 ACCURACY_TAU = {"dense": 4.0, "topk": 9.0, "ef_topk": 8.0, "paced": 6.0, "boosted": 5.0, "slow": 40.0}
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -112,14 +112,21 @@ def base_k(spark: SparkSession, sf_dir: str, ratio: float = RATIO):
     return schedule.kept_count(F.lit(ratio), updates.n_params(spark, sf_dir))
 
 
+def base_bound(spark: SparkSession, sf_dir: str, ratio: float = RATIO) -> int:
+    """A literal that no k of this ratio of the parts, or of some of them, exceeds."""
+    return int(ratio * updates.n_params(spark, sf_dir)) + 1
+
+
 def kept(spark: SparkSession, sf_dir: str, how: str = "topk", ratio: float = RATIO) -> DataFrame:
     """Updates of round 0's clients after uniform or paced top-k."""
     u = updates.update_lineitem(spark, sf_dir, N)
     if how == "topk":
         s = first_round(spark, sf_dir).select("client_id", base_k(spark, sf_dir, ratio).alias("k"))
+        bound = base_bound(spark, sf_dir, ratio)
     else:
         s = schedule.paced_ratios(selected(spark, sf_dir), ratio, updates.n_params(spark, sf_dir), V).where("round = 0").select("client_id", "k")
-    return compress.topk(u.join(F.broadcast(s), "client_id"), k_max=K_MAX)
+        bound = base_bound(spark, sf_dir, 1.0)
+    return compress.topk(u.join(F.broadcast(s), "client_id"), k_max=bound)
 
 
 # --- links and times ---------------------------------------------------------------------------------------
@@ -362,7 +369,7 @@ TOPK_SQL = f"SELECT client_id, param_idx, delta FROM ranked, p WHERE rank <= {k_
 
 @query(TOPK_SQL.replace("delta FROM", "delta, rank::INT AS rank FROM"))
 def topk_global(spark, sf_dir):
-    return compress.topk(_with_k(spark, sf_dir), k_max=K_MAX).select("client_id", "param_idx", "delta", "rank")
+    return compress.topk(_with_k(spark, sf_dir), k_max=base_bound(spark, sf_dir)).select("client_id", "param_idx", "delta", "rank")
 
 
 @query(f"""SELECT client_id, param_idx, layer, delta, rank::INT AS rank FROM (SELECT u.*, p_brand AS layer, row_number() OVER (PARTITION BY client_id, p_brand ORDER BY abs(delta) DESC, param_idx) AS rank FROM u1 u JOIN part ON p_partkey = param_idx WHERE delta <> 0) r
@@ -371,7 +378,7 @@ def topk_layer(spark, sf_dir):
     layers = updates.layers(spark, sf_dir)
     size = layers.groupBy("layer").agg(F.count("*").alias("n"))
     rows = updates.update_lineitem(spark, sf_dir, N).join(layers, "param_idx").join(F.broadcast(size), "layer").withColumn("k", schedule.kept_count(F.lit(RATIO), F.col("n")))
-    return compress.topk(rows, scope="layer", k_max=K_MAX).select("client_id", "param_idx", "layer", "delta", "rank")
+    return compress.topk(rows, scope="layer", k_max=base_bound(spark, sf_dir)).select("client_id", "param_idx", "layer", "delta", "rank")
 
 
 @query("SELECT client_id, param_idx, delta, rank::INT AS rank FROM kept_paced")

@@ -61,3 +61,18 @@ def test_nested_loops_meet_only_tiny_tables(spark, small):
     for name in q.ORACLE:
         text = tree(q.QUERIES[name](spark, small))
         assert text.count("BroadcastNestedLoopJoin") <= text.count("BroadcastExchange"), name
+
+
+def test_no_literal_cuts_an_update_of_many_parts(spark, small, tmp_path):
+    """A tenth of 1,100,000 parts is more than the 100,000 rows that a group limit may have."""
+    n, cut = 1_100_000, 110_000
+    sf, parts = str(tmp_path), spark.range(1, n + 1)
+    client = q.first_round(spark, small).orderBy(F.desc("k")).first().client_id
+    parts.select(F.col("id").alias("p_partkey"), F.lit("b").alias("p_brand")).write.parquet(f"{sf}/part.parquet")
+    lines = parts.select(F.lit(client).cast("long").alias("l_suppkey"), F.col("id").alias("l_partkey"), F.lit(1.0).alias("l_quantity"), F.lit(0.06).alias("l_discount"))
+    lines.withColumn("l_shipdate", F.lit("1995-01-01").cast("timestamp_ntz")).write.parquet(f"{sf}/lineitem.parquet")
+    spark.read.parquet(f"{small}/supplier.parquet").write.parquet(f"{sf}/supplier.parquet")
+    assert q.QUERIES["topk_global"](spark, sf).count() == cut
+    assert q.QUERIES["topk_layer"](spark, sf).count() == cut
+    paced = q.first_round(spark, sf).where(F.col("client_id") == client).first().k
+    assert paced >= cut and q.kept(spark, sf).count() == cut and q.kept(spark, sf, "paced").count() == paced
