@@ -1,7 +1,8 @@
 """Language identification by words first, backing off to shorter and shorter character n-grams.
 
 A word that the model knows is scored by its log frequency in each language. An unseen word is scored
-by the longest known character n-grams that cover it, shortest last. The model is a bounded table: the
+by the longest known character n-grams that cover it, shortest last, over its whole length: a run of letters
+without blanks is one word, however long. The model is a bounded table: the
 most frequent WORDS_PER_LANGUAGE words of each language, counted over a bounded sample of SAMPLE_ROWS training
 rows picked by a hash of their identifier.
 
@@ -28,6 +29,7 @@ WORDS_PER_LANGUAGE = 10_000
 MAX_LANGUAGES = 256
 MAX_GRAM = 4
 SAMPLE_ROWS = 20_000
+CHUNK = 1 << 14  # n-grams of a long word that are scored at a time
 UNKNOWN = "und"
 
 
@@ -47,7 +49,7 @@ class LanguageModel:
 
     def pieces(self, word: str) -> list[int]:
         """The n-grams that cover an unseen word, the longest known one at each place."""
-        framed, at, found, get = f"<{word[:64]}>", 0, [], self.gram_at.get
+        framed, at, found, get = f"<{word}>", 0, [], self.gram_at.get
         while at < len(framed):
             for n in range(MAX_GRAM, 0, -1):
                 if (g := get(framed[at : at + n])) is not None:
@@ -64,6 +66,12 @@ class LanguageModel:
         new = np.flatnonzero(known < 0)
         if len(new):
             covers = [self.pieces(words[i]) for i in new]
+            for i, c in zip(new, covers, strict=True):
+                if len(c) > CHUNK:
+                    out[i] = sum(self.gram_table[c[a : a + CHUNK]].sum(axis=0, dtype=np.float64) for a in range(0, len(c), CHUNK)) / len(c)
+            some = [k for k, c in enumerate(covers) if len(c) <= CHUNK]
+            new, covers = new[some], [covers[k] for k in some]
+        if len(new):
             size = np.fromiter(map(len, covers), np.int64, len(covers))
             flat = np.fromiter((g for c in covers for g in c), np.int64, int(size.sum()))
             out[new] = np.add.reduceat(self.gram_table[flat], np.cumsum(size) - size, axis=0) / size[:, None]
@@ -115,7 +123,7 @@ def fit_language_model(docs: DataFrame, lang_col: str = "lang", text_col: str =
     for lang, word, n in rows.itertuples(index=False):
         i = at[lang]
         words[word][i] += n
-        framed = f"<{word[:64]}>"
+        framed = f"<{word}>"
         for size in range(1, MAX_GRAM + 1):
             for k in range(len(framed) - size + 1):
                 grams[framed[k : k + size]][i] += n

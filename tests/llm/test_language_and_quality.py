@@ -93,3 +93,15 @@ def test_features_same_with_live_buckets(text):
 
 def test_query_covers_the_table(spark, small):
     assert op10_quality(spark, small).count() == spark.read.parquet(f"{small}/documents.parquet").count()
+
+
+def test_language_reads_whole_runs_of_letters(spark):
+    """Text without blanks is one word: all of it counts, in the fit and in the prediction."""
+    base = [(i, "the cat and the dog with this thing" if i % 2 else "der hund und die katze nicht auch", "en" if i % 2 else "de") for i in range(40)]
+    run = "thecatandthedogwiththisthing" * 3 + "derhundunddiekatzenichtauch" * 5000
+    rows = lang.identify_documents(spark.createDataFrame([*base, (100, run, None), (101, run[:64], None)], "doc_id long, text string, lang string")).collect()
+    assert {r.doc_id: r.lang_pred for r in rows if r.doc_id > 99} == {100: "de", 101: "en"}
+    head = "x" * 80
+    model = lang.fit_language_model(spark.createDataFrame([("a", head + "bcbcd" * 30), ("b", head + "fgfgh" * 30)], "lang string, text string"))
+    scores = model.of_words(["fgfghfgf", "bcbcdbcb"])
+    assert scores[0, 1] > scores[0, 0] and scores[1, 0] > scores[1, 1]
