@@ -9,8 +9,9 @@ before hashing; that loses nothing, as they could not pass the check.
 
 Edge cases: items without words are never found, and null texts hold nothing; items shorter than a shingle
 match where the same words follow each other; a text shorter than the item is one window; equal items are
-all reported. The benchmark is broadcast in slices of at most SLICE_ITEMS items and SLICE_TEXT bytes; a larger
-benchmark is handled slice after slice.
+all reported; items without identifier are looked for like any other and reported with a null one. The
+benchmark is broadcast in slices of at most SLICE_ITEMS items and SLICE_TEXT bytes; a larger benchmark is
+handled slice after slice.
 """
 
 from __future__ import annotations
@@ -88,12 +89,12 @@ class MultiIndex:
 class BenchmarkIndex:
     """A slice of benchmark items, ready to be looked for in texts."""
 
-    def __init__(self, items: list[tuple[int, str]], threshold: float = SIMILARITY):
+    def __init__(self, items: list[tuple[int | None, str]], threshold: float = SIMILARITY):
         cache = WordHash()
         self.threshold = threshold
         hashed = [(i, cache.of(words_of(t or ""))) for i, t in items]
-        hashed = sorted(((i, h) for i, h in hashed if len(h)), key=lambda x: (len(x[1]), x[0]))
-        self.ids = np.array([i for i, _ in hashed], np.int64)
+        hashed = sorted(((i, h) for i, h in hashed if len(h)), key=lambda x: (len(x[1]), x[0] is None, x[0] or 0))
+        self.ids = np.array([i for i, _ in hashed], object)
         self.sizes = [len(h) for _, h in hashed]
         self.shingles = [shingles_of(h) for _, h in hashed]
         self.index: dict[int, tuple[int, MultiIndex]] = {}
@@ -115,7 +116,7 @@ class BenchmarkIndex:
         good = self.keys[place] == shingles[at] if len(self.keys) else np.zeros(len(at), bool)
         return at[good], place[good]
 
-    def find(self, h: np.ndarray) -> list[tuple[int, float, int, int, int]]:
+    def find(self, h: np.ndarray) -> list[tuple[int | None, float, int, int, int]]:
         """Of word hashes of a text: (item id, similarity, first word, words, distance), best window of each item."""
         best: dict[int, tuple[float, int, int, int]] = {}
         if not len(h) or not len(self.ids):
@@ -125,7 +126,7 @@ class BenchmarkIndex:
                 self._look(window_hashes(h, _WHOLE[:size]), len(h), size, best)
         if len(h) >= SHINGLE:
             self._look(shingles_of(h), len(h), None, best)
-        return [(int(self.ids[k]), s, a, n, d) for k, (s, a, n, d) in sorted(best.items())]
+        return [(self.ids[k], s, a, n, d) for k, (s, a, n, d) in sorted(best.items())]
 
     def _look(self, shingles: np.ndarray, n_words: int, short: int | None, best: dict) -> None:
         at, place = self._known(shingles)
@@ -158,14 +159,14 @@ class BenchmarkIndex:
 
 def benchmark_slices(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", max_items: int = SLICE_ITEMS, max_bytes: int = SLICE_TEXT) -> Iterator[BenchmarkIndex]:
     """The benchmark as indexes of bounded size; its size is checked before anything is gathered."""
-    rows = benchmark.select(F.col(id_col).cast("bigint").alias("item"), F.col(text_col).alias("text")).where(F.col(id_col).isNotNull() & F.col(text_col).isNotNull())
+    rows = benchmark.select(F.col(id_col).cast("bigint").alias("item"), F.col(text_col).alias("text")).where(F.col(text_col).isNotNull())
     n, size = rows.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
     parts = max(1, -(-n // max_items), -(-size // max_bytes))
     if parts == 1:
         yield BenchmarkIndex([(r.item, r.text) for r in rows.collect()])
         return
     for k in range(2 * parts):  # by hash: about half a slice each
-        yield BenchmarkIndex([(r.item, r.text) for r in rows.where(F.pmod(F.xxhash64("item"), F.lit(2 * parts)) == k).toLocalIterator()])
+        yield BenchmarkIndex([(r.item, r.text) for r in rows.where(F.pmod(F.xxhash64("item", "text"), F.lit(2 * parts)) == k).toLocalIterator()])
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -84,3 +84,11 @@ def test_whole_items_are_found_in_the_given_table(spark, small):
     docs, items = (spark.read.parquet(f"{small}/{t}.parquet").collect() for t in ("documents", "benchmark"))
     want = {(x.doc_id, i.item_id) for x in docs for i in items if i.text in x.text}
     assert want and want <= got
+
+
+def test_items_without_identifier_are_looked_for(spark):
+    docs = spark.createDataFrame([(1, "some words and then a passage of the benchmark that leaks here"), (2, "nothing of that kind")], "doc_id long, text string")
+    items = spark.createDataFrame([(None, "a passage of the benchmark that leaks"), (None, "nothing of"), (None, None), (7, "not in any text")], "item_id long, text string")
+    assert sorted((r.doc_id, r.item_id) for r in d.find_leaks(docs, items).collect()) == [(1, None), (2, None)]
+    assert d.without_leaks(docs, items).count() == 0
+    assert sum(len(p.ids) for p in d.benchmark_slices(items, max_items=1)) == 3
