@@ -147,3 +147,9 @@ def test_graded_copies(spark):
     """A copy whose nearest neighbour by fingerprint is not similar enough is linked by another one."""
     docs = graded_copies()
     assert similar(spark, docs) == exact_components(docs)
+
+
+def test_crowded_bands_lose_no_pair(spark):
+    """A crowded band is dealt in blocks that all meet: the result is that of whole bands."""
+    docs = dict(list(graded_copies().items())[:200])
+    assert similar(spark, docs, hot=20) == similar(spark, docs) == exact_components(docs)
