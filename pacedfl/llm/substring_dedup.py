@@ -38,7 +38,7 @@ import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, functions as F
 
-from pacedfl.llm.common import WordHash, checkpointed, multipliers, new_path, raw, slices, window_hashes, written
+from pacedfl.llm.common import WordHash, checkpointed, mix, multipliers, new_path, raw, slices, window_hashes, written
 
 WINDOW = 13
 GRAM = 9  # words of the grams that the sieve looks at
@@ -51,6 +51,7 @@ OWN = np.dtype([("at", "<i4"), ("through", "u1")])
 LINK = np.dtype([("at", "<i4"), ("slice", "<i8"), ("to", "<i4")])
 PIECE = np.dtype([("at", "<i4"), ("size", "<i4"), ("from", "<i4")])
 SPAN, SEGMENT = 0, 1
+_WORD = np.uint64((1 << 48) - 1)  # of a neighbour's hash: a node may have a new neighbour in every document
 
 
 def _runs(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -184,23 +185,31 @@ def _pieces(at: np.ndarray, source: np.ndarray) -> bytes:
     return out.tobytes()
 
 
+def _low(x: np.ndarray, n: int) -> bytes:
+    """The low n bytes of each number."""
+    return np.ascontiguousarray(x.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :n]).tobytes()
+
+
+def _wide(b: bytes, at: int, count: int, n: int) -> np.ndarray:
+    out = np.zeros((count, 8), np.uint8)
+    out[:, :n] = np.frombuffer(b, np.uint8, n * count, at).reshape(count, n)
+    return out.view("<u8").ravel()
+
+
 def _pack(node: np.ndarray, after: np.ndarray, before: np.ndarray, flags: np.ndarray, at: np.ndarray, doc: np.ndarray) -> bytes:
-    """Nodes of one bin and slice: 7 bytes of hash (the bin implies the rest), 3 of each neighbour word, place, document."""
+    """Nodes of one bin and slice: 7 bytes of hash (the bin implies the rest), 6 of each neighbour word, flags, place and
+    document."""
     base = int(doc.min())
     wide = 4 if int(doc.max()) - base < 1 << 32 else 8
-    low = np.ascontiguousarray(node.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :7])
-    return b"".join((np.array([len(node), wide, base], "<i8").tobytes(), low.tobytes(), (after << np.uint32(8) | flags).astype("<u4").tobytes(), np.ascontiguousarray(before.astype("<u4").view(np.uint8).reshape(-1, 4)[:, :3]).tobytes(), at.astype("<i4").tobytes(), (doc - base).astype(f"<u{wide}").tobytes()))
+    return b"".join((np.array([len(node), wide, base], "<i8").tobytes(), _low(node, 7), _low(after, 6), _low(before, 6), flags.astype(np.uint8).tobytes(), at.astype("<i4").tobytes(), (doc - base).astype(f"<u{wide}").tobytes()))
 
 
 def _unpack(b: bytes) -> tuple[np.ndarray, ...]:
     """(node, after, before, flags, at, doc)."""
     n, wide, base = np.frombuffer(b, "<i8", 3).tolist()
-    node, before = np.zeros((n, 8), np.uint8), np.zeros((n, 4), np.uint8)
-    node[:, :7] = np.frombuffer(b, np.uint8, 7 * n, 24).reshape(n, 7)
-    after = np.frombuffer(b, "<u4", n, 24 + 7 * n)
-    before[:, :3] = np.frombuffer(b, np.uint8, 3 * n, 24 + 11 * n).reshape(n, 3)
-    doc = np.frombuffer(b, f"<u{wide}", n, 24 + 18 * n).astype(np.int64) + base
-    return node.view("<u8").ravel(), after >> np.uint32(8), before.view("<u4").ravel(), (after & np.uint32(255)).astype(np.uint8), np.frombuffer(b, "<i4", n, 24 + 14 * n), doc
+    o = 24 + n * np.cumsum([0, 7, 6, 6, 1, 4])
+    doc = np.frombuffer(b, f"<u{wide}", n, o[5]).astype(np.int64) + base
+    return _wide(b, o[0], n, 7), _wide(b, o[1], n, 6), _wide(b, o[2], n, 6), np.frombuffer(b, np.uint8, n, o[3]), np.frombuffer(b, "<i4", n, o[4]), doc
 
 
 def _nodes_of(s: Slice, candidates: np.ndarray) -> tuple[tuple[np.ndarray, ...], bytes]:
@@ -219,8 +228,8 @@ def _nodes_of(s: Slice, candidates: np.ndarray) -> tuple[tuple[np.ndarray, ...],
     q = np.flatnonzero(keep | follows)
     has_next, has_prev = keep[q], follows[q]
     flags = has_next * HAS_NEXT + has_prev * HAS_PREV + (has_next & many[q]) * MANY_NEXT + (has_prev & many[q - 1]) * MANY_PREV
-    word = lambda k: (s.hash[np.clip(k, 0, s.total - 1)] & np.uint64(0xFFFFFF)).astype(np.uint32)
-    sent = (node[q], word(q + WINDOW - 1), word(q - 1), flags.astype(np.uint32), q, s.doc[q])
+    word = lambda k: s.hash[np.clip(k, 0, s.total - 1)] & _WORD
+    sent = (node[q], word(q + WINDOW - 1), word(q - 1), flags, q, s.doc[q])
     by = np.argsort(here[later], kind="stable")
     return sent, _pieces(here[later][by], lead[later][by])
 
@@ -272,6 +281,10 @@ def graph_answers(packed: DataFrame, found: DataFrame, bits: int) -> DataFrame:
 # ---- 3. edges, degrees, sources
 
 
+def _edge_keys(node: np.ndarray, word: np.ndarray) -> np.ndarray:
+    return mix(node.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + mix(word * np.uint64(0xD6E8FEB86659FD93)))
+
+
 def _edges_at(key: np.ndarray, doc: np.ndarray, many: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Of occurrences in order of coordinates: (order by edge, starts, sizes, repeated) of the distinct edges."""
     order = np.argsort(key, kind="stable")
@@ -286,13 +299,12 @@ def _bin_answers(names, node, after, before, flags, at, doc) -> list[tuple]:
     order = np.lexsort((at, names, doc))
     names, node, after, before, flags, at, doc = (x[order] for x in (names, node, after, before, flags, at, doc))
     distinct, node = np.unique(node, return_inverse=True)
-    degree, sources = {}, {}
     out_of = np.flatnonzero(flags & HAS_NEXT)
-    o, start, size, repeated = _edges_at(node[out_of] << 24 | after[out_of], doc[out_of], (flags[out_of] & MANY_NEXT) > 0)
+    o, start, size, repeated = _edges_at(_edge_keys(node[out_of], after[out_of]), doc[out_of], (flags[out_of] & MANY_NEXT) > 0)
     o = out_of[o]
     source = o[start]
     into = np.flatnonzero(flags & HAS_PREV)
-    i, start_in, _, repeated_in = _edges_at(node[into] << 24 | before[into], doc[into], (flags[into] & MANY_PREV) > 0)
+    i, start_in, _, repeated_in = _edges_at(_edge_keys(node[into], before[into]), doc[into], (flags[into] & MANY_PREV) > 0)
     source_in = into[i][start_in][repeated_in]
     degree = np.bincount(node[source[repeated]], minlength=len(distinct)), np.bincount(node[source_in], minlength=len(distinct))
     through = (degree[0] == 1) & (degree[1] == 1)

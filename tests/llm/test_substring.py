@@ -153,13 +153,24 @@ def test_unverified_spans_keep_their_words(spark, monkeypatch):
 
 def test_packing():
     node = np.arange(5, dtype=np.uint64) + np.uint64(7 << 50)
-    after, before, flags = np.arange(5, dtype=np.uint32) + 0xFFFFF0, np.arange(5, dtype=np.uint32) + 70_000, np.arange(5, dtype=np.uint32)
+    after, before, flags = np.arange(5, dtype=np.uint64) + np.uint64(2**48 - 9), np.arange(5, dtype=np.uint64) + np.uint64(70_000), np.arange(5, dtype=np.uint8)
     at = np.array([0, 1, 5, 70000, 70001])
     for doc in (np.array([-3, 3, 9, 9, 9]), np.array([-(1 << 62), 3, 9, 9, 1 << 61])):
         for want, got in zip((node, after, before, flags, at, doc), s._unpack(s._pack(node, after, before, flags, at, doc)), strict=True):
             assert (want == got).all()
 
 
+def test_many_continuations_of_one_passage(spark, monkeypatch):
+    """Every document goes on differently after a common passage; nothing is left unverified."""
+    passage = " ".join(f"p{i}" for i in range(20))
+    docs = {i: f"a{i} {passage} b{i} " + " ".join(f"c{i}x{k}" for k in range(12)) for i in range(6000)}
+    monkeypatch.setattr(s, "SLICE_TEXT", 3000)
+    df = spark.createDataFrame(list(docs.items()), "doc_id long, text string").coalesce(4)
+    spans, segments = s.repeated_spans(s.blocks(df, "doc_id", "text"))
+    assert segments.count() == 1 and spans.count() == 5999 and {r.size for r in spans.collect()} == {8}
+    assert {r.n_removed for r in s.remove_repeats(df).where("doc_id > 0").collect()} == {20}
+
+
 def test_slice_bounds_do_not_matter(spark, monkeypatch):
     docs = shared(5, 80)
     df = spark.createDataFrame(list(docs.items()), "doc_id long, text string").repartition(3)
