@@ -1,11 +1,13 @@
 """ISO base media files: a writer for byte payloads and a reader that never decodes them.
 
 The reader walks nested boxes (32-bit, 64-bit and to-the-end sizes), decodes the sample tables of every
-track (stts, stsc, stsz or stz2, stco or co64, stss) and gives codec, timescale, duration and the byte
-range of each key frame. The writer stores a payload as samples of UNIT bytes in one track.
+track (stts, stsc, stsz or stz2 of 4, 8 or 16 bits, stco or co64, stss) and the runs of movie fragments (trex, tfhd,
+trun), and gives codec, timescale, duration and the byte range of each key frame. A fragmented track whose header
+declares no duration has the sum of its samples'. The writer stores a payload as samples of UNIT bytes in one track.
 
-Edge cases: a null payload is an empty one; malformed or truncated containers give a row with an error
-and no tracks; an absent stss means that every sample is a key frame, as the format says.
+Edge cases: a null payload is an empty one, and as a container has an error; malformed or truncated containers and
+containers without tracks give one row with an error and no track; an absent stss means that every sample of the
+sample tables is a key frame, as the format says, and a fragment's samples are where their flags do not deny it.
 """
 
 from __future__ import annotations
@@ -114,19 +116,85 @@ def _numbers(data: bytes, at: int, end: int, count: int, kind: str) -> np.ndarra
     return np.frombuffer(data, kind, count, at).astype(np.int64)
 
 
+def _nibbles(data: bytes, at: int, end: int, count: int) -> np.ndarray:
+    packed = _numbers(data, at, end, (count + 1) // 2, ">u1")
+    return np.stack([packed >> 4, packed & 15], axis=1).ravel()[:count]
+
+
+# Fixed values of the format: flags of a fragment's header and runs, and the sample flag that denies a key frame.
+BASE_OFFSET, DESCRIPTION, DURATION, SIZE, FLAGS, BASE_IS_MOOF = 0x1, 0x2, 0x8, 0x10, 0x20, 0x20000
+RUN_OFFSET, RUN_FIRST, RUN_DURATION, RUN_SIZE, RUN_FLAGS, RUN_SHIFT = 0x1, 0x4, 0x100, 0x200, 0x400, 0x800
+NO_KEY = 0x10000
+
+
+class _Fragments:
+    """Samples of movie fragments by track; boxes come in file order."""
+
+    def __init__(self, data: bytes):
+        self.data, self.defaults, self.runs = data, {}, {}
+        self.moof, self.end, self.now = 0, 0, {}
+
+    def _u32(self, at: int) -> int:
+        return struct.unpack_from(">I", self.data, at)[0]
+
+    def box(self, kind: bytes, a: int, b: int) -> None:
+        if kind == b"trex":
+            self.defaults[self._u32(a + 4)] = tuple(self._u32(a + o) for o in (12, 16, 20))
+        elif kind == b"moof":
+            self.moof = self.end = a - (8 if self.data[a - 4 : a] == b"moof" else 16)
+        elif kind == b"tfhd":
+            flags, track, at = self._u32(a) & 0xFFFFFF, self._u32(a + 4), a + 8
+            duration, size, sample_flags = self.defaults.get(track, (0, 0, 0))
+            base = self.moof if flags & BASE_IS_MOOF else self.end
+            if flags & BASE_OFFSET:
+                base, at = struct.unpack_from(">Q", self.data, at)[0], at + 8
+            at += 4 * bool(flags & DESCRIPTION)
+            values = [duration, size, sample_flags]
+            for i, bit in enumerate((DURATION, SIZE, FLAGS)):
+                if flags & bit:
+                    values[i], at = self._u32(at), at + 4
+            self.now = {"track": track, "base": base, "next": base, "values": values}
+        elif kind == b"trun":
+            self._run(a, b)
+
+    def _run(self, a: int, b: int) -> None:
+        if not self.now:
+            raise Malformed("run without a fragment header")
+        flags, n, at, first = self._u32(a) & 0xFFFFFF, self._u32(a + 4), a + 8, None
+        start = self.now["next"]
+        if flags & RUN_OFFSET:
+            start, at = self.now["base"] + struct.unpack_from(">i", self.data, at)[0], at + 4
+        if flags & RUN_FIRST:
+            first, at = self._u32(at), at + 4
+        given = [bit for bit in (RUN_DURATION, RUN_SIZE, RUN_FLAGS, RUN_SHIFT) if flags & bit]
+        table = _numbers(self.data, at, b, n * len(given), ">u4").reshape(n, -1)
+        column = {bit: table[:, i] for i, bit in enumerate(given)}
+        duration, size, sample_flags = (column.get(bit, np.full(n, v, np.int64)) for bit, v in zip((RUN_DURATION, RUN_SIZE, RUN_FLAGS), self.now["values"], strict=True))
+        if first is not None and n and RUN_FLAGS not in column:
+            sample_flags = np.append(first, sample_flags[1:])
+        if start < 0:
+            raise Malformed("run before the file")
+        self.runs.setdefault(self.now["track"], []).append((start + np.cumsum(size) - size, size, (sample_flags & NO_KEY) == 0, int(duration.sum())))
+        self.now["next"] = self.end = start + int(size.sum())
+
+
 def probe(data: bytes) -> list[dict]:
     """Of each track: codec, handler, timescale, duration, sample offsets and sizes, key frame numbers."""
     tracks: list[dict] = []
+    fragments = _Fragments(data)
     try:
         for path, a, b in boxes(data):
             kind = path[-1]
             if kind == b"trak":
                 tracks.append({})
                 continue
+            fragments.box(kind, a, b)
             if not tracks or b"trak" not in path:
                 continue
             t, u32 = tracks[-1], lambda o, a=a: struct.unpack_from(">I", data, a + o)[0]
-            if kind == b"mdhd":
+            if kind == b"tkhd":
+                t["id"] = u32(20 if data[a] == 1 else 12)
+            elif kind == b"mdhd":
                 t["timescale"], t["duration"] = struct.unpack_from(">IQ", data, a + 20) if data[a] == 1 else struct.unpack_from(">II", data, a + 12)
             elif kind == b"hdlr":
                 t["handler"] = data[a + 8 : a + 12].decode("latin-1")
@@ -144,15 +212,30 @@ def probe(data: bytes) -> list[dict]:
                 t["chunks"] = _numbers(data, a + 8, b, u32(4), ">u8")
             elif kind == b"stsz":
                 t["sizes"] = np.full(u32(8), u32(4), np.int64) if u32(4) else _numbers(data, a + 12, b, u32(8), ">u4")
-            elif kind == b"stz2" and data[a + 7] in (8, 16):
-                t["sizes"] = _numbers(data, a + 12, b, u32(8), ">u1" if data[a + 7] == 8 else ">u2")
+            elif kind == b"stz2":
+                if data[a + 7] not in (4, 8, 16):
+                    raise Malformed("sample sizes of unknown width")
+                t["sizes"] = _nibbles(data, a + 12, b, u32(8)) if data[a + 7] == 4 else _numbers(data, a + 12, b, u32(8), ">u1" if data[a + 7] == 8 else ">u2")
     except (struct.error, IndexError) as e:
         raise Malformed(str(e)) from e
     for t in tracks:
         _locate(t)
+        _with_fragments(t, fragments.runs.get(t.get("id"), []))
     return tracks
 
 
+def _with_fragments(t: dict, runs: list[tuple]) -> None:
+    """The track's own samples, then those of its runs."""
+    own = int((t["stts"][:, 0] * t["stts"][:, 1]).sum()) if "stts" in t else 0
+    if runs:
+        offsets, sizes, keys, durations = zip(*runs, strict=True)
+        n = len(t["offsets"])
+        t["keys"] = np.concatenate([t["keys"], n + np.flatnonzero(np.concatenate(keys))])
+        t["offsets"], t["sizes"] = np.concatenate([t["offsets"], *offsets]), np.concatenate([t["sizes"], *sizes])
+        if not t.get("duration"):
+            t["duration"] = own + sum(durations)
+
+
 def _locate(t: dict) -> None:
     """Sample offsets from chunks, runs of chunks and sizes."""
     sizes, chunks = t.get("sizes", np.empty(0, np.int64)), t.get("chunks", np.empty(0, np.int64))
@@ -178,6 +261,19 @@ def _locate(t: dict) -> None:
         raise Malformed("key frame outside the samples")
 
 
+def key_ranges(track: dict) -> np.ndarray:
+    """(start, end) bytes of each key frame."""
+    k = track["keys"]
+    return np.stack([track["offsets"][k], track["offsets"][k] + track["sizes"][k]], axis=1) if len(k) else np.empty((0, 2), np.int64)
+
+
+RANGES = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
+
+
+def _as_ranges(x: np.ndarray) -> list[dict]:
+    return [{"start": a, "end": b} for a, b in x.tolist()]
+
+
 def stored_bytes(data: bytes, track: dict) -> bytes:
     """The samples of a track, in order."""
     if len(track["offsets"]) and int((track["offsets"] + track["sizes"]).max()) > len(data):
@@ -189,18 +285,17 @@ def stored_bytes(data: bytes, track: dict) -> bytes:
 
 def feature_of(track: dict) -> str:
     """Codec, duration, counts, and first, last and digest of the key frames' byte ranges."""
-    k = track["keys"]
-    ranges = np.stack([track["offsets"][k], track["offsets"][k] + track["sizes"][k]], axis=1) if len(k) else np.empty((0, 2), np.int64)
+    ranges = key_ranges(track)
     ends = [f"{a}-{b}" for a, b in (ranges[:1].tolist() + ranges[-1:].tolist())]
     digest = hashlib.sha256(ranges.astype("<i8").tobytes()).hexdigest()[:16]
-    return f"codec={track.get('codec', '').strip()};timescale={track.get('timescale', 0)};duration={track.get('duration', 0)};samples={len(track['offsets'])};keys={len(k)};first={ends[0] if ends else ''};last={ends[-1] if ends else ''};ranges={digest}"
+    return f"codec={track.get('codec', '').strip()};timescale={track.get('timescale', 0)};duration={track.get('duration', 0)};samples={len(track['offsets'])};keys={len(ranges)};first={ends[0] if ends else ''};last={ends[-1] if ends else ''};ranges={digest}"
 
 
 def text_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", unit: int = UNIT) -> DataFrame:
     """Store every whole text in a container, read it back and describe it; one row per input row."""
-    names = [id_col, "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-    schema = f"{id_col} bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string"
+    names = [id_col, "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "key_ranges"]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), RANGES]
+    schema = f"{id_col} bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string, key_ranges array<struct<start:bigint,end:bigint>>"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -210,7 +305,7 @@ def text_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                     media = mux(padded(data, unit), unit)
                     track = probe(media)[0]
                     back = stored_bytes(media, track)
-                    rows.append((len(data), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media), hashlib.sha256(media).hexdigest(), feature_of(track)))
+                    rows.append((len(data), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media), hashlib.sha256(media).hexdigest(), feature_of(track), _as_ranges(key_ranges(track))))
                 yield pa.RecordBatch.from_arrays([part.column(id_col).cast(pa.int64()), *(pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds[1:], strict=True))], names=names)
 
     return docs.select(id_col, text_col).mapInArrow(run, schema)
@@ -219,22 +314,25 @@ def text_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 def probe_media(files: DataFrame, id_col: str = "path", content_col: str = "content") -> DataFrame:
     """Describe containers held in a binary column: one row per track, with the key frames' byte ranges.
 
-    Payloads are never decoded. A malformed file gives one row with its error.
+    Payloads are never decoded. A null or malformed file, or one without tracks, gives one row with its error.
     """
     schema = f"{id_col} string, track int, codec string, handler string, timescale bigint, duration bigint, duration_s double, n_samples bigint, key_ranges array<struct<start:bigint,end:bigint>>, error string"
-    kinds = [pa.string(), pa.int32(), pa.string(), pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.int64(), pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])), pa.string()]
+    kinds = [pa.string(), pa.int32(), pa.string(), pa.string(), pa.int64(), pa.int64(), pa.float64(), pa.int64(), RANGES, pa.string()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows = []
-            for name, data in zip(batch.column(id_col).cast(pa.string()).to_pylist(), raw(batch, content_col), strict=True):
+            for name, data in zip(batch.column(id_col).cast(pa.string()).to_pylist(), batch.column(content_col).to_pylist(), strict=True):
                 try:
-                    for i, t in enumerate(probe(data)):
-                        scale, k = t.get("timescale", 0), t["keys"]
-                        ranges = [{"start": int(t["offsets"][j]), "end": int(t["offsets"][j] + t["sizes"][j])} for j in k]
-                        rows.append((name, i, t.get("codec"), t.get("handler"), scale, t.get("duration"), t["duration"] / scale if scale and "duration" in t else None, len(t["offsets"]), ranges, None))
+                    found = probe(data) if data is not None else []
+                    for i, t in enumerate(found):
+                        scale = t.get("timescale", 0)
+                        rows.append((name, i, t.get("codec"), t.get("handler"), scale, t.get("duration"), t["duration"] / scale if scale and "duration" in t else None, len(t["offsets"]), _as_ranges(key_ranges(t)), None))
+                    error = None if found else "no content" if data is None else "no tracks"
                 except Malformed as e:
-                    rows.append((name, None, None, None, None, None, None, None, None, str(e)))
+                    error = str(e)
+                if error:
+                    rows.append((name, None, None, None, None, None, None, None, None, error))
             columns = list(zip(*rows, strict=True)) or [[] for _ in kinds]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=[x.split()[0] for x in schema.split(", ")])
 
