@@ -17,10 +17,11 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 SLICE_BYTES = 8 << 20
 WORD_CACHE = 150_000
+HOT_SHARE = 1000  # a key of over one in so many rows is dealt over several tasks
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,13 +29,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def work_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a fresh local one only where the session names none."""
+    """The folder that driver and executors share. Where the session names none, a fresh local one, but only if
+    driver and executors are one machine."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get().rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("name a folder that all machines share in spark.checkpoint.dir")
     spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="pacedfl-"))
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
 
@@ -57,6 +61,31 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def dealt(counts: DataFrame, key: str, total: int) -> DataFrame:
+    """(key, parts) of keys (with count n) that hold over one in HOT_SHARE of total: fewer than HOT_SHARE rows, whatever
+    the data, so the table may be broadcast."""
+    most = -(-total // HOT_SHARE)
+    return counts.where(F.col("n") > most).select(key, F.ceil(F.col("n") / most).cast("int").alias("parts"))
+
+
+def salted(rows: DataFrame, hot: DataFrame, key: str, salt: Column) -> DataFrame:
+    """rows with __salt: below the parts of a hot key, by the hash given; 0 for others."""
+    if hot.isEmpty():
+        return rows.withColumn("__salt", F.lit(0))
+    side = hot.select(F.col(key).alias("__hot"), F.col("parts").alias("__parts"))
+    rows = rows.join(F.broadcast(side), F.col(key) == F.col("__hot"), "left")
+    return rows.withColumn("__salt", F.coalesce(F.pmod(F.xxhash64(salt), F.col("__parts")), F.lit(0)).cast("int")).drop("__hot", "__parts")
+
+
+def repeated(rows: DataFrame, hot: DataFrame, key: str) -> DataFrame:
+    """rows once for each __salt of their key."""
+    if hot.isEmpty():
+        return rows.withColumn("__salt", F.lit(0))
+    side = hot.select(F.col(key).alias("__hot"), F.col("parts").alias("__parts"))
+    rows = rows.join(F.broadcast(side), F.col(key) == F.col("__hot"), "left")
+    return rows.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.coalesce("__parts", F.lit(1)) - 1))).drop("__hot", "__parts")
+
+
 def slices(batch: pa.RecordBatch, column: str, max_bytes: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """Pieces of a batch with about max_bytes of the column each, at least one row."""
     n = batch.num_rows

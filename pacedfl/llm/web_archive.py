@@ -5,8 +5,10 @@ version 1 has URL, address, date, type, length; version 2 adds result code, chec
 and file name before the length. The declared length, not any delimiter, ends a record. From these the
 converter makes WARC identifiers, ISO timestamps, types and payload digests.
 
-Archives are written by Spark's own text writer (one record per row, CRLF CRLF after it, gzip), so they
-go to any file system that Spark can write, and read back with the binaryFile source.
+Every record is a gzip member of its own, so that a reader can seek to it. Archives are written by Spark's own text
+writer, so they go to any file system that Spark can write: a row is a run of members, and what the writer puts after
+each row is an empty member. A file holds at most FILE_ROWS rows, each the records of about SLICE_PAGES bytes of pages;
+so one file is small enough to be read whole with the binaryFile source, and is unpacked as a stream.
 
 Edge cases: null html is an empty payload; a null url becomes a urn; equal payloads below MIN_REVISIT
 bytes are always stored; rows without page_id are stored as responses and read back without one; rows
@@ -27,12 +29,13 @@ from dataclasses import dataclass, field
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from pacedfl.llm.common import new_path, slices
+from pacedfl.llm.common import checkpointed, dealt, new_path, repeated, salted, slices
 
 MIN_REVISIT = 100
-SALTS = 8
-FILE_RECORDS = 20_000
+FILE_ROWS = 32
+SLICE_PAGES = 4 << 20
 DATE = "20240101000000"
+EMPTY_MEMBER = gzip.compress(b"", mtime=0)
 # Fixed values of the formats.
 ARC_FIELDS = {1: ("url", "ip", "date", "type", "length"), 2: ("url", "ip", "date", "type", "result", "checksum", "location", "offset", "filename", "length")}
 ARC_NAMES = {"url": "URL", "ip": "IP-address", "date": "Archive-date", "type": "Content-type", "result": "Result-code", "checksum": "Checksum", "location": "Location", "offset": "Offset", "filename": "Filename", "length": "Archive-length"}
@@ -169,24 +172,32 @@ def read_warc(stream: io.BufferedIOBase) -> Iterator[WarcRecord]:
 def with_first_copy(pages: DataFrame) -> DataFrame:
     """pages (page_id, url, html) and `first`: the smallest page_id with the same payload of MIN_REVISIT bytes or more.
 
-    Digests are aggregated before the join; only payloads that occur more than once take part in it, and
-    the pages of a payload are salted over SALTS tasks.
+    Digests are aggregated before the join; only payloads that occur more than once take part in it, the pages of a
+    payload with a large share of all are dealt over several tasks, and pages without a digest by their hash.
     """
     rows = pages.select(F.col("page_id").cast("bigint").alias("page_id"), "url", F.coalesce("html", F.lit("")).alias("html"))
-    rows = rows.withColumn("__digest", F.when(F.octet_length("html") >= MIN_REVISIT, F.sha2("html", 256)))
-    copies = rows.where(F.col("__digest").isNotNull()).groupBy("__digest").agg(F.min("page_id").alias("first"), F.count("*").alias("__n")).where("__n > 1").drop("__n")
-    copies = copies.withColumn("__salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
-    rows = rows.withColumn("__salt", F.pmod(F.coalesce("page_id", F.lit(0)), F.lit(SALTS)).cast("int"))
+    alone = F.xxhash64("page_id", "url", "html").cast("string")
+    rows = rows.withColumn("__digest", F.when(F.octet_length("html") >= MIN_REVISIT, F.sha2("html", 256)).otherwise(alone))
+    counts = rows.where(F.octet_length("html") >= MIN_REVISIT).groupBy("__digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n"))
+    copies = checkpointed(counts.where("n > 1"))
+    hot = checkpointed(dealt(copies, "__digest", copies.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]))
+    copies = repeated(copies.drop("n"), hot, "__digest")
+    rows = salted(rows, hot, "__digest", F.struct("page_id", "url"))
     return rows.join(copies, ["__digest", "__salt"], "left").select("page_id", "url", "html", "first")
 
 
-def arc_warc_lines(pages: DataFrame) -> DataFrame:
-    """Each row's WARC record as text: the page goes into an ARC file (version 1 or 2 by its id's parity),
-    the file is parsed, and the record found there is converted."""
+def member(record: WarcRecord) -> bytes:
+    """The record as a gzip member."""
+    return gzip.compress(record.head().encode() + record.block + b"\r\n\r\n", 6, mtime=0)
+
+
+def arc_warc_members(pages: DataFrame) -> DataFrame:
+    """(members) rows: WARC records, each a gzip member. The pages of a slice go into ARC files (version 1 or 2 by the
+    id's parity), the files are parsed, and the records found there are converted."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "html", 4 << 20):
+            for part in slices(batch, "html", SLICE_PAGES):
                 rows = list(zip(*(part.column(c).to_pylist() for c in ("page_id", "url", "html", "first")), strict=True))
                 out = []
                 for version in (1, 2):
@@ -194,15 +205,22 @@ def arc_warc_lines(pages: DataFrame) -> DataFrame:
                     bodies = [(url or f"urn:page:{page}", HTTP_OK % len(data := (html or "").encode()) + data) for page, url, html, _ in own]
                     for (page, url, _, first), record in zip(own, read_arc(write_arc(bodies, version)), strict=True):
                         other = record_id(first) if first is not None and page is not None and first != page else None
-                        warc = arc_to_warc(record, record_id(page, url or ""), other)
-                        out.append(warc.head() + warc.block.decode())
-                yield pa.RecordBatch.from_arrays([pa.array(out, pa.string())], names=["value"])
+                        out.append(member(arc_to_warc(record, record_id(page, url or ""), other)))
+                yield pa.RecordBatch.from_arrays([pa.array([b"".join(out)], pa.binary())], names=["members"])
 
-    return pages.mapInArrow(run, "value string")
+    return pages.mapInArrow(run, "members binary")
 
 
-def write_warc(lines: DataFrame, path: str) -> None:
-    lines.write.option("lineSep", "\r\n\r\n").option("compression", "gzip").option("maxRecordsPerFile", FILE_RECORDS).text(path)
+def write_warc(members: DataFrame, path: str) -> None:
+    """A folder of .warc.gz files. The text writer copies bytes as they are; it names files .txt, so they are renamed, one
+    call a file."""
+    rows = members.select(F.col("members").cast("string").alias("value"))
+    rows.write.option("lineSep", EMPTY_MEMBER.decode("latin-1")).option("encoding", "ISO-8859-1").option("compression", "none").option("maxRecordsPerFile", FILE_ROWS).text(path)
+    spark = members.sparkSession
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    fs = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+    for found in fs.globStatus(spark._jvm.org.apache.hadoop.fs.Path(folder, "part-*.txt")):
+        fs.rename(found.getPath(), found.getPath().suffix(".warc.gz"))
 
 
 def read_warc_files(spark, path: str) -> DataFrame:
@@ -227,12 +245,13 @@ def read_warc_files(spark, path: str) -> DataFrame:
                 kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=[x.split()[0] for x in schema.split(", ")])
 
-    return spark.read.format("binaryFile").load(path).select("content").mapInArrow(run, schema)
+    files = spark.read.format("binaryFile").option("pathGlobFilter", "*.warc.gz").load(path)
+    return files.select("content").mapInArrow(run, schema)
 
 
 def archive_pages(pages: DataFrame, path: str | None = None) -> DataFrame:
     """Write the pages to WARC archives in a folder (by default in the shared one) and read them back."""
     spark = pages.sparkSession
     path = path or new_path(spark, "warc")
-    write_warc(arc_warc_lines(with_first_copy(pages)), path)
+    write_warc(arc_warc_members(with_first_copy(pages)), path)
     return read_warc_files(spark, path)

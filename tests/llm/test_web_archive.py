@@ -1,10 +1,11 @@
 import gzip
 import io
+import zlib
 
 import pytest
 from conftest import same_rows
 
-from pacedfl.llm import web_archive as w
+from pacedfl.llm import common, web_archive as w
 from pacedfl.llm.queries import ORACLE, op2_warc
 
 
@@ -58,8 +59,29 @@ def test_edge_rows(spark, tmp_path):
     assert kind == sorted([(1, "response", None, 0), (2, "response", None, 200), (3, "revisit", 2, 200), (3, "revisit", 2, 200), (4, "response", None, 99), (5, "response", None, 99), (None, "response", None, 200), (6, "response", None, 240), (7, "revisit", 6, 240)], key=repr)
     files = list((tmp_path / "warc").glob("*.gz"))
     assert files and sum(1 for f in files for _ in w.read_warc(io.BufferedReader(gzip.open(f)))) == len(rows)
+    for f in files:  # each record can be read from its member alone
+        data, seen = f.read_bytes(), []
+        while data:
+            one = zlib.decompressobj(31)
+            text, data = one.decompress(data), one.unused_data
+            if text:
+                seen += w.read_warc(io.BufferedReader(io.BytesIO(text)))
+                assert text.startswith(b"WARC/1.1") and text.count(b"WARC-Record-ID") == 1
+        assert len(seen) == sum(1 for _ in w.read_warc(io.BufferedReader(gzip.open(f))))
     assert w.archive_pages(pages.limit(0)).count() == 0
 
 
+def test_files_are_bounded_and_hot_payloads_dealt(spark, tmp_path, monkeypatch):
+    """Small slices and files, one payload on most pages, a very long one; the same rows come back."""
+    monkeypatch.setattr(w, "SLICE_PAGES", 1000)
+    monkeypatch.setattr(w, "FILE_ROWS", 2)
+    monkeypatch.setattr(common, "HOT_SHARE", 3)
+    rows = [(i, f"u{i}", "same " * 40 if i % 3 else f"{i} " * (200_000 if i == 9 else 60)) for i in range(60)]
+    path = f"file://{tmp_path}/warc"
+    got = {r.page_id: r for r in w.archive_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), path).collect()}
+    assert len(got) == 60 and len(list((tmp_path / "warc").glob("*.warc.gz"))) > 5
+    assert all(got[i].refers_to == (1 if i % 3 and i != 1 else None) and got[i].payload_bytes == len(html) for i, _, html in rows)
+
+
 def test_query_equals_sql(spark, duck, small):
     assert same_rows(op2_warc(spark, small).toPandas(), duck.sql(ORACLE["op2_warc"]).df())
