@@ -91,13 +91,16 @@ def _op5_sql() -> str:
     rule, verdict = _rules_sql()
     link = url_filter.LINK.replace("'", "''")
     d = url_filter.DAMPING
-    rounds = "".join(
-        f""", r{t + 1} AS (
-  SELECT n.kind, n.host, n.ends, {1 - d!r} * n.seed + {d!r} * (coalesce(g.got, 0) + b.back * n.seed) AS rank
-  FROM nodes n LEFT JOIN (SELECT s.kind, s.target AS host, sum(r.rank * s.share) AS got FROM shares s JOIN r{t} r ON r.kind = s.kind AND r.host = s.source GROUP BY 1, 2) g
+    rounds = url_filter.most_rounds()
+    spread = "".join(
+        f""", r{t + 1} AS MATERIALIZED (
+  SELECT n.kind, n.host, n.ends, CASE WHEN m.moved <= {url_filter.SETTLED!r}::DOUBLE THEN r.rank ELSE {1 - d!r} * n.seed + {d!r} * (coalesce(g.got, 0) + b.back * n.seed) END AS rank, r.rank AS old
+  FROM nodes n JOIN r{t} r ON r.kind = n.kind AND r.host = n.host
+  LEFT JOIN (SELECT s.kind, s.target AS host, sum(r.rank * s.share) AS got FROM shares s JOIN r{t} r ON r.kind = s.kind AND r.host = s.source GROUP BY 1, 2) g
     ON g.kind = n.kind AND g.host = n.host
-  JOIN (SELECT kind, sum(CASE WHEN ends THEN rank ELSE 0 END) AS back FROM r{t} GROUP BY 1) b ON b.kind = n.kind)"""
-        for t in range(url_filter.ITERATIONS)
+  JOIN (SELECT kind, sum(CASE WHEN ends THEN rank ELSE 0 END) AS back FROM r{t} GROUP BY 1) b ON b.kind = n.kind
+  CROSS JOIN (SELECT max(moved) AS moved FROM (SELECT sum(abs(rank - old)) AS moved FROM r{t} GROUP BY kind)) m)"""
+        for t in range(rounds)
     )
     return f"""
 WITH parts AS (SELECT page_id, url, html, {_host_sql("url")} AS host, regexp_extract(coalesce(url, ''), '://[^/?#]*([^?#]*)', 1) AS path FROM pages)
@@ -114,9 +117,9 @@ WITH parts AS (SELECT page_id, url, html, {_host_sql("url")} AS host, regexp_ext
 , nodes AS (SELECT a.kind, a.host, coalesce(s.seed, 0) AS seed, o.source IS NULL AS ends
   FROM (SELECT kind, host FROM seeds UNION SELECT kind, source FROM edges UNION SELECT kind, target FROM edges) a
   LEFT JOIN seeds s ON s.kind = a.kind AND s.host = a.host LEFT JOIN outs o ON o.kind = a.kind AND o.source = a.host)
-, r0 AS (SELECT kind, host, ends, seed AS rank FROM nodes){rounds}
+, r0 AS (SELECT kind, host, ends, seed AS rank, NULL::DOUBLE AS old FROM nodes){spread}
 , scores AS (SELECT h.host, round(sum(CASE WHEN r.kind = 'trust' THEN -t.trust ELSE t.distrust END * r.rank) / any_value(h.pages), 9) AS score
-  FROM r{url_filter.ITERATIONS} r JOIN hosts h ON h.host = r.host, total t GROUP BY 1)
+  FROM r{rounds} r JOIN hosts h ON h.host = r.host, total t GROUP BY 1)
 SELECT p.page_id, p.host, p.path, p.rule, coalesce(p.ruled, CASE WHEN coalesce(s.score, 0) > {url_filter.THRESHOLD} THEN 'block' ELSE 'allow' END) AS verdict
 FROM ruled p LEFT JOIN scores s ON s.host = p.host
 """

@@ -1,7 +1,7 @@
 import pytest
 from conftest import same_rows
 
-from pacedfl.llm import url_filter as u
+from pacedfl.llm import common, url_filter as u
 from pacedfl.llm.queries import ORACLE, op5_urls
 
 URLS = [
@@ -41,24 +41,43 @@ def test_links_spread_distrust(spark):
     pages = linked(spark)
     edges = {(r.source, r.target): r.n for r in u.host_edges(pages).collect()}
     assert edges == {("farm.org", "spam.net"): 3, ("good.com", "friend.org"): 1, ("friend.org", "good.com"): 1, ("far.org", "farm.org"): 1}
-    rows = {r.page_id: r for r in u.judge_urls(pages, threshold=0.1).collect()}
+    rows = {r.page_id: r for r in u.judge_urls(pages, threshold=0.1, settled=0.01).collect()}
     assert rows[3].verdict == rows[4].verdict == "block"  # it links to a blocked host
     assert rows[6].verdict == rows[8].verdict == rows[9].verdict == "allow"
     assert rows[3].host_score > 0.1 and rows[6].host_score < 0 and rows[8].host_score == 0
 
 
-def test_pagerank_mass_and_brute_force(spark):
-    seeds = spark.createDataFrame([("trust", "a", 0.25), ("trust", "b", 0.75)], "kind string, host string, seed double")
-    edges = spark.createDataFrame([("trust", "a", "b", 1), ("trust", "a", "c", 3), ("trust", "b", "c", 1), ("trust", "c", "d", 1)], "kind string, source string, target string, n long")
-    got = {r.host: r["rank"] for r in u.propagate(seeds, edges, 6).collect()}
-    seed = {"a": 0.25, "b": 0.75, "c": 0, "d": 0}
+def brute_ranks(seed, edges, rounds=400):
     rank = dict(seed)
-    for _ in range(6):
-        new = {h: 0.15 * seed[h] + 0.85 * rank["d"] * seed[h] for h in rank}
-        for s, t, w in (("a", "b", 0.25), ("a", "c", 0.75), ("b", "c", 1), ("c", "d", 1)):
-            new[t] += 0.85 * rank[s] * w
+    for _ in range(rounds):
+        ended = sum(rank[h] for h in rank if all(s != h for s, _, _ in edges))
+        new = {h: 0.15 * seed[h] + 0.85 * ended * seed[h] for h in rank}
+        for s, t, w in edges:
+            new[t] += 0.85 * rank[s] * w / sum(x for a, _, x in edges if a == s)
         rank = new
-    assert got == pytest.approx(rank) and sum(got.values()) == pytest.approx(1)
+    return rank
+
+
+@pytest.mark.parametrize("share", [1000, 3])
+def test_pagerank_settles_at_brute_force(spark, monkeypatch, share):
+    """Also with hosts dealt over several tasks."""
+    monkeypatch.setattr(common, "HOT_SHARE", share)
+    seeds = spark.createDataFrame([("trust", "a", 0.25), ("trust", "b", 0.75)], "kind string, host string, seed double")
+    links = [("a", "b", 1), ("a", "c", 3), ("b", "c", 1), ("c", "d", 1), ("c", "a", 2)]
+    edges = spark.createDataFrame([("trust", *x) for x in links], "kind string, source string, target string, n long")
+    got = {r.host: r["rank"] for r in u.propagate(seeds, edges, 1e-3).collect()}
+    assert got == pytest.approx(brute_ranks({"a": 0.25, "b": 0.75, "c": 0, "d": 0}, links), abs=1e-2) and sum(got.values()) == pytest.approx(1)
+    rough = {r.host: r["rank"] for r in u.propagate(seeds, edges, settled=0.5).collect()}
+    assert rough != pytest.approx(got, abs=1e-3)
+
+
+def test_hot_hosts_and_repeated_rows(spark, monkeypatch):
+    """One host holds most pages, some rows occur twice, one page is very long: same verdicts as without dealing."""
+    rows = [(i % 40, f"http://{'big.org' if i % 4 else f'h{i % 7}.net'}/{'fr' if i % 4 == 0 else 'x'}/{i}", "<a href='http://h0.net/'>x</a>" * (50_000 if i == 3 else 1)) for i in range(80)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    want = sorted(u.judge_urls(pages, settled=0.1).collect())
+    monkeypatch.setattr(common, "HOT_SHARE", 5)
+    assert sorted(u.judge_urls(pages, settled=0.1).collect()) == want and len(want) == 80
 
 
 def test_query_equals_sql(spark, duck, small):
