@@ -27,6 +27,18 @@ def test_odd_texts(text):
     assert np.frombuffer(ids, "<u4").tolist() == LIBRARY.encode_ordinary(text)
 
 
+@pytest.mark.parametrize("seed", range(6))
+def test_wide_rows_equal_library_and_matrices(seed):
+    """Pieces around and far beyond the width that has a matrix of its own, in alphabets that repeat and overlap."""
+    rng = np.random.default_rng(seed)
+    letters = ["ab", "aab", "abcdefghijklmnopqrstuvwxyz", "tionesr", "ACGT", "x"][seed]
+    for n in (255, 256, 257, 300, 2000, 20000):
+        piece = "".join(rng.choice(list(letters), n)).encode()
+        assert np.frombuffer(BPE._wide(piece), "<u4").tolist() == LIBRARY._core_bpe.encode_single_piece(piece)
+        if n <= 300:
+            assert BPE._matrix([piece], 512) == [BPE._wide(piece)]
+
+
 def test_documents(spark):
     docs = spark.createDataFrame([(1, "Hello world", "x"), (2, None, "x"), (2, None, "x"), (None, "", "x")], "doc_id long, text string, n_tokens string")
     rows = bpe_documents(docs, PATH, P.PATTERN, with_ids=True).collect()
