@@ -2,9 +2,8 @@
 
 A word that the model knows is scored by its log frequency in each language. An unseen word is scored
 by the longest known character n-grams that cover it, shortest last, over its whole length: a run of letters
-without blanks is one word, however long. The model is a bounded table: the
-most frequent WORDS_PER_LANGUAGE words of each language, counted over a bounded sample of SAMPLE_ROWS training
-rows picked by a hash of their identifier.
+without blanks is one word, however long. The model holds every word of a bounded sample: about SAMPLE_ROWS training
+rows of each language, picked by a hash of their identifier, so that a rare language is learned like any other.
 
 Edge cases: null text or text without a letter gives `und` with score 0; rows without language or
 identifier are not learned from; without any training row every result is `und`; a tie goes to the
@@ -15,20 +14,19 @@ from __future__ import annotations
 
 import re
 from collections import Counter, defaultdict
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from pacedfl.llm.common import WORD_CACHE, checkpointed, slices, texts
 
 WORD = re.compile(r"[^\W\d_]+")
-WORDS_PER_LANGUAGE = 10_000
-MAX_LANGUAGES = 256
 MAX_GRAM = 4
-SAMPLE_ROWS = 20_000
+SAMPLE_ROWS = 1000  # expected labelled rows of a language that the model is fitted on
+MAX_BROADCAST_ROWS = 1_000_000
 CHUNK = 1 << 14  # n-grams of a long word that are scored at a time
 UNKNOWN = "und"
 
@@ -100,39 +98,39 @@ def count_words(docs: DataFrame, lang_col: str, text_col: str) -> DataFrame:
     return docs.select(lang_col, text_col).mapInArrow(run, "lang string, word string, n bigint").groupBy("lang", "word").agg(F.sum("n").alias("n"))
 
 
-def fit_language_model(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", words_per_language: int = WORDS_PER_LANGUAGE, max_languages: int = MAX_LANGUAGES) -> LanguageModel:
-    """Fit on all the rows given that have a language. The table that reaches the driver has at most
-    words_per_language rows for each of at most max_languages languages (those with the most words): the most
-    frequent words, those of equal count all or none."""
-    counts = count_words(docs.where(F.col(lang_col).isNotNull()), lang_col, text_col)
-    counts = checkpointed(counts)
-    # words of a count stay or go together: the lowest count that fits is found on counts of counts
-    steps = counts.groupBy("lang", "n").agg(F.count("*").alias("words")).withColumn("so_far", F.sum("words").over(Window.partitionBy("lang").orderBy(F.desc("n"))))
-    fits = steps.groupBy("lang").agg(F.min(F.when(F.col("so_far") <= words_per_language, F.col("n"))).alias("least"), F.max("n").alias("most"), F.max_by("words", "n").alias("tied"), F.sum(F.col("n") * F.col("words")).alias("mass"))
-    fits = fits.orderBy(F.desc("mass"), "lang").limit(max_languages)
-    # where even the highest count has too many words, a hash picks among them
-    picked = F.pmod(F.xxhash64("word"), F.ceil(2 * F.col("tied") / words_per_language)) == 0
-    top = counts.join(F.broadcast(fits), "lang").where((F.col("n") >= F.col("least")) | (F.col("least").isNull() & (F.col("n") == F.col("most")) & picked))
-    rows = top.select("lang", "word", "n").toPandas()
-    if not len(rows):
-        return LanguageModel([], {}, {}, np.zeros(0))
-    langs = sorted(set(rows["lang"]))
-    at = {x: i for i, x in enumerate(langs)}
-    words: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
-    grams: dict[str, np.ndarray] = defaultdict(lambda: np.zeros(len(langs)))
-    for lang, word, n in rows.itertuples(index=False):
-        i = at[lang]
-        words[word][i] += n
-        framed = f"<{word}>"
+def fit_language_model(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -> LanguageModel:
+    """Fit on all the rows given that have a language; give a sample, as the words of the rows reach the driver."""
+    rows = count_words(docs.where(F.col(lang_col).isNotNull()), lang_col, text_col).toArrow()
+    return model_of(zip(*(rows.column(c).to_pylist() for c in ("lang", "word", "n")), strict=True))
+
+
+def model_of(counts: Iterable[tuple[str, str, int]]) -> LanguageModel:
+    """The model of (language, word, count) rows."""
+    words: dict[str, dict[str, int]] = {}
+    grams: dict[str, Counter] = {}
+    for lang, word, n in counts:
+        words.setdefault(lang, {})[word] = n
+        framed, own = f"<{word}>", grams.setdefault(lang, Counter())
         for size in range(1, MAX_GRAM + 1):
             for k in range(len(framed) - size + 1):
-                grams[framed[k : k + size]][i] += n
-    by_size = np.zeros((MAX_GRAM + 1, len(langs)))
-    for g, c in grams.items():
-        by_size[len(g)] += c
-    total = sum(words.values())
-    logs = {w: np.log((c + 0.5) / (total + 0.5 * len(words))) for w, c in words.items()}
-    return LanguageModel(langs, logs, {g: np.log((c + 0.5) / (by_size[len(g)] + 0.5 * len(grams))) for g, c in grams.items()}, np.zeros(len(langs)))
+                own[framed[k : k + size]] += n
+    langs = sorted(words)
+
+    def table(by_lang: dict[str, dict[str, int]]) -> tuple[list[str], np.ndarray]:
+        names = sorted({x for lang in langs for x in by_lang[lang]})
+        at, out = {x: i for i, x in enumerate(names)}, np.zeros((len(names), len(langs)))
+        for i, lang in enumerate(langs):
+            out[[at[x] for x in by_lang[lang]], i] = list(by_lang[lang].values())
+        return names, out
+
+    (known, n), (pieces, m) = table(words), table(grams)
+    if not langs:
+        return LanguageModel([], {}, {}, np.zeros(0))
+    size = np.array([len(g) for g in pieces])
+    total = np.stack([m[size == k].sum(axis=0) for k in range(MAX_GRAM + 1)])
+    logs = np.log((n + 0.5) / (n.sum(axis=0) + 0.5 * len(known)))
+    gram_logs = np.log((m + 0.5) / (total[size] + 0.5 * len(pieces)))
+    return LanguageModel(langs, dict(zip(known, logs, strict=True)), dict(zip(pieces, gram_logs, strict=True)), np.zeros(len(langs)))
 
 
 def predict_language(docs: DataFrame, model: LanguageModel, keep: list[str], text_col: str = "text") -> DataFrame:
@@ -189,13 +187,21 @@ def held_out(id_col: str = "doc_id") -> Column:
     return F.coalesce(F.crc32(F.col(id_col).cast("string")) % 4 == 2, F.lit(False))
 
 
-def identify_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """Learn from rows that are not held out, predict all rows from their texts alone.
+def training_sample(train: DataFrame, id_col: str, lang_col: str, rows: int = SAMPLE_ROWS) -> DataFrame:
+    """About `rows` rows of each language, all of a language with fewer: those of small hash. Only identifiers and
+    languages are read to choose them; nothing is ranked."""
+    ids = train.select(F.col(id_col).alias("__id"), F.col(lang_col).alias("__lang"))
+    draw = F.pmod(F.xxhash64("__id"), F.lit(1 << 40)) / float(1 << 40)
+    each = ids.groupBy("__lang").agg(F.count("*").alias("__n"))
+    picked = checkpointed(ids.join(each, "__lang").where(draw * F.col("__n") < rows).select("__id", "__lang").distinct())
+    side = F.broadcast(picked) if picked.count() <= MAX_BROADCAST_ROWS else picked
+    return train.join(side, (F.col(id_col) == F.col("__id")) & (F.col(lang_col) == F.col("__lang")), "left_semi")
+
 
-    The identifiers of the sample are bounded by SAMPLE_ROWS and broadcast.
-    """
+def identify_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
+    """Learn from a sample of the rows that are not held out, predict all rows from their texts alone."""
+    docs = docs.select(F.col(id_col).cast("bigint").alias(id_col), F.col(text_col).alias(text_col), F.col(lang_col).alias(lang_col))
     train = docs.where(~held_out(id_col) & F.col(id_col).isNotNull() & F.col(lang_col).isNotNull())
-    sample = train.select(F.col(id_col).alias("__id")).orderBy(F.xxhash64("__id"), "__id").limit(SAMPLE_ROWS).distinct()
-    model = fit_language_model(train.join(F.broadcast(sample), train[id_col] == sample["__id"], "left_semi"), lang_col, text_col)
-    rows = docs.select(F.col(id_col).cast("bigint").alias(id_col), held_out(id_col).alias("held_out"), F.col(text_col).alias(text_col))
+    model = fit_language_model(training_sample(train, id_col, lang_col), lang_col, text_col)
+    rows = docs.select(id_col, held_out(id_col).alias("held_out"), text_col)
     return predict_language(rows, model, [id_col, "held_out"], text_col)

@@ -1,3 +1,7 @@
+import math
+import zlib
+from collections import Counter
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -33,12 +37,59 @@ def test_language_edges(spark):
     assert lang.identify_documents(docs.limit(0)).count() == 0
 
 
-def test_language_model_is_bounded(spark):
-    rows = [("a", " ".join(f"{chr(97 + i % 26)}{chr(97 + i // 26 % 26)}{chr(97 + i // 676)}" for i in range(400))), ("b", "uno dos tres " * 5 + "cuatro")]
-    docs = spark.createDataFrame(rows, "lang string, text string")
-    model = lang.fit_language_model(docs, words_per_language=20)
-    assert model.langs == ["a", "b"] and 4 < len(model.word_at) <= 60 and {"uno", "dos", "tres", "cuatro"} <= model.word_at.keys()
-    assert lang.fit_language_model(docs, max_languages=1).langs == ["a"]
+def test_sample_takes_all_of_a_rare_language(spark):
+    docs = spark.range(5000).selectExpr("id AS doc_id", "CASE WHEN id % 500 = 0 THEN 'rare' ELSE 'common' END AS lang", "concat('text ', id) AS text")
+    n = {r.lang: r["count"] for r in lang.training_sample(docs, "doc_id", "lang", 400).groupBy("lang").count().collect()}
+    assert n["rare"] == 10 and 300 < n["common"] < 500
+
+
+def brute_language(train, texts):
+    """The scores by dictionaries and loops: the word's own log share, else the mean of its longest known n-grams'."""
+    words, grams = {}, {}
+    for text, own in train:
+        for w in lang.WORD.findall((text or "").lower()):
+            words.setdefault(own, Counter())[w] += 1
+            f = f"<{w}>"
+            grams.setdefault(own, Counter()).update(f[k : k + n] for n in range(1, 5) for k in range(len(f) - n + 1))
+    langs = sorted(words)
+    vocabulary, pieces = set().union(*words.values()), set().union(*grams.values())
+    of_size = {(x, n): sum(c for g, c in grams[x].items() if len(g) == n) for x in langs for n in range(1, 5)}
+
+    def piece(g, x):
+        return math.log((grams[x][g] + 0.5) / (of_size[x, len(g)] + 0.5 * len(pieces)))
+
+    def score(w, x):
+        if w in vocabulary:
+            return math.log((words[x][w] + 0.5) / (words[x].total() + 0.5 * len(vocabulary)))
+        f, at, found = f"<{w}>", 0, []
+        while at < len(f):
+            n = next((n for n in (4, 3, 2, 1) if f[at : at + n] in pieces and at + n <= len(f)), None)
+            if n:
+                found.append(piece(f[at : at + n], x))
+            at += n or 1
+        return sum(found) / len(found) if found else 0.0
+
+    out = []
+    for text in texts:
+        own = lang.WORD.findall((text or "").lower())
+        own = [w for w in own if any(c.isalpha() for c in w)]
+        if not own:
+            out.append(("und", 0.0))
+            continue
+        total = [sum(score(w, x) for w in own) for x in langs]
+        best = max(range(len(langs)), key=lambda i: total[i])
+        out.append((langs[best], 1 / sum(math.exp((t - total[best]) / len(own) * min(len(own), 20)) for t in total)))
+    return out
+
+
+def test_language_equals_brute_force(spark, small):
+    rows = spark.read.parquet(f"{small}/documents.parquet").collect()
+    train = [(r.text, r.lang) for r in rows if r.lang is not None and zlib.crc32(str(r.doc_id).encode()) % 4 != 2]
+    want = dict(zip((r.doc_id for r in rows), brute_language(train, [r.text for r in rows]), strict=True))
+    got = {r.doc_id: (r.lang_pred, r.score) for r in op7_language(spark, small).collect()}
+    assert got.keys() == want.keys()
+    for i, (name, score) in want.items():
+        assert got[i][0] == name and got[i][1] == pytest.approx(score, abs=1e-3)
 
 
 def test_language_never_reads_lang_of_predicted_rows(spark):
