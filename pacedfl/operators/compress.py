@@ -34,22 +34,35 @@ def magnitude_bucket(v: Column) -> Column:
     return (e * 8 + F.floor(a / F.pow(F.lit(2.0), e) * 8)).cast("int")
 
 
-def topk_select(delta: DataFrame, keys: tuple[str, ...] = KEYS, k: str = "k", coord: str = "param_idx") -> DataFrame:
-    """Exactly the rows of topk without sorting whole updates.
+def topk_marked(delta: DataFrame, keys: tuple[str, ...] = KEYS, k: str = "k", coord: str = "param_idx") -> DataFrame:
+    """All non-zero rows with kept: whether topk keeps the row. No task sorts a whole update.
 
-    Counts of magnitude buckets give, by a running sum from the top, the bucket that k cuts; what lies above
-    stays, and only rows of the cut bucket are ranked. Two scans; the count table has a few hundred rows an update.
+    Counts of magnitude buckets give, by a running sum from the top, the bucket that k cuts; what lies above is kept,
+    and only rows of the cut bucket are ranked. The count table has a few hundred rows an update; one row an update
+    is joined to its entries. A null k keeps nothing.
     """
     rows = delta.where("delta <> 0").withColumn("__b", magnitude_bucket(F.col("delta")))
     top = Window.partitionBy(*keys).orderBy(F.col("__b").desc())
     counts = rows.groupBy(*keys, "__b").agg(F.count("*").alias("__n"), F.max(k).alias("__k"))
-    counts = counts.withColumn("__above", F.sum("__n").over(top) - F.col("__n")).where("__above < __k")
-    near = rows.join(counts.select(*keys, "__b", "__n", "__above"), [*keys, "__b"])
-    whole = near.where(F.col("__above") + F.col("__n") <= F.col(k))
-    cut = near.where(F.col("__above") + F.col("__n") > F.col(k))
+    counts = counts.withColumn("__over", F.sum("__n").over(top) - F.col("__n")).where("__over < __k")
+    cuts = counts.groupBy(*keys).agg(F.min("__b").alias("__cut"), F.max("__over").alias("__above"))
+    both = rows.join(cuts, list(keys), "left")
+    sure = both.where("__b is distinct from __cut").withColumn("kept", F.coalesce(F.col("__b") > F.col("__cut"), F.lit(False)))
     w = Window.partitionBy(*keys).orderBy(F.abs("delta").desc(), coord)
-    cut = cut.withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= F.col(k) - F.col("__above")).drop("__r")
-    return whole.unionByName(cut).select(*delta.columns)
+    cut = both.where("__b = __cut").withColumn("kept", F.row_number().over(w) <= F.col(k) - F.col("__above"))
+    return sure.unionByName(cut).select(*delta.columns, "kept")
+
+
+def topk_select(delta: DataFrame, keys: tuple[str, ...] = KEYS, k: str = "k", coord: str = "param_idx") -> DataFrame:
+    """Exactly the rows of topk without sorting whole updates."""
+    return topk_marked(delta, keys, k, coord).where("kept").drop("kept")
+
+
+def topk_bounded(delta: DataFrame, k_max: int, keys: tuple[str, ...] = KEYS, k: str = "k", coord: str = "param_idx") -> DataFrame:
+    """The rows of topk, k_max being a bound of every k: ranked where Spark cuts partitions at such a rank before the
+    exchange, selected by buckets where k_max is past the session's limit for that."""
+    limit = int(delta.sparkSession.conf.get("spark.sql.optimizer.windowGroupLimitThreshold", "1000"))
+    return topk(delta, keys, k, k_max, coord=coord).drop("rank") if k_max <= limit else topk_select(delta, keys, k, coord)
 
 
 def topk_approx(delta: DataFrame, ratio: float, keys: tuple[str, ...] = KEYS, accuracy: int = 10_000) -> DataFrame:
@@ -87,16 +100,16 @@ def sign_compress(delta: DataFrame, keys: tuple[str, ...] = KEYS) -> DataFrame:
 def ef_topk(delta: DataFrame, residual: DataFrame | None, k: DataFrame, keys: tuple[str, ...] = KEYS, coord: str = "param_idx") -> DataFrame:
     """Error feedback: (keys, coordinate, sent, residual) of top-k over update plus carried residual.
 
-    k: (client_id, k). Both big sides are joined on (keys, coordinate); what is not sent is carried on.
+    k: the clients that take part, (keys or some of them, k). Others send nothing and carry what they have. Both big
+    sides are joined on (keys, coordinate); no update is sorted whole.
     """
     on = [*keys, coord]
     rows = delta.select(*on, "delta")
     if residual is not None:
         old = residual.where("residual <> 0").select(*on, F.col("residual").alias("__old"))
         rows = rows.join(old, on, "full").select(*on, (F.coalesce("delta", F.lit(0.0)) + F.coalesce("__old", F.lit(0.0))).alias("delta"))
-    w = Window.partitionBy(*keys).orderBy(F.abs("delta").desc(), coord)
-    rows = rows.where("delta <> 0").join(F.broadcast(k.select("client_id", "k")), "client_id").withColumn("__r", F.row_number().over(w))
-    sent = F.when(F.col("__r") <= F.col("k"), F.col("delta")).otherwise(0.0)
+    rows = topk_marked(rows.join(k, [c for c in k.columns if c != "k"], "left"), keys, "k", coord)
+    sent = F.when(F.col("kept"), F.col("delta")).otherwise(0.0)
     return rows.select(*on, sent.alias("sent"), (F.col("delta") - sent).alias("residual"))
 
 
@@ -107,6 +120,12 @@ def energy_kept(delta: DataFrame, kept: DataFrame, keys: tuple[str, ...] = KEYS)
     return all_.join(some, list(keys), "left").select(*keys, F.coalesce(F.col("__kept") / F.nullif("__all", F.lit(0.0)), F.lit(0.0)).alias("energy"))
 
 
+def energy_marked(marked: DataFrame, keys: tuple[str, ...] = KEYS) -> DataFrame:
+    """The same from rows that say whether they are kept: one pass."""
+    square = F.col("delta") * F.col("delta")
+    return marked.groupBy(*keys).agg(F.coalesce(F.sum(F.when(F.col("kept"), square)) / F.nullif(F.sum(square), F.lit(0.0)), F.lit(0.0)).alias("energy"))
+
+
 def pack(kept: DataFrame, keys: tuple[str, ...] = KEYS, coord: str = "param_idx", shards: int = 1) -> DataFrame:
     """One row an update (and shard of coordinates): idx and val arrays sorted by coordinate."""
     shard = F.pmod(F.xxhash64(coord), F.lit(shards)).cast("int")

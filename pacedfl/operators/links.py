@@ -19,7 +19,7 @@ def gaussian_links(spark: SparkSession, n_clients: int, seed: int = 42) -> DataF
 
 def round_links(clients: DataFrame, rounds: int, seed: int = 42) -> DataFrame:
     """Links drawn anew in every round: (round, client_id, bandwidth_mbps, latency_s)."""
-    each = clients.select("client_id").crossJoin(clients.sparkSession.range(rounds).select(F.col("id").cast("int").alias("round")))
+    each = clients.select("client_id", F.explode(F.sequence(F.lit(0), F.lit(rounds - 1))).alias("round"))
     return each.select("round", "client_id", F.greatest(F.lit(FLOOR_MBPS), 1 + 0.2 * gaussian(seed, "bw", "round", "client_id")).alias("bandwidth_mbps"), (0.2 - 0.15 * uniform(seed, "lat", "round", "client_id")).alias("latency_s"))
 
 

@@ -19,15 +19,24 @@ def n_selected(n_clients: int, fraction: float) -> int:
     return max(1, int(n_clients * fraction + 1e-9))
 
 
-def select_clients(clients: DataFrame, rounds: int | DataFrame, n_clients: int, fraction: float = 0.5, seed: int = 42) -> DataFrame:
+def _in_rounds(clients: DataFrame, rounds: int) -> DataFrame:
+    return clients.withColumn("round", F.explode(F.sequence(F.lit(0), F.lit(rounds - 1))))
+
+
+def select_by_threshold(clients: DataFrame, rounds: int, fraction: float = 0.5, seed: int = 42) -> DataFrame:
+    """Each client takes part in each round with probability fraction, by its hash: no exchange, no ranking. The
+    number of clients differs from round to round."""
+    return _in_rounds(clients, rounds).where(uniform(seed, "select", "round", "client_id") < fraction)
+
+
+def select_clients(clients: DataFrame, rounds: int, n_clients: int, fraction: float = 0.5, seed: int = 42) -> DataFrame:
     """The clients of each round: those of smallest hash. Adds `round`, keeps the clients' columns.
 
-    The literal bound lets Spark cut each partition's candidates before the exchange.
+    The literal bound lets Spark cut each partition's candidates before the exchange. With millions of clients and a
+    fraction that makes thousands of them, select_by_threshold ranks nothing.
     """
-    spark = clients.sparkSession
-    each = rounds if isinstance(rounds, DataFrame) else spark.range(rounds).select(F.col("id").cast("int").alias("round"))
     order = Window.partitionBy("round").orderBy("__u", "client_id")
-    rows = clients.crossJoin(F.broadcast(each)).withColumn("__u", uniform(seed, "select", "round", "client_id"))
+    rows = _in_rounds(clients, rounds).withColumn("__u", uniform(seed, "select", "round", "client_id"))
     return rows.withColumn("__r", F.row_number().over(order)).where(F.col("__r") <= n_selected(n_clients, fraction)).drop("__r", "__u")
 
 

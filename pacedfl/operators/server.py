@@ -6,24 +6,25 @@ same aggregate, and no second pass or join over the kept rows is needed.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from pacedfl.operators.overlap import boost_mask, overlap_degree
 
 MAX_BROADCAST_CLIENTS = 1_000_000
 
 
-def weighted(kept: DataFrame, coef: DataFrame, column: str, n_clients: int | None = None) -> DataFrame:
-    """kept with its client's coefficient. coef has a row per selected client; it is broadcast only where
+def weighted(kept: DataFrame, coef: DataFrame, column: str, n_clients: int | None = None, by: tuple[str, ...] = ()) -> DataFrame:
+    """kept with its client's coefficient. coef has a row per selected client (and by); it is broadcast only where
     the number of clients is given and bounded, otherwise Spark chooses by size."""
-    side = coef.select("client_id", F.col(column).alias("__p"))
-    return kept.join(F.broadcast(side) if n_clients is not None and n_clients <= MAX_BROADCAST_CLIENTS else side, "client_id")
+    side = coef.select(*by, "client_id", F.col(column).alias("__p"))
+    return kept.join(F.broadcast(side) if n_clients is not None and n_clients <= MAX_BROADCAST_CLIENTS else side, [*by, "client_id"])
 
 
-def server_step(kept: DataFrame, coef: DataFrame, column: str = "f", gamma: float = 1.0, max_degree: int = 1, n_clients: int | None = None, coord: str = "param_idx") -> DataFrame:
-    """(coordinate, degree, step): the boosted weighted sum of what was kept."""
-    rows = weighted(kept, coef, column, n_clients).groupBy(coord).agg(F.count_if(F.col("delta") != 0).alias("degree"), F.sum(F.col("__p") * F.col("delta")).alias("step"))
-    return rows.select(coord, "degree", (F.col("step") * boost_mask("degree", gamma, max_degree)).alias("step"))
+def server_step(kept: DataFrame, coef: DataFrame, column: str = "f", gamma: Column | float = 1.0, max_degree: Column | int = 1, n_clients: int | None = None, coord: str = "param_idx", by: tuple[str, ...] = ()) -> DataFrame:
+    """(by, coordinate, degree, step): the boosted weighted sum of what was kept. by: columns that tell runs apart;
+    boost and rarity limit may be columns of them."""
+    rows = weighted(kept, coef, column, n_clients, by).groupBy(*by, coord).agg(F.count_if(F.col("delta") != 0).alias("degree"), F.sum(F.col("__p") * F.col("delta")).alias("step"))
+    return rows.select(*by, coord, "degree", (F.col("step") * boost_mask("degree", gamma, max_degree)).alias("step"))
 
 
 def server_step_two_pass(kept: DataFrame, coef: DataFrame, column: str = "f", gamma: float = 1.0, max_degree: int = 1, coord: str = "param_idx") -> DataFrame:
@@ -41,7 +42,8 @@ def gamma_grid(kept: DataFrame, coef: DataFrame, column: str, gammas: list[float
     return base.crossJoin(F.broadcast(grid)).select("gamma", "max_degree", "param_idx", "degree", (F.col("step") * boost_mask("degree", F.col("gamma"), F.col("max_degree"))).alias("step"))
 
 
-def apply_step(weights: DataFrame, step: DataFrame, server_lr: float = 1.0) -> DataFrame:
+def apply_step(weights: DataFrame, step: DataFrame, server_lr: Column | float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
     """New weights; coordinates that nobody kept stay as they are."""
-    rows = weights.join(step.select("param_idx", "step"), "param_idx", "left")
-    return rows.select(*[c for c in weights.columns if c != "w"], (F.col("w") - server_lr * F.coalesce("step", F.lit(0.0))).alias("w"))
+    rate = server_lr if isinstance(server_lr, Column) else F.lit(float(server_lr))
+    rows = weights.join(step.select(*by, "param_idx", "step"), [*by, "param_idx"], "left")
+    return rows.select(*[c for c in weights.columns if c != "w"], (F.col("w") - rate * F.coalesce("step", F.lit(0.0))).alias("w"))

@@ -1,22 +1,25 @@
 """The round loop. Runs of one cohort go through every round together, in the same jobs.
 
-State of a round: log and weights in one Parquet table, residuals in another, in the run's folder. Selections, links and
-sample order are functions of (seed, round), so a run resumes from its last complete round.
+State of a round, in the run's folder: weights by coordinate, residuals of the round's clients, then the log, which is
+there only when the round is complete. Selections, links and sample order are functions of (seed, round), so a run
+resumes from its last complete round. The driver holds the log's numbers, a few for each run and round; updates, steps
+and weights stay in tables.
 """
 
 from __future__ import annotations
 
 import time
 from functools import reduce
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window, functions as F, types as T
+from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F, types as T
 
 from pacedfl.functions.portable import uniform
-from pacedfl.operators import compress, schedule
+from pacedfl.operators import compress, schedule, server
 from pacedfl.operators.coeffs import with_adjusted, with_share
-from pacedfl.operators.learner import MODELS, Model, evaluate, local_update
+from pacedfl.operators.learner import MODELS, Model, evaluate, local_update, start_weights
 from pacedfl.operators.links import dense_time, gaussian_links, round_links
 from pacedfl.operators.partition import assign_clients
 from pacedfl.plans.spec import RunSpec
@@ -26,6 +29,7 @@ LOG = T.StructType([*ROUND_LOG.fields, *(T.StructField(n, T.DoubleType()) for n
 LOG_NAMES = [n for n in LOG.names if n != "round"]
 LOG_KINDS = [pa.int64() if n == "sent_rows" else pa.string() if n == "run_id" else pa.float64() for n in LOG_NAMES]
 KEYS = ("run_id", "client_id")
+SORT_LIMIT = 100_000  # coordinates of an update that a task may sort; the same rows are selected beyond it
 BUCKETS = 64  # folders of clients: a round reads only those of its clients
 
 
@@ -42,8 +46,9 @@ def plan_rounds(spark: SparkSession, spec: RunSpec, sizes: DataFrame, n_params:
         rows = rows.drop("bandwidth_mbps", "latency_s").join(round_links(sizes.select("client_id"), spec.rounds, spec.seed), ["round", "client_id"])
     if spec.link_mode == "trace":
         # a day of telemetry is a round; a client without an observation that day keeps its own link
-        day = trace.select("client_id", (F.dense_rank().over(Window.partitionBy(F.lit(0)).orderBy("day")) - 1).cast("int").alias("round"), F.col("bandwidth_mbps").alias("__seen"))
-        days = day.agg(F.max("round") + 1).first()[0] or 1
+        order = trace.select("day").distinct().select("day", (F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("day")) - 1).alias("round"))
+        day = trace.join(order, "day").select("client_id", "round", F.col("bandwidth_mbps").alias("__seen"))
+        days = order.count() or 1
         rows = rows.withColumn("__day", F.col("round") % days).join(day.withColumnRenamed("round", "__day"), ["client_id", "__day"], "left")
         rows = rows.withColumn("bandwidth_mbps", F.coalesce("__seen", "bandwidth_mbps")).drop("__seen", "__day")
     if spec.schedule == "paced":
@@ -56,7 +61,7 @@ def plan_rounds(spark: SparkSession, spec: RunSpec, sizes: DataFrame, n_params:
     return rows.select(F.lit(spec.run_id).alias("run_id"), "round", "client_id", "k", F.col("p_adj" if spec.coef == "adjusted" else "f").alias("weight"), "keep_ratio", own.alias("t_own"), full.alias("t_dense"))
 
 
-def compressed(delta: DataFrame, spec: RunSpec, layers: np.ndarray | None = None) -> DataFrame:
+def compressed(delta: DataFrame, spec: RunSpec, layers: np.ndarray) -> DataFrame:
     """What one run's clients send of (run_id, client_id, param_idx, delta, k)."""
     c = spec.compressor
     if c == "none":
@@ -68,7 +73,7 @@ def compressed(delta: DataFrame, spec: RunSpec, layers: np.ndarray | None = None
             counts = F.array(*(F.lit(max(1, int(spec.base_ratio * n + 1e-9))) for n in size))
             rows = delta.withColumn("__l", each[F.col("param_idx").cast("int")]).withColumn("k", counts[F.col("__l")])
             return compress.topk(rows, KEYS, scope="__l").drop("__l")
-        return compress.topk(delta, KEYS)
+        return compress.topk(delta, KEYS).drop("rank") if len(layers) <= SORT_LIMIT else compress.topk_select(delta, KEYS)
     if c == "randomk":
         return compress.randomk(delta, KEYS, seed=spec.seed)
     if c == "threshold":
@@ -84,103 +89,116 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, frames)
 
 
-def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links: DataFrame | None = None, out_dir: str | None = None, partitions: int | None = None, keep_updates: bool = False, spread: int = 1, trace: DataFrame | None = None) -> tuple[DataFrame, dict[str, np.ndarray]]:
-    """Run the specs (of one cohort) over samples (sample_id, x, y, is_test); (log, final weights by run).
+def _by_run(specs: list[RunSpec], value) -> Column:
+    """A setting of each run, as a column."""
+    return F.create_map(*chain.from_iterable((F.lit(s.run_id), F.lit(value(s))) for s in specs))[F.col("run_id")]
+
+
+def _fresh(df: DataFrame, path: str) -> DataFrame:
+    """df written anew (a round that broke off may have left parts)."""
+    df.write.mode("overwrite").parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def _stored_samples(samples: DataFrame, spec: RunSpec, out_dir: str, spread: int) -> DataFrame:
+    """Samples with their client, in folders of clients; test rows have client -1."""
+    samples = samples.select("sample_id", "x", "y", "is_test", *[c for c in samples.columns if c == "client_id"])
+    if exists(samples.sparkSession, f"{out_dir}/samples/_SUCCESS"):
+        schema = samples.select("sample_id", "x", "y", "is_test").schema.add("client_id", "integer").add("bucket", "integer")
+        return samples.sparkSession.read.schema(schema).parquet(f"{out_dir}/samples")
+    mode = {"mode": spec.partition, "column": "client_id"} if spec.partition == "column" else {"mode": spec.partition}
+    train = assign_clients(samples.where("not is_test"), "y", spec.n_clients, spec.beta, spec.seed, **mode)
+    both = _union([train.withColumn("is_test", F.lit(False)), samples.where("is_test").withColumn("client_id", F.lit(-1))]).select("sample_id", "x", "y", "is_test", "client_id")
+    both = both.withColumn("bucket", F.pmod("client_id", F.lit(BUCKETS)).cast("int"))
+    # rows of a folder come from `spread` tasks: a client may hold a large part of all rows
+    return written(both.repartition("bucket", F.pmod(F.xxhash64("sample_id"), F.lit(spread))), f"{out_dir}/samples", "is_test", "bucket")
+
+
+def _stored_plan(specs: list[RunSpec], train: DataFrame, n_params: int, links: DataFrame | None, trace: DataFrame | None, out_dir: str) -> DataFrame:
+    """All rounds' clients of all runs, with the round in which each client took part before and next."""
+    spark, plan = train.sparkSession, f"{out_dir}/plan"
+    if exists(spark, f"{plan}/_SUCCESS"):
+        return spark.read.parquet(plan)
+    sizes = _fresh(train.groupBy("client_id").agg(F.count("*").alias("n_samples")), f"{out_dir}/sizes")
+    own = Window.partitionBy("run_id", "client_id").orderBy("round")
+    rows = _union([plan_rounds(spark, s, sizes, n_params, links, trace) for s in specs])
+    return written(rows.withColumns({"before": F.lag("round").over(own), "after": F.lead("round").over(own)}), plan)
+
+
+def run_cohort(specs: list[RunSpec], samples: DataFrame, n_classes: int, links: DataFrame | None = None, out_dir: str | None = None, partitions: int | None = None, keep_updates: bool = False, spread: int = 1, trace: DataFrame | None = None, timed: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Run the specs (of one cohort) over samples (sample_id, x, y, is_test); (log, final weights by run and coordinate).
 
     keep_updates: leave every round's updates in the folder (else they go once the round is written).
     spread: files of each folder of samples; raise it with the size of the largest client.
     trace: (client_id, day, bandwidth_mbps) for runs whose links follow telemetry, a day a round.
-    The driver holds weights and one row per coordinate and run of each step; nothing that grows with samples.
+    timed: write what is sent before the server's step, so that the log's seconds are those of the parts; without
+    it compression runs in the same job as the step, and its seconds are null.
     """
     spark, first = samples.sparkSession, specs[0]
     if len({s.cohort() for s in specs}) != 1 or len({s.run_id for s in specs}) != len(specs):
         raise ValueError("specs must share a cohort and differ in run_id")
     out_dir = out_dir or new_path(spark, "run")
-    samples = samples.select("sample_id", "x", "y", "is_test", *[c for c in samples.columns if c == "client_id"])
-    if exists(spark, f"{out_dir}/samples/_SUCCESS"):
-        assigned = spark.read.schema(samples.select("sample_id", "x", "y", "is_test").schema.add("client_id", "integer").add("bucket", "integer")).parquet(f"{out_dir}/samples")
-    else:
-        train = samples.where("not is_test")
-        mode = {"mode": first.partition, "column": "client_id"} if first.partition == "column" else {"mode": first.partition}
-        train = assign_clients(train, "y", first.n_clients, first.beta, first.seed, **mode)
-        both = _union([train.withColumn("is_test", F.lit(False)), samples.where("is_test").withColumn("client_id", F.lit(-1))]).select("sample_id", "x", "y", "is_test", "client_id")
-        both = both.withColumn("bucket", F.pmod("client_id", F.lit(BUCKETS)).cast("int"))
-        # rows of a folder come from `spread` tasks: a client may hold a large part of all rows
-        assigned = written(both.repartition("bucket", F.pmod(F.xxhash64("sample_id"), F.lit(spread))), f"{out_dir}/samples", "is_test", "bucket")
+    assigned = _stored_samples(samples, first, out_dir, spread)
     train, test = assigned.where("not is_test"), assigned.where("is_test")
     n_features = len(assigned.select("x").first().x)
     extra = {"hidden": first.hidden} if first.model == "perceptron" else {}
     model: Model = MODELS[first.model](n_features, n_classes, **extra)
-    plan = f"{out_dir}/plan"
-    counted = train.groupBy("client_id").agg(F.count("*").alias("n_samples"))
-    sizes = counted if exists(spark, f"{plan}/_SUCCESS") else _fresh(counted, f"{out_dir}/sizes")
-    rounds = spark.read.parquet(plan) if exists(spark, f"{plan}/_SUCCESS") else written(_union([plan_rounds(spark, s, sizes, model.n_params, links, trace) for s in specs]), plan)
+    rounds = _stored_plan(specs, train, model.n_params, links, trace, out_dir)
     account = {(r.run_id, r.round): r for r in rounds.groupBy("run_id", "round").agg(F.max("t_own").alias("t_actual"), F.max("t_dense").alias("t_max"), F.min("t_dense").alias("t_min"), F.sum("weight").alias("coef_sum")).collect()}
-    folders = {r["round"]: r.b for r in rounds.groupBy("round").agg(F.collect_set(F.pmod("client_id", F.lit(BUCKETS))).alias("b")).collect()}
-    weights = {s.run_id: model.start(s.seed) for s in specs}
+    by_round = {r["round"]: r for r in rounds.groupBy("round").agg(F.collect_set(F.pmod("client_id", F.lit(BUCKETS))).alias("folders"), F.collect_set("before").alias("before"), F.max(F.coalesce("after", F.lit(first.rounds))).alias("needed_till")).collect()}
     alike: dict[tuple, list[RunSpec]] = {}
     for s in specs:
         alike.setdefault(_compression(s), []).append(s)
     groups = list(alike.values())
     begin = 0
-    while exists(spark, f"{out_dir}/state/round={begin}/_SUCCESS"):
+    while exists(spark, f"{out_dir}/log/round={begin}/_SUCCESS"):
         begin += 1
-    if begin:
-        for r in spark.read.parquet(f"{out_dir}/state/round={begin - 1}").select("run_id", "w").collect():
-            weights[r.run_id] = np.array(r.w)
+    weights = spark.read.parquet(f"{out_dir}/weights/round={begin - 1}") if begin else _fresh(start_weights(spark, model, {s.run_id: s.seed for s in specs}), f"{out_dir}/weights/round=-1")
     for t in range(begin, first.rounds):
+        picked, took = rounds.where(F.col("round") == t), {"train_s": None, "compress_s": None, "server_s": None}
         now = time.time()
-        picked = rounds.where(F.col("round") == t)
-        delta = _fresh(local_update(train.where(F.col("bucket").isin(*folders.get(t, ()))), picked, weights, model, first.lr, first.epochs, first.batch_size, first.seed, partitions), f"{out_dir}/delta/round={t}")
-        took = {"train_s": time.time() - now}
-        now = time.time()
-        info = picked.select("run_id", "client_id", "k", "weight")
+        folders = by_round[t].folders if t in by_round else []
+        delta = _fresh(local_update(train.where(F.col("bucket").isin(*folders)), picked, weights, model, first.lr, first.epochs, first.batch_size, first.seed, partitions), f"{out_dir}/delta/round={t}")
+        took["train_s"], now = time.time() - now, time.time()
         kept = []
         for n, group in enumerate(groups):  # one pass over the updates for all runs that compress alike
             runs = [s.run_id for s in group]
-            own, mine = (df.where(F.col("run_id").isin(runs)) if len(groups) > 1 else df for df in (delta, info))
+            own, mine = (df.where(F.col("run_id").isin(runs)) if len(groups) > 1 else df for df in (delta, picked))
             if group[0].error_feedback:
-                kept.append(_with_feedback(own, mine, group[0], model, f"{out_dir}/residual/{n}", t))
+                kept.append(_with_feedback(own, mine, group[0], model, f"{out_dir}/residual/{n}", t, by_round[t].before if t in by_round else []))
             else:
-                kept.append(compressed(own.join(mine.drop("weight"), list(KEYS)), group[0], model.layers()).select(*KEYS, "param_idx", "delta"))
-        took["compress_s"] = time.time() - now
-        now = time.time()
-        sums = _union(kept).join(info.drop("k"), list(KEYS)).groupBy("run_id", "param_idx").agg(F.sum(F.col("weight") * F.col("delta")).alias("step"), F.count_if(F.col("delta") != 0).alias("degree"))
-        got = sums.toPandas()
-        sent = got.groupby("run_id")["degree"].sum().to_dict()
-        by_run = {s.run_id: s for s in specs}
-        for run_id, g in got.groupby("run_id"):
-            s = by_run[run_id]
-            mask = np.where(g["degree"].to_numpy() <= s.max_degree, s.gamma, 1.0)
-            w = weights[run_id].copy()
-            w[g["param_idx"].to_numpy()] -= s.step_size * g["step"].to_numpy() * mask
-            weights[run_id] = w
+                kept.append(compressed(own.join(mine.select(*KEYS, "k"), list(KEYS)), group[0], model.layers()).select(*KEYS, "param_idx", "delta"))
+        sent = _union(kept)
+        if timed:
+            sent = _fresh(sent, f"{out_dir}/sent/round={t}")
+            took["compress_s"], now = time.time() - now, time.time()
+        step = server.server_step(sent, picked, "weight", _by_run(specs, lambda s: float(s.gamma)), _by_run(specs, lambda s: s.max_degree), by=("run_id",))
+        step = _fresh(step, f"{out_dir}/step/round={t}")
+        weights = _fresh(server.apply_step(weights, step, _by_run(specs, lambda s: float(s.step_size)), ("run_id",)), f"{out_dir}/weights/round={t}")
         took["server_s"] = time.time() - now
+        count = {r.run_id: r.n for r in step.groupBy("run_id").agg(F.sum("degree").alias("n")).collect()}
         scores = {}
         if (t + 1) % first.eval_every == 0 or t == first.rounds - 1:
             seen = test if first.eval_share >= 1 else test.where(uniform(first.seed, "eval", "sample_id") < first.eval_share)
-            for r in evaluate(seen, weights, model).groupBy("run_id").agg((F.sum("correct") / F.sum("n")).alias("accuracy"), (F.sum("loss") / F.sum("n")).alias("loss")).collect():
+            for r in evaluate(seen, weights, model, len(specs)).groupBy("run_id").agg((F.sum("correct") / F.sum("n")).alias("accuracy"), (F.sum("loss") / F.sum("n")).alias("loss")).collect():
                 scores[r.run_id] = (r.accuracy, r.loss)
         log = []
         for s in specs:
             a = account.get((s.run_id, t))
-            accuracy, loss = scores.get(s.run_id, (None, None))
-            log.append((s.run_id, accuracy, loss, a and a.t_actual, a and a.t_max, a and a.t_min, a and a.coef_sum, int(sent.get(s.run_id, 0)), took["train_s"], took["compress_s"], took["server_s"]))
-        columns = [pa.array(c, k) for c, k in zip(zip(*log, strict=True), LOG_KINDS, strict=True)] + [pa.array([weights[s.run_id] for s in specs], pa.list_(pa.float64()))]
-        # one table holds the round's log and weights: it is there whole or not at all
-        spark.createDataFrame(pa.table(columns, names=[*LOG_NAMES, "w"])).coalesce(1).write.mode("overwrite").parquet(f"{out_dir}/state/round={t}")
-        if not keep_updates:
-            removed(spark, f"{out_dir}/delta/round={t}")
+            log.append((s.run_id, *scores.get(s.run_id, (None, None)), a and a.t_actual, a and a.t_max, a and a.t_min, a and a.coef_sum, int(count.get(s.run_id, 0)), *took.values()))
+        columns = [pa.array(c, k) for c, k in zip(zip(*log, strict=True), LOG_KINDS, strict=True)]
+        spark.createDataFrame(pa.table(columns, names=LOG_NAMES)).coalesce(1).write.mode("overwrite").parquet(f"{out_dir}/log/round={t}")
+        # what no later round reads
+        for part in (f"weights/round={t - 2}", f"step/round={t}", *([] if keep_updates else [f"delta/round={t}", f"sent/round={t}"])):
+            removed(spark, f"{out_dir}/{part}")
+        for p in [p for p, r in by_round.items() if p < t and r.needed_till < t]:
+            for n in range(len(groups)):
+                removed(spark, f"{out_dir}/residual/{n}/round={p}")
+            del by_round[p]
         goals = [(s.target_accuracy, scores.get(s.run_id, (0, 0))[0]) for s in specs]
         if all(goal is not None and reached is not None and reached >= goal for goal, reached in goals):
             break
-    return spark.read.schema(LOG).parquet(f"{out_dir}/state").where(F.col("round") < first.rounds), weights
-
-
-def _fresh(df: DataFrame, path: str) -> DataFrame:
-    """df written anew (a round that broke off may have left parts)."""
-    df.write.mode("overwrite").parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return spark.read.schema(LOG).parquet(f"{out_dir}/log").where(F.col("round") < first.rounds), weights
 
 
 def _compression(s: RunSpec) -> tuple:
@@ -188,22 +206,26 @@ def _compression(s: RunSpec) -> tuple:
     return (s.compressor, s.scope, s.error_feedback, s.tau if s.compressor == "threshold" else 0, s.bits if s.compressor == "quantize" else 0, s.base_ratio if s.scope == "layer" else 0)
 
 
-def _with_feedback(delta: DataFrame, info: DataFrame, spec: RunSpec, model: Model, where: str, t: int) -> DataFrame:
-    """Send the top of update plus residual; what is left becomes the residual of the round's clients,
-    others' residuals are carried over. Each round's residuals are a new table."""
-    spark = delta.sparkSession
-    if t and exists(spark, f"{where}/round={t - 1}"):
-        old = spark.read.parquet(f"{where}/round={t - 1}")
-        mine = old.join(info.select(*KEYS), list(KEYS), "left_semi")
-        total = delta.join(mine.withColumnRenamed("residual", "__old"), [*KEYS, "param_idx"], "full").select(*KEYS, "param_idx", (F.coalesce("delta", F.lit(0.0)) + F.coalesce("__old", F.lit(0.0))).alias("delta"))
-        others = old.join(info.select(*KEYS), list(KEYS), "left_anti")
+def _with_feedback(delta: DataFrame, picked: DataFrame, spec: RunSpec, model: Model, where: str, t: int, before: list[int]) -> DataFrame:
+    """Send what is kept of update plus residual; what is left becomes the residual of the round's clients.
+
+    A client's residual lies in the table of the round in which it took part before, so that absent clients' residuals
+    stay where they are.
+    """
+    spark, on = delta.sparkSession, [*KEYS, "param_idx"]
+    tables = [spark.read.parquet(f"{where}/round={p}").select(*on, "residual", F.lit(p).alias("before")) for p in before]
+    old = _union(tables).where("residual <> 0").join(picked.select(*KEYS, "before"), [*KEYS, "before"]).select(*on, "residual") if tables else None
+    if spec.compressor == "topk" and spec.scope == "global":
+        rows = compress.ef_topk(delta, old, picked.select(*KEYS, "k"), KEYS)
     else:
-        total, others = delta, None
-    total = _fresh(total.where("delta <> 0"), f"{where}/total/round={t}")
-    sent = compressed(total.join(info.drop("weight"), list(KEYS)), spec, model.layers()).select(*KEYS, "param_idx", "delta")
-    left = total.join(sent.withColumnRenamed("delta", "__sent"), [*KEYS, "param_idx"], "left").select(*KEYS, "param_idx", (F.col("delta") - F.coalesce("__sent", F.lit(0.0))).alias("residual")).where("residual <> 0")
-    (left if others is None else left.unionByName(others.select(*left.columns))).write.mode("overwrite").parquet(f"{where}/round={t}")
-    return sent
+        total = delta.select(*on, "delta")
+        if old is not None:
+            total = total.join(old, on, "full").select(*on, (F.coalesce("delta", F.lit(0.0)) + F.coalesce("residual", F.lit(0.0))).alias("delta"))
+        total = total.where("delta <> 0")
+        kept = compressed(total.join(picked.select(*KEYS, "k"), list(KEYS)), spec, model.layers()).select(*on, F.col("delta").alias("sent"))
+        sent = F.coalesce("sent", F.lit(0.0))
+        rows = total.join(kept, on, "left").select(*on, sent.alias("sent"), (F.col("delta") - sent).alias("residual"))
+    return _fresh(rows, f"{where}/round={t}").where("sent <> 0").select(*on, F.col("sent").alias("delta"))
 
 
 def run_all(specs: list[RunSpec], samples: DataFrame, n_classes: int, **more) -> DataFrame:

@@ -117,16 +117,28 @@ def base_bound(spark: SparkSession, sf_dir: str, ratio: float = RATIO) -> int:
     return int(ratio * updates.n_params(spark, sf_dir)) + 1
 
 
+def counted(spark: SparkSession, sf_dir: str, how: str = "topk", ratio: float = RATIO) -> tuple[DataFrame, int]:
+    """(k of round 0's clients under the uniform or paced schedule, a bound of it)."""
+    if how == "topk":
+        return first_round(spark, sf_dir).select("client_id", base_k(spark, sf_dir, ratio).alias("k")), base_bound(spark, sf_dir, ratio)
+    rows = schedule.paced_ratios(selected(spark, sf_dir), ratio, updates.n_params(spark, sf_dir), V).where("round = 0")
+    return rows.select("client_id", "k"), base_bound(spark, sf_dir, 1.0)
+
+
 def kept(spark: SparkSession, sf_dir: str, how: str = "topk", ratio: float = RATIO) -> DataFrame:
     """Updates of round 0's clients after uniform or paced top-k."""
-    u = updates.update_lineitem(spark, sf_dir, N)
-    if how == "topk":
-        s = first_round(spark, sf_dir).select("client_id", base_k(spark, sf_dir, ratio).alias("k"))
-        bound = base_bound(spark, sf_dir, ratio)
-    else:
-        s = schedule.paced_ratios(selected(spark, sf_dir), ratio, updates.n_params(spark, sf_dir), V).where("round = 0").select("client_id", "k")
-        bound = base_bound(spark, sf_dir, 1.0)
-    return compress.topk(u.join(F.broadcast(s), "client_id"), k_max=bound)
+    k, bound = counted(spark, sf_dir, how, ratio)
+    return compress.topk_bounded(updates.update_lineitem(spark, sf_dir, N).join(F.broadcast(k), "client_id"), bound)
+
+
+def ranked_for(spark: SparkSession, sf_dir: str, cases: list[tuple[str, float]]) -> DataFrame:
+    """Updates of round 0's clients ranked once, with k0, k1, ...: how many each (schedule, ratio) keeps."""
+    ks, bounds = zip(*(counted(spark, sf_dir, *c) for c in cases), strict=True)
+    side = ks[0].withColumnRenamed("k", "k0")
+    for i, k in enumerate(ks[1:], 1):
+        side = side.join(k.withColumnRenamed("k", f"k{i}"), "client_id")
+    side = side.withColumn("k", F.greatest(*(f"k{i}" for i in range(len(cases)))))
+    return compress.topk(updates.update_lineitem(spark, sf_dir, N).join(F.broadcast(side), "client_id"), k_max=max(bounds))
 
 
 # --- links and times ---------------------------------------------------------------------------------------
@@ -198,6 +210,12 @@ def select_clients_rounds(spark, sf_dir):
     return selected(spark, sf_dir).select("round", "client_id")
 
 
+@query(f"SELECT r.round::INT AS round, client_id FROM clients, range({ROUNDS}) r(round) WHERE {u_sql('select', 'r.round', 'client_id')} < {FRACTION}")
+def select_threshold(spark, sf_dir):
+    """Clients drawn one by one with their hash; for registries too large to rank."""
+    return schedule.select_by_threshold(clients(spark, sf_dir), ROUNDS, FRACTION, SEED).select("round", "client_id")
+
+
 @query("SELECT round, round(max(t_base), 6) AS t_bench, arg_max(client_id, {'t': t_base, 'c': -client_id}) AS pace_client FROM based GROUP BY round")
 def pace_time(spark, sf_dir):
     return schedule.pace_time(selected(spark, sf_dir), RATIO, V).select("round", r6("t_bench").alias("t_bench"), "pace_client")
@@ -383,7 +401,7 @@ def topk_layer(spark, sf_dir):
 
 @query("SELECT client_id, param_idx, delta, rank::INT AS rank FROM kept_paced")
 def topk_paced(spark, sf_dir):
-    return kept(spark, sf_dir, "paced").select("client_id", "param_idx", "delta", "rank")
+    return ranked_for(spark, sf_dir, [("paced", RATIO)]).select("client_id", "param_idx", "delta", "rank")
 
 
 @query(TOPK_SQL)
@@ -433,7 +451,7 @@ def sign_compress(spark, sf_dir):
 
 @query("SELECT client_id, round(sum(CASE WHEN rank <= greatest(1, floor(0.1 * n + 1e-9)) THEN delta * delta ELSE 0 END) / sum(delta * delta), 6) AS energy FROM ranked, p GROUP BY 1")
 def energy_kept(spark, sf_dir):
-    return compress.energy_kept(updates.update_lineitem(spark, sf_dir, N), topk_global(spark, sf_dir)).select("client_id", r6("energy").alias("energy"))
+    return compress.energy_marked(compress.topk_marked(_with_k(spark, sf_dir))).select("client_id", r6("energy").alias("energy"))
 
 
 @query("SELECT client_id, param_idx, delta::FLOAT::DOUBLE AS delta FROM kept_topk")
@@ -471,6 +489,27 @@ def ef_residual(spark, sf_dir):
     return _ef_columns(one, 0).union(_ef_columns(two, 1)).where("residual <> 0")
 
 
+@query(f""", e0 AS (SELECT u.*, {RANK} AS rank FROM u1t u JOIN (SELECT client_id FROM sel WHERE round = 0) USING (client_id) WHERE u.round = 0 AND delta <> 0)
+, left0 AS (SELECT client_id, param_idx, delta AS residual FROM e0, p WHERE rank > {k_sql(str(RATIO))})
+, e1 AS (SELECT client_id, param_idx, coalesce(u.delta, 0) + coalesce(o.residual, 0) AS delta FROM (SELECT u1t.* FROM u1t JOIN (SELECT client_id FROM sel WHERE round = 1) USING (client_id) WHERE u1t.round = 1) u FULL JOIN left0 o USING (client_id, param_idx))
+, e1r AS (SELECT e1.*, s.client_id IS NOT NULL AS here, {RANK.replace("client_id", "e1.client_id", 1)} AS rank FROM e1 LEFT JOIN (SELECT client_id FROM sel WHERE round = 1) s ON s.client_id = e1.client_id WHERE delta <> 0)
+SELECT client_id, param_idx, round(CASE WHEN here AND rank <= {k_sql(str(RATIO))} THEN delta ELSE 0 END, 6) + 0.0 AS sent, round(CASE WHEN here AND rank <= {k_sql(str(RATIO))} THEN 0 ELSE delta END, 6) + 0.0 AS residual FROM e1r, p""")
+def ef_partial(spark, sf_dir):
+    """Two rounds of error feedback in which each round's own clients take part; absent clients keep their residuals."""
+    u = updates.update_lineitem_rounds(spark, sf_dir, N)
+    k = selected(spark, sf_dir, 2).select("round", "client_id", base_k(spark, sf_dir).alias("k"))
+    here = u.join(k.select("round", "client_id"), ["round", "client_id"], "left_semi")
+    one = compress.ef_topk(here.where("round = 0"), None, k.where("round = 0").drop("round"))
+    return _ef_columns(compress.ef_topk(here.where("round = 1"), one, k.where("round = 1").drop("round")), 1).drop("round")
+
+
+@query("SELECT client_id, param_idx, round(delta, 6) AS delta, rank <= " + k_sql(str(RATIO)) + " AS kept FROM ranked, p")
+def topk_marked(spark, sf_dir):
+    """Every coordinate of every update and whether top-k keeps it; no update is sorted whole."""
+    rows = updates.update_lineitem(spark, sf_dir, N).withColumn("k", base_k(spark, sf_dir))
+    return compress.topk_marked(rows).select("client_id", "param_idx", r6("delta").alias("delta"), "kept")
+
+
 # --- overlap and boost --------------------------------------------------------------------------------------
 
 
@@ -488,23 +527,22 @@ def _hist_sql(how: str, ratio: float) -> str:
     return f"SELECT '{how}' AS method, {ratio}::DOUBLE AS base_ratio, degree, count(*) AS n_coords, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM (SELECT param_idx, count(*) AS degree FROM ({rows}) GROUP BY 1) GROUP BY degree"
 
 
-def _hist(spark, sf_dir, hows):
-    out = None
-    for how in hows:
-        for ratio in (0.1, 0.01):
-            rows = overlap.overlap_histogram(overlap.overlap_degree(kept(spark, sf_dir, how, ratio))).select(F.lit(how).alias("method"), F.lit(ratio).alias("base_ratio"), "degree", "n_coords", r6("share").alias("share"))
-            out = rows if out is None else out.union(rows)
-    return out
+def _hist(spark, sf_dir, how):
+    """Both ratios from one ranking and one count."""
+    ratios = (0.1, 0.01)
+    rows = ranked_for(spark, sf_dir, [(how, r) for r in ratios]).groupBy("param_idx").agg(*(F.count_if(F.col("rank") <= F.col(f"k{i}")).alias(f"d{i}") for i in range(len(ratios))))
+    degrees = rows.select("param_idx", F.explode(F.array(*(F.struct(F.lit(r).alias("base_ratio"), F.col(f"d{i}").alias("degree")) for i, r in enumerate(ratios)))).alias("x")).select("x.*").where("degree > 0")
+    return overlap.overlap_histogram(degrees, ("base_ratio",)).select(F.lit(how).alias("method"), "base_ratio", "degree", "n_coords", r6("share").alias("share"))
 
 
 @query(" UNION ALL ".join(_hist_sql("topk", r) for r in (0.1, 0.01)))
 def overlap_histogram(spark, sf_dir):
-    return _hist(spark, sf_dir, ["topk"])
+    return _hist(spark, sf_dir, "topk")
 
 
 @query(" UNION ALL ".join(_hist_sql("paced", r) for r in (0.1, 0.01)))
 def overlap_histogram_paced(spark, sf_dir):
-    return _hist(spark, sf_dir, ["paced"])
+    return _hist(spark, sf_dir, "paced")
 
 
 @query("""SELECT degree, count(*) AS n_coords, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM (SELECT token, count(*) AS degree FROM (SELECT client_id, token, row_number() OVER (PARTITION BY client_id ORDER BY n DESC, token) AS r FROM (
@@ -530,14 +568,10 @@ def boost_mask(spark, sf_dir):
 
 @query("SELECT CASE WHEN a AND b THEN 'both' WHEN a THEN 'topk' ELSE 'paced' END AS side, count(*) AS n FROM (SELECT param_idx, bool_or(w = 't') AS a, bool_or(w = 'p') AS b FROM (SELECT param_idx, 't' AS w FROM kept_topk UNION SELECT param_idx, 'p' FROM kept_paced) GROUP BY 1) GROUP BY 1")
 def support_sets(spark, sf_dir):
-    """Coordinates kept under both schedules, or one alone: intersect and except."""
-    a, b = kept(spark, sf_dir).select("param_idx").distinct(), kept(spark, sf_dir, "paced").select("param_idx").distinct()
-    parts = [("both", a.intersect(b)), ("topk", a.subtract(b)), ("paced", b.subtract(a))]
-    out = None
-    for side, rows in parts:
-        one = rows.groupBy(F.lit(side).alias("side")).agg(F.count("*").alias("n"))
-        out = one if out is None else out.union(one)
-    return out
+    """Coordinates kept under both schedules, or one alone; from one ranking."""
+    rows = ranked_for(spark, sf_dir, [("topk", RATIO), ("paced", RATIO)]).groupBy("param_idx").agg(*(F.bool_or(F.col("rank") <= F.col(f"k{i}")).alias(c) for i, c in enumerate("ab")))
+    side = F.when(F.col("a") & F.col("b"), "both").when(F.col("a"), "topk").otherwise("paced")
+    return rows.where("a or b").groupBy(side.alias("side")).agg(F.count("*").alias("n"))
 
 
 # --- server steps -------------------------------------------------------------------------------------------
