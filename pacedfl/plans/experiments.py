@@ -9,6 +9,7 @@ number of settings tried is a column of its result.
 from __future__ import annotations
 
 from dataclasses import replace
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
@@ -64,19 +65,26 @@ def curves(spark: SparkSession, sf_dir: str, workload: str = "W1", **more) -> Da
     return metrics.curve(run_all(grid_specs(**more), make(spark, sf_dir), n))
 
 
-def alpha_tuning(spark: SparkSession, sf_dir: str, workload: str = "W3", beta: float = 0.1, ratio: float = 0.1, rounds: int = 20, methods=("paced", "boosted", "topk"), seed: int = 42) -> DataFrame:
-    """Server factor of each method, chosen on a validation third; baselines get the same budget through server_lr."""
+def alpha_tuning(spark: SparkSession, sf_dir: str, workload: str = "W3", betas=BETAS, ratios=RATIOS, rounds: int = 20, methods=("paced", "boosted", "topk", "ef_topk"), seeds=(42,)) -> DataFrame:
+    """Server factor of each method and cell, chosen on a validation third by mean accuracy over the seeds; baselines get
+    the same budget through server_lr. tried: settings of each method and cell."""
     make, n = WORKLOADS[workload]
-    samples = make(spark, sf_dir).where("not is_test").withColumn("is_test", uniform(seed, "valid", "sample_id") < 1 / 3)
-    specs = []
-    for m in methods:
-        for a in ALPHAS:
-            s = method(m, run_id=f"{m}|a{a}", beta=beta, base_ratio=ratio, rounds=rounds, seed=seed)
-            specs.append(replace(s, alpha=a) if s.coef == "adjusted" else replace(s, server_lr=a / 0.3))
-    last = metrics.final_accuracy(run_all(specs, samples, n))
-    part = F.split("run_id", r"\|a")
-    rows = last.select(part[0].alias("method"), part[1].cast("double").alias("alpha"), "accuracy")
-    return rows.groupBy("method").agg(F.max_by("alpha", F.struct("accuracy", -F.col("alpha"))).alias("best_alpha"), F.max("accuracy").alias("accuracy"), F.count("*").alias("tried"))
+    logs = []
+    for seed in seeds:
+        samples = make(spark, sf_dir).where("not is_test").withColumn("is_test", uniform(seed, "valid", "sample_id") < 1 / 3)
+        specs = []
+        for m in methods:
+            for b in betas:
+                for r in ratios:
+                    for a in ALPHAS:
+                        s = method(m, run_id=f"{m}@{a}|b{b}|r{r}|s{seed}", beta=b, base_ratio=r, rounds=rounds, seed=seed)
+                        specs.append(replace(s, alpha=a) if s.coef == "adjusted" else replace(s, server_lr=a / 0.3))
+        logs.append(labelled(metrics.final_accuracy(run_all(specs, samples, n)), workload))
+    rows = reduce(DataFrame.unionByName, logs)
+    part = F.split("method", "@")
+    means = rows.groupBy(part[0].alias("method"), part[1].cast("double").alias("alpha"), "beta", "base_ratio").agg(F.avg("accuracy").alias("accuracy"))
+    best = F.max_by("alpha", F.struct("accuracy", -F.col("alpha")))
+    return means.groupBy("method", "beta", "base_ratio").agg(best.alias("best_alpha"), F.max("accuracy").alias("accuracy"), F.count("*").alias("tried"))
 
 
 def gamma_sweep(spark: SparkSession, sf_dir: str, workload: str = "W1", n_clients: int = 10, betas=BETAS, ratios=RATIOS, gammas=None, rounds: int = 20, seed: int = 42) -> DataFrame:
@@ -97,14 +105,15 @@ def client_scaling(spark: SparkSession, sf_dir: str, workload: str = "W1", count
     return rows.groupBy("n_clients", "beta", "base_ratio").agg(F.max_by("gamma", F.struct("accuracy", -F.col("gamma"))).alias("best_gamma"), F.max("accuracy").alias("accuracy"))
 
 
-def time_to_accuracy(spark: SparkSession, sf_dir: str, workload: str = "W1", target: float = 0.4, rounds: int = 20, seed: int = 42) -> DataFrame:
-    """Communication seconds to the target at beta 0.1, and the speed-up over uniform top-k at each ratio."""
+def time_to_accuracy(spark: SparkSession, sf_dir: str, workload: str = "W1", targets=(0.4, 0.6), rounds: int = 20, seed: int = 42, beta: float = 0.1) -> DataFrame:
+    """Communication seconds to each target, and the speed-up over uniform top-k at the same ratio. Error feedback is
+    billed twice: with its indexes, and (ef_topk_values) by its values alone."""
     make, n = WORKLOADS[workload]
-    log = run_all(grid_specs(betas=(0.1,), seeds=(seed,), rounds=rounds), make(spark, sf_dir), n)
-    reached = metrics.time_to_target(log, target)
-    rows = labelled(reached, workload).drop("run_id")
-    ref = rows.where("method = 'topk'").select("base_ratio", F.col("time_actual").alias("__ref"))
-    return rows.join(F.broadcast(ref), "base_ratio").select("workload", "method", "base_ratio", "round_hit", "time_actual", "time_max", "time_min", (F.col("__ref") / F.col("time_actual")).alias("speedup"))
+    specs = grid_specs(betas=(beta,), seeds=(seed,), rounds=rounds) + [method("ef_topk", run_id=f"ef_topk_values|b{beta}|r{r}|s{seed}", beta=beta, base_ratio=r, seed=seed, rounds=rounds, payload_factor=1.0) for r in RATIOS]
+    log = run_all(specs, make(spark, sf_dir), n)
+    rows = reduce(DataFrame.unionByName, [labelled(metrics.time_to_target(log, t), workload).drop("run_id").withColumn("target", F.lit(float(t))) for t in targets])
+    ref = rows.where("method = 'topk'").select("base_ratio", "target", F.col("time_actual").alias("__ref"))
+    return rows.join(ref, ["base_ratio", "target"]).select("workload", "target", "method", "base_ratio", "round_hit", "time_actual", "time_max", "time_min", (F.col("__ref") / F.col("time_actual")).alias("speedup"))
 
 
 def overlap_distribution(spark: SparkSession, sf_dir: str, workload: str = "W1", betas=BETAS, ratios=RATIOS, seed: int = 42) -> DataFrame:
@@ -130,9 +139,11 @@ def regression(spark: SparkSession, sf_dir: str, rounds: int = 5, methods=MAIN,
     return log.select("run_id", "round", "loss", "sent_rows", "t_actual")
 
 
-def round_breakdown(spark: SparkSession, sf_dir: str, workload: str = "W1", rounds: int = 5) -> DataFrame:
+def round_breakdown(spark: SparkSession, sf_dir: str, workload: str = "W1", rounds: int = 5, methods=MAIN, beta: float = 0.1, ratio: float = 0.1) -> DataFrame:
+    """Mean seconds of a round by part; every method runs alone, and each part is written before the next begins."""
     make, n = WORKLOADS[workload]
-    return metrics.breakdown(run_all(grid_specs(betas=(0.1,), rounds=rounds), make(spark, sf_dir), n))
+    logs = [run_cohort([method(m, beta=beta, base_ratio=ratio, rounds=rounds)], make(spark, sf_dir), n, timed=True)[0] for m in methods]
+    return metrics.breakdown(reduce(DataFrame.unionByName, logs))
 
 
 def accuracy_over_time(spark: SparkSession, sf_dir: str, workload: str = "W1", step_s: float = 100.0, steps: int = 40, **more) -> DataFrame:

@@ -122,8 +122,11 @@ def summary_sets(finals: DataFrame) -> DataFrame:
 
 
 def breakdown(log: DataFrame) -> DataFrame:
-    """Mean seconds of a round by part, from the loop's wall timers and the simulated uploads."""
-    return log.groupBy("run_id").agg(*(F.avg(c).alias(c) for c in ("train_s", "compress_s", "server_s", "t_max", "t_actual")))
+    """Mean seconds of a round by part, from the timers of a timed run and the simulated uploads; round_s is the parts
+    that were computed and the upload together."""
+    parts = ("train_s", "compress_s", "server_s", "t_actual")
+    rows = log.groupBy("run_id").agg(*(F.avg(c).alias(c) for c in (*parts, "t_max")))
+    return rows.withColumn("round_s", sum((F.col(c) for c in parts[1:]), F.col(parts[0])))
 
 
 def confusion(predicted: DataFrame) -> DataFrame:

@@ -137,7 +137,7 @@ def ranked_for(spark: SparkSession, sf_dir: str, cases: list[tuple[str, float]])
     side = ks[0].withColumnRenamed("k", "k0")
     for i, k in enumerate(ks[1:], 1):
         side = side.join(k.withColumnRenamed("k", f"k{i}"), "client_id")
-    side = side.withColumn("k", F.greatest(*(f"k{i}" for i in range(len(cases)))))
+    side = side.withColumn("k", F.array_max(F.array(*(f"k{i}" for i in range(len(cases))))))
     return compress.topk(updates.update_lineitem(spark, sf_dir, N).join(F.broadcast(side), "client_id"), k_max=max(bounds))
 
 
@@ -919,50 +919,64 @@ def report_pivot(spark, sf_dir):
     return rows.select("round", *(r6(m).alias(m) for m in metrics.METHODS))
 
 
-# --- experiments, short forms (full grids: pacedfl.plans.experiments) -------------------------------------------
+# --- experiments (more rounds, seeds and workloads: pacedfl.plans.experiments) ------------------------------------
+
+
+def _accuracy_grid(workload: str):
+    @query(name=f"experiment_accuracy_grid_{workload.lower()}")
+    def run(spark, sf_dir):
+        """Five methods, both skews, both ratios, five rounds."""
+        rows = experiments.accuracy_grid(spark, sf_dir, (workload,), rounds=5)
+        return rows.select("workload", "method", "beta", "base_ratio", r6("accuracy").alias("accuracy"), r6("t_actual").alias("t_actual"))
+
+    return run
+
+
+for _w in ("W1", "W2", "W3", "W5"):
+    _accuracy_grid(_w)
 
 
 @query()
-def experiment_accuracy_grid(spark, sf_dir):
-    """Five methods at two ratios, planted classes, three rounds."""
-    rows = experiments.accuracy_grid(spark, sf_dir, ("W3",), betas=(0.5,), rounds=3)
-    return rows.select("workload", "method", "beta", "base_ratio", r6("accuracy").alias("accuracy"), r6("t_actual").alias("t_actual"))
+def experiment_curves(spark, sf_dir):
+    """Accuracy by round, with its change and moving average: both skews and ratios."""
+    return experiments.curves(spark, sf_dir, "W3", rounds=5).select("run_id", "round", *(r6(c).alias(c) for c in ("accuracy", "change", "smooth")))
 
 
 @query()
 def experiment_gamma_sweep(spark, sf_dir):
-    """Boosts of 1 to 10 at one cell, three rounds, one cohort."""
-    return experiments.gamma_sweep(spark, sf_dir, "W3", betas=(0.1,), ratios=(0.1,), rounds=3).withColumn("accuracy", r6("accuracy"))
+    """Boosts of 1 to 10 in all four cells, one cohort a skew."""
+    return experiments.gamma_sweep(spark, sf_dir, "W1", rounds=5).withColumn("accuracy", r6("accuracy"))
 
 
 @query()
 def experiment_client_scaling(spark, sf_dir):
-    """Best boost for 10, 16 and 20 clients, two rounds."""
-    return experiments.client_scaling(spark, sf_dir, "W3", betas=(0.1,), ratios=(0.1,), gammas=(1, 3, 5, 7), rounds=2).withColumn("accuracy", r6("accuracy"))
+    """Best boost of 1 to N for N of 10, 16 and 20 clients, at the severe skew and both ratios."""
+    return experiments.client_scaling(spark, sf_dir, "W1", betas=(0.1,), rounds=3).withColumn("accuracy", r6("accuracy"))
 
 
 @query()
 def experiment_time_to_accuracy(spark, sf_dir):
-    """Communication time to 40 % on planted classes, and the speed-up over top-k."""
-    rows = experiments.time_to_accuracy(spark, sf_dir, "W3", 0.4, rounds=4)
-    return rows.select("method", "base_ratio", "round_hit", *(r6(c).alias(c) for c in ("time_actual", "time_max", "time_min", "speedup")))
+    """Communication time to 40 % and 60 %, and the speed-up over top-k."""
+    rows = experiments.time_to_accuracy(spark, sf_dir, "W1", rounds=ROUNDS)
+    return rows.select("target", "method", "base_ratio", "round_hit", *(r6(c).alias(c) for c in ("time_actual", "time_max", "time_min", "speedup")))
 
 
 @query()
 def experiment_alpha_tuning(spark, sf_dir):
-    """Server factor by validation, two rounds."""
-    return experiments.alpha_tuning(spark, sf_dir, "W3", rounds=2).withColumn("accuracy", r6("accuracy"))
+    """Server factor by validation, of every cell; the baselines' rates get the same number of trials."""
+    return experiments.alpha_tuning(spark, sf_dir, "W3", rounds=3).withColumn("accuracy", r6("accuracy"))
 
 
 @query()
 def experiment_breakdown(spark, sf_dir):
     """Seconds of a round by part (wall clock, so values differ from run to run)."""
-    return experiments.round_breakdown(spark, sf_dir, "W3", rounds=2)
+    return experiments.round_breakdown(spark, sf_dir, "W1", rounds=2)
 
 
 @query()
 def experiment_accuracy_over_time(spark, sf_dir):
-    return experiments.accuracy_over_time(spark, sf_dir, "W3", betas=(0.5,), ratios=(0.1,), rounds=3, steps=10).withColumn("accuracy", r6("accuracy"))
+    """Accuracy on a grid of communication seconds, all four cells."""
+    return experiments.accuracy_over_time(spark, sf_dir, "W3", rounds=5, steps=10).withColumn("accuracy", r6("accuracy"))
 
 
 @query()
@@ -974,8 +988,8 @@ def experiment_quality_balanced(spark, sf_dir):
 
 @query()
 def experiment_overlap(spark, sf_dir):
-    """Degrees of overlap after a trained first round, at both ratios."""
-    return experiments.overlap_distribution(spark, sf_dir, "W1", betas=(0.1,)).withColumn("share", r6("share"))
+    """Degrees of overlap after a trained first round, at both skews and ratios."""
+    return experiments.overlap_distribution(spark, sf_dir, "W1").withColumn("share", r6("share"))
 
 
 @query()
