@@ -25,7 +25,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, functions as F
 
-from pacedfl.llm.common import checkpointed, mix, popcount, raw, slices
+from pacedfl.llm.common import checkpointed, dealt, mix, popcount, raw, repeated, salted, slices
 
 RADIUS = 3
 PIVOTS = 12
@@ -148,44 +148,45 @@ def near_links(fps: DataFrame, hot: int = HOT) -> DataFrame:
     return _links_in_groups(calm).union(_links_in_groups(split)).distinct()
 
 
-def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """(node, root) of every node that has a link; root is the smallest node of its component."""
-    both = checkpointed(links.select("a", "b").union(links.select("b", "a")).where("a <> b").distinct())
+def components(links: DataFrame) -> DataFrame:
+    """(node, root) of every node that has a link; root is the smallest node of its component. A node with a large share
+    of the links is dealt over several tasks. Labels only fall, so the rounds end."""
+    both = links.select("a", "b").union(links.select("b", "a")).where("a <> b").distinct()
+    both = checkpointed(both)
+    hot = checkpointed(dealt(both.groupBy("b").agg(F.count("*").alias("n")), "b", both.count()))
+    both = checkpointed(salted(both, hot, "b", F.col("a")))
     label = checkpointed(both.groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("root")).withColumnRenamed("a", "node"))
-    for _ in range(max_rounds):
-        seen = both.join(label.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("root").alias("seen"))
+    while True:
+        seen = both.join(repeated(label.withColumnRenamed("node", "b"), hot, "b"), ["b", "__salt"]).groupBy("a").agg(F.min("root").alias("seen"))
         moved = label.join(seen.withColumnRenamed("a", "node"), "node").select("node", F.col("root").alias("old"), F.least("root", "seen").alias("root"))
         up = label.select(F.col("node").alias("root"), F.col("root").alias("up"))
         new = checkpointed(moved.join(up, "root", "left").select("node", "old", F.least("root", F.coalesce("up", "root")).alias("root")))
         label = new.select("node", "root")
         if new.where("root <> old").isEmpty():
             return label
-    raise RuntimeError("components did not settle")
+
+
+def pivot_counts(fps: np.ndarray) -> list[int]:
+    """Pairs of the distinct fingerprints given: all, those that each further pivot leaves, and those within RADIUS.
+    For reports on how much the pivots discard; quadratic."""
+    i, j = np.triu_indices(len(fps), 1)
+    out, table = [len(i)], popcount(fps[:, None] ^ _PIVOTS[None, :]).astype(np.int16)
+    for p in range(PIVOTS):
+        near = np.abs(table[i, p] - table[j, p]) <= RADIUS
+        i, j = i[near], j[near]
+        out.append(len(i))
+    return [*out, int((popcount(fps[i] ^ fps[j]) <= RADIUS).sum())]
 
 
 def near_duplicate_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT, size: int = 3) -> DataFrame:
     """id, fingerprint (16 hex digits) and component_id (smallest id reachable) for every row."""
     marked = checkpointed(fingerprints(docs.select(F.col(id_col).cast("bigint").alias(id_col), F.col(text_col).alias(text_col)), None, id_col, text_col, size))
-    nodes = checkpointed(marked.groupBy("fp").agg(F.min(id_col).alias("first")))
+    nodes = checkpointed(marked.groupBy("fp").agg(F.min(id_col).alias("first"), F.count("*").alias("n")))
     roots = components(near_links(nodes.select("fp"), hot))
     placed = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
     names = placed.groupBy("root").agg(F.min("first").alias("component_id"))
     by_fp = placed.join(names, "root").select("fp", "component_id")
-    return marked.join(by_fp, "fp").select(id_col, F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
-
-
-def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 5) -> DataFrame:
-    """docs without all but one document of each near-duplicate component (the smallest id stays).
-
-    Of rows that repeat an id that stays, one stays; rows without id stay.
-    """
-    names = docs.columns
-    groups = checkpointed(near_duplicate_components(docs, id_col, text_col, size=size))
-    losers = groups.where(f"{id_col} <> component_id").select(F.col(id_col).alias("__loser")).distinct()
-    repeats = groups.groupBy(id_col).count().where(F.col("count") > 1).select(F.col(id_col).alias("__again"))
-    stay = docs.join(losers, docs[id_col] == losers["__loser"], "left_anti")
-    if repeats.where("__again is not null").isEmpty():
-        return stay
-    again = checkpointed(repeats.where("__again is not null"))
-    once = stay.join(again, stay[id_col] == again["__again"], "left_semi").dropDuplicates([id_col])
-    return stay.join(again, stay[id_col] == again["__again"], "left_anti").select(*names).union(once.select(*names))
+    # copies of one text, or empty texts, may be a third of all rows
+    many = checkpointed(dealt(nodes, "fp", nodes.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]))
+    rows = salted(marked, many, "fp", F.col(id_col)).join(repeated(by_fp, many, "fp"), ["fp", "__salt"])
+    return rows.select(id_col, F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

@@ -47,3 +47,20 @@ def test_stages_take_an_empty_table(spark, small):
     for _, stage in p.STAGES:
         docs = stage(spark, docs, small)
         assert docs.count() == 0
+
+
+def test_stages_take_odd_rows(spark, small):
+    """Nulls in any column, empty and very long texts, repeated rows, ties, extra columns with clashing names."""
+    base = spark.read.parquet(f"{small}/documents.parquet").limit(30).collect()
+    rows = [(*r, "x", 1) for r in base]
+    rows += [(None, None, None, None, None, None, None), (9001, None, None, None, None, "x", 1), (9002, "", "en", None, 0, None, None), (9003, "word " * 100_000, "en", "s", 1, "x", 2), (9004, "a" * 200_000, None, "s", 1, "x", 2), rows[0], rows[0], rows[1]]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, __loser string, node int")
+    for name, stage in p.STAGES:
+        after = stage(spark, docs, small)
+        got = after.collect()
+        if name == "tokens":
+            assert len(got) == docs.count()
+            break
+        assert after.columns == docs.columns and len(got) <= docs.count()
+        assert [r for r in got if r.doc_id is None] or name == "quality"
+        docs = spark.createDataFrame(got, docs.schema)

@@ -2,7 +2,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from pacedfl.llm import similar_dedup as wide, simhash_dedup as s
+from pacedfl.llm import common, similar_dedup as wide, simhash_dedup as s
 from pacedfl.llm.common import WordHash
 from pacedfl.llm.queries import op4_simhash
 
@@ -69,11 +69,9 @@ def test_edge_rows(spark):
     docs = spark.createDataFrame([(5, None, "c"), (3, "", "c"), (9, "same words here now", "c"), (9, "same words here now", "c"), (None, "same words here now", "c"), (7, "Same  WORDS here now", "c"), (None, "alone at last", "c")], "doc_id long, text string, component_id string")
     rows = s.near_duplicate_components(docs).collect()
     assert sorted(((r.doc_id, r.component_id) for r in rows), key=repr) == sorted([(5, 3), (3, 3), (9, 7), (9, 7), (None, 7), (7, 7), (None, None)], key=repr)
-    kept = s.one_of_each(docs)
-    assert kept.columns == docs.columns and sorted((r.doc_id for r in kept.collect()), key=repr) == sorted([3, 7, None, None], key=repr)
     assert s.near_duplicate_components(docs.limit(0)).count() == 0
     only = docs.where("doc_id = 9")
-    assert s.one_of_each(only).count() == 1 == wide.one_of_each_group(only).count()
+    assert wide.one_of_each_group(only).count() == 1
 
 
 def exact_components(docs):
@@ -153,3 +151,34 @@ def test_crowded_bands_lose_no_pair(spark):
     """A crowded band is dealt in blocks that all meet: the result is that of whole bands."""
     docs = dict(list(graded_copies().items())[:200])
     assert similar(spark, docs, hot=20) == similar(spark, docs) == exact_components(docs)
+
+
+def test_hot_nodes_and_copies(spark, monkeypatch):
+    """A star, a chain and copies that hold most rows, dealt over several tasks; and a very long text."""
+    monkeypatch.setattr(common, "HOT_SHARE", 3)
+    star = [(5, i) for i in range(100, 160)] + [(i, i + 1) for i in range(200, 290)]
+    got = {r.node: r.root for r in s.components(spark.createDataFrame(star, "a long, b long")).collect()}
+    assert got == {**{i: 5 for i in [5, *range(100, 160)]}, **{i: 200 for i in range(200, 291)}}
+    docs = [(i, "the same words in every row" if i % 3 else f"{i} own words {i * i} and more {i * 7}") for i in range(90)] + [(90, "long text " * 200_000), (91, "long text " * 200_000)]
+    got = {r.doc_id: r.component_id for r in s.near_duplicate_components(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert all(got[i] == 1 for i in range(90) if i % 3) and got[91] == 90 and len(got) == 92
+
+
+def test_pivots_discard_pairs():
+    rng = np.random.default_rng(3)
+    fps = np.unique(rng.integers(0, 2**63, 300, dtype=np.uint64))
+    fps = np.unique(np.concatenate([fps, fps[:40] ^ np.uint64(1 << 7), fps[:10] ^ np.uint64(0b10101)]))
+    counts = s.pivot_counts(fps)
+    assert counts[0] == len(fps) * (len(fps) - 1) // 2 and all(a >= b for a, b in zip(counts, counts[1:]))
+    exact = sum(int(a ^ b).bit_count() <= 3 for i, a in enumerate(fps.tolist()) for b in fps.tolist()[i + 1 :])
+    assert counts[-1] == exact and counts[-2] < 0.02 * counts[0]
+
+
+def test_similar_documents_with_odd_rows(spark):
+    """Null identifiers stay, rows that repeat an identifier leave one, other columns may have any name."""
+    text = " ".join(f"w{i}" for i in range(40))
+    rows = [(1, text, "a", 1), (2, text + " end", "b", 2), (2, text + " end", "b", 3), (None, text, "c", 4), (None, text, "c", 5), (7, None, "d", 6), (8, "", None, 7), (9, "alone here", "e", 8), (9, "alone here", "e", 9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, __loser string, node int")
+    kept = wide.one_of_each_group(docs)
+    assert kept.columns == docs.columns
+    assert sorted((r.doc_id for r in kept.collect()), key=repr) == sorted([1, None, None, 7, 9], key=repr)
