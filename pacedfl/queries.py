@@ -844,14 +844,38 @@ def telemetry_trace_ratio(spark, sf_dir):
 
 @query()
 def stream_telemetry(spark, sf_dir):
-    """Finished day windows of the event stream."""
+    """Finished day windows of the event stream: those that the watermark has passed. The last windows are still open when
+    the stream ends, so they are not in the result (telemetry_tumbling has them all)."""
     obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N).withWatermark("at", "1 day")
     return _windows(telemetry.run_to_table(telemetry.tumbling(obs), "stream"))
 
 
+@query("SELECT DISTINCT client_id, date_trunc('day', ts)::DATE::VARCHAR AS round FROM tel")
+def stream_once(spark, sf_dir):
+    """At-least-once uploads: one of each client and day, duplicates dropped within the watermark."""
+    obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N)
+    up = obs.select("client_id", "at", F.date_format("at", "yyyy-MM-dd").alias("round"))
+    return telemetry.run_to_table(telemetry.once(up, "40 days").select("client_id", "round"), "once")
+
+
+@query(f"SELECT event_id, (user_id % {N})::INT AS client_id, round(value / 50, 6) AS mbps, bandwidth_mbps, latency_s FROM events LEFT JOIN links ON client_id = user_id % {N} WHERE ts IS NOT NULL AND value IS NOT NULL AND user_id IS NOT NULL")
+def stream_with_links(spark, sf_dir):
+    """Each upload of the stream with its client's static link."""
+    obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N).select("event_id", "client_id", r6("mbps").alias("mbps"))
+    return telemetry.run_to_table(telemetry.with_links(obs, links.supplier_links(spark, sf_dir, N)), "linked")
+
+
+@query(f"SELECT (a.user_id % {N})::INT AS client_id, a.ts::VARCHAR AS start_at, b.ts::VARCHAR AS end_at FROM events a JOIN events b ON a.user_id % {N} = b.user_id % {N} AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE WHERE a.event_id % 2 = 0 AND b.event_id % 2 = 1 AND a.value IS NOT NULL AND b.value IS NOT NULL")
+def stream_matched(spark, sf_dir):
+    """Starts (even events) with the ends (odd events) of the client within ten minutes after them."""
+    starts, ends = (telemetry.observations(telemetry.read_events(spark, sf_dir).where(F.col("event_id") % 2 == k), N) for k in (0, 1))
+    rows = telemetry.run_to_table(telemetry.matched(starts, ends, "10 minutes", "40 days"), "matched")
+    return rows.select("client_id", F.col("start_at").cast("timestamp_ntz").cast("string").alias("start_at"), F.col("end_at").cast("timestamp_ntz").cast("string").alias("end_at"))
+
+
 @query()
 def stream_trace_ratio(spark, sf_dir):
-    """Paced ratios written for every finished window."""
+    """Paced ratios written for every finished window; windows that are open when the stream ends are not written."""
     out = new_path(spark, "ratios")
     obs = telemetry.observations(telemetry.read_events(spark, sf_dir), N)
     telemetry.finish(telemetry.ratios_per_window(obs, links.supplier_links(spark, sf_dir, N), out, base_ratio=RATIO, n_params=1000, v=V), 300)
