@@ -21,7 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
-from pacedfl.llm.common import WORD_CACHE, checkpointed, slices, texts
+from pacedfl.llm.common import WORD_CACHE, checkpointed, dealt, repeated, salted, slices, texts
 
 WORD = re.compile(r"[^\W\d_]+")
 MAX_GRAM = 4
@@ -189,11 +189,13 @@ def held_out(id_col: str = "doc_id") -> Column:
 
 def training_sample(train: DataFrame, id_col: str, lang_col: str, rows: int = SAMPLE_ROWS) -> DataFrame:
     """About `rows` rows of each language, all of a language with fewer: those of small hash. Only identifiers and
-    languages are read to choose them; nothing is ranked."""
+    languages are read to choose them; nothing is ranked, and languages that hold many rows are dealt over tasks."""
     ids = train.select(F.col(id_col).alias("__id"), F.col(lang_col).alias("__lang"))
     draw = F.pmod(F.xxhash64("__id"), F.lit(1 << 40)) / float(1 << 40)
-    each = ids.groupBy("__lang").agg(F.count("*").alias("__n"))
-    picked = checkpointed(ids.join(each, "__lang").where(draw * F.col("__n") < rows).select("__id", "__lang").distinct())
+    each = checkpointed(ids.groupBy("__lang").agg(F.count("*").alias("n")))
+    hot = checkpointed(dealt(each, "__lang", each.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]))
+    drawn = salted(ids, hot, "__lang", F.col("__id")).join(repeated(each, hot, "__lang"), ["__lang", "__salt"])
+    picked = checkpointed(drawn.where(draw * F.col("n") < rows).select("__id", "__lang").distinct())
     side = F.broadcast(picked) if picked.count() <= MAX_BROADCAST_ROWS else picked
     return train.join(side, (F.col(id_col) == F.col("__id")) & (F.col(lang_col) == F.col("__lang")), "left_semi")
 
