@@ -114,6 +114,30 @@ def _screened(row: np.ndarray, column: np.ndarray, grades: np.ndarray, width: in
     return live
 
 
+def ordinal_loss(params: np.ndarray, row: np.ndarray, column: np.ndarray, value: np.ndarray, grades: np.ndarray, weight_of: np.ndarray, ridge: float) -> tuple[float, np.ndarray]:
+    """Mean weighted negative log likelihood with a ridge, and its gradient.
+
+    params: a weight of each column, the lowest threshold, logarithms of the steps to the others. Entries of a row's
+    features are (row, column, value).
+    """
+    n_grades = int(grades.max()) + 1
+    n = len(params) - n_grades + 1
+    sig = lambda x: 1 / (1 + np.exp(-np.clip(x, -60, 60)))
+    w, theta = params[:n], np.cumsum(np.concatenate([params[n : n + 1], np.exp(params[n + 1 :])]))
+    score = np.bincount(row, w[column] * value, minlength=len(grades))
+    edges = np.concatenate([[-np.inf], theta, [np.inf]])
+    upper, lower = sig(edges[grades + 1] - score), sig(edges[grades] - score)
+    p = np.maximum(upper - lower, 1e-12)
+    du, dl = upper * (1 - upper) / p, lower * (1 - lower) / p
+    g_score = weight_of * (du - dl) / len(grades)
+    g_theta = np.zeros(n_grades + 1)
+    np.add.at(g_theta, grades + 1, -weight_of * du / len(grades))
+    np.add.at(g_theta, grades, weight_of * dl / len(grades))
+    g_theta = g_theta[1:-1]
+    grad = np.concatenate([np.bincount(column, g_score[row] * value, minlength=n) + ridge * w, [g_theta.sum()], np.exp(params[n + 1 :]) * np.cumsum(g_theta[::-1])[::-1][1:]])
+    return float((weight_of * -np.log(p)).sum() / len(grades) + ridge * (w @ w) / 2), grad
+
+
 def fit_ordinal(indexes: list[np.ndarray], values: list[np.ndarray], grades: np.ndarray, steps: int = 300, rate: float = 0.05, ridge: float = 3e-4, screen: float = SCREEN) -> OrdinalModel:
     """Maximum likelihood with a ridge by full-batch adaptive gradient steps."""
     n_grades = int(grades.max()) + 1 if len(grades) else 0
@@ -132,20 +156,8 @@ def fit_ordinal(indexes: list[np.ndarray], values: list[np.ndarray], grades: np.
     m, v = np.zeros_like(params), np.zeros_like(params)
     weight_of = len(grades) / (len(np.unique(grades)) * np.maximum(np.bincount(grades, minlength=n_grades), 1))[grades]
     weight_of = np.sqrt(weight_of)
-    sig = lambda x: 1 / (1 + np.exp(-np.clip(x, -60, 60)))
     for step in range(1, steps + 1):
-        w, theta = params[: len(used)], np.cumsum(np.concatenate([params[len(used) : len(used) + 1], np.exp(params[len(used) + 1 :])]))
-        score = np.bincount(row, w[column] * value, minlength=len(sizes))
-        edges = np.concatenate([[-np.inf], theta, [np.inf]])
-        upper, lower = sig(edges[grades + 1] - score), sig(edges[grades] - score)
-        p = np.maximum(upper - lower, 1e-12)
-        du, dl = upper * (1 - upper) / p, lower * (1 - lower) / p
-        g_score = weight_of * (du - dl) / len(grades)  # of the negative log likelihood
-        g_theta = np.zeros(n_grades + 1)
-        np.add.at(g_theta, grades + 1, -weight_of * du / len(grades))
-        np.add.at(g_theta, grades, weight_of * dl / len(grades))
-        g_theta = g_theta[1:-1]
-        grad = np.concatenate([np.bincount(column, g_score[row] * value, minlength=len(used)) + ridge * w, [g_theta.sum()], np.exp(params[len(used) + 1 :]) * np.cumsum(g_theta[::-1])[::-1][1:]])
+        _, grad = ordinal_loss(params, row, column, value, grades, weight_of, ridge)
         m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad**2
         params = params - rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-9)
     weights = np.zeros(WIDTH, np.float32)

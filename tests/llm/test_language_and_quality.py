@@ -156,3 +156,44 @@ def test_language_reads_whole_runs_of_letters(spark):
     model = lang.fit_language_model(spark.createDataFrame([("a", head + "bcbcd" * 30), ("b", head + "fgfgh" * 30)], "lang string, text string"))
     scores = model.of_words(["fgfghfgf", "bcbcdbcb"])
     assert scores[0, 1] > scores[0, 0] and scores[1, 0] > scores[1, 1]
+
+
+def test_ordinal_gradient_by_differences():
+    """Against the likelihood written as a loop over rows and grades."""
+    rng = np.random.default_rng(1)
+    n, width, n_grades = 30, 6, 4
+    row, column = np.repeat(np.arange(n), 3), rng.integers(0, width, 3 * n)
+    value, grades, weight = rng.normal(size=3 * n), rng.permutation(np.arange(n) % n_grades), rng.uniform(0.5, 2, n)
+    params = rng.normal(size=width + n_grades - 1)
+
+    def loss(params):
+        theta = [params[width]]
+        for x in params[width + 1 :]:
+            theta.append(theta[-1] + math.exp(x))
+        total = 0.0
+        for i in range(n):
+            s = sum(params[c] * v for r, c, v in zip(row, column, value, strict=True) if r == i)
+            below = [0.0, *(1 / (1 + math.exp(s - t)) for t in theta), 1.0]
+            total -= weight[i] * math.log(below[grades[i] + 1] - below[grades[i]])
+        return total / n + 0.01 * sum(x * x for x in params[:width]) / 2
+
+    value_, grad = quality.ordinal_loss(params, row, column, value, grades, weight, 0.01)
+    assert value_ == pytest.approx(loss(params))
+    for k in range(len(params)):
+        step = np.zeros_like(params)
+        step[k] = 1e-5
+        assert grad[k] == pytest.approx((loss(params + step) - loss(params - step)) / 2e-5, abs=1e-6)
+
+
+def test_grades_equal_brute_force(spark, small):
+    """Expected grade and tail of every document, by loops over its features and thresholds."""
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    model = quality.fit_quality_model(docs, quality.graded_labels(spark.read.parquet(f"{small}/labels.parquet")))
+    want = {}
+    for r in docs.collect():
+        at, value = quality.features((r.text or "").encode(), quality.WordFeatures())
+        score = sum(float(model.weights[i]) * float(v) for i, v in zip(at, value, strict=True))
+        tails = [1 / (1 + math.exp(min(60.0, max(-60.0, t - score)))) for t in model.thresholds]
+        want[r.doc_id] = (sum(tails), tails[min(quality.SELECT_GRADE, len(tails)) - 1])
+    got = {r.doc_id: (r.expected_grade, r.tail_probability) for r in op10_quality(spark, small).collect()}
+    assert got.keys() == want.keys() and all(got[i] == pytest.approx(want[i], abs=1e-5) for i in want)
