@@ -943,6 +943,54 @@ def report_pivot(spark, sf_dir):
     return rows.select("round", *(r6(m).alias(m) for m in metrics.METHODS))
 
 
+@query("SELECT run_id, round(quantile_cont(t_own, 0.5), 6) AS median, round(quantile_cont(t_own, 0.9), 6) AS p90, count(DISTINCT client_id) AS clients FROM uploads GROUP BY 1")
+def upload_percentiles(spark, sf_dir):
+    """Median and ninth decile of upload times by method; exact, as a run has few uploads."""
+    rows = uploads(spark, sf_dir).groupBy("run_id").agg(F.percentile("t_own", F.lit(0.5)).alias("median"), F.percentile("t_own", F.lit(0.9)).alias("p90"), F.countDistinct("client_id").alias("clients"))
+    return rows.select("run_id", r6("median").alias("median"), r6("p90").alias("p90"), "clients")
+
+
+@query("SELECT DISTINCT client_id, ts::VARCHAR AS at, round(avg(value / 50) OVER (PARTITION BY client_id ORDER BY ts RANGE BETWEEN INTERVAL 6 HOUR PRECEDING AND CURRENT ROW), 6) AS recent_mbps FROM tel")
+def telemetry_recent(spark, sf_dir):
+    """At every observation, the mean throughput of the client's last six hours: a window by range of time."""
+    micros = F.unix_micros(F.col("at").cast("timestamp"))
+    w = Window.partitionBy("client_id").orderBy(micros).rangeBetween(-6 * 3600 * 1_000_000, 0)
+    rows = _observed(spark, sf_dir).select("client_id", F.col("at").cast("timestamp_ntz").cast("string").alias("at"), r6(F.avg("mbps").over(w)).alias("recent_mbps"))
+    return rows.distinct()
+
+
+@query("SELECT param_idx, count(*) AS n FROM (SELECT param_idx FROM kept_topk EXCEPT ALL SELECT param_idx FROM kept_paced) GROUP BY 1")
+def support_excess(spark, sf_dir):
+    """By how many clients more a coordinate is kept under the uniform schedule: a difference of multisets."""
+    a, b = (kept(spark, sf_dir, how).select("param_idx") for how in ("topk", "paced"))
+    return a.exceptAll(b).groupBy("param_idx").agg(F.count("*").alias("n"))
+
+
+@query("SELECT client_id, round(sum(abs(delta)) / nullif(sum(CASE WHEN rank <= " + k_sql(str(RATIO)) + " THEN abs(delta) ELSE 0 END), 0), 6) AS mass_ratio FROM ranked, p GROUP BY 1")
+def mass_ratio(spark, sf_dir):
+    """Magnitude of an update over that of what top-k keeps of it; null where nothing is kept."""
+    size = F.abs("delta")
+    rows = compress.topk_marked(_with_k(spark, sf_dir)).groupBy("client_id").agg(F.sum(size).alias("whole"), F.sum(F.when(F.col("kept"), size).otherwise(0.0)).alias("some"))
+    return rows.select("client_id", r6(F.try_divide("whole", "some")).alias("mass_ratio"))
+
+
+@query()
+def coordinates_approx(spark, sf_dir):
+    """Distinct coordinates that each method's clients keep, by a sketch."""
+    rows = [kept(spark, sf_dir, how).select(F.lit(how).alias("method"), "param_idx") for how in ("topk", "paced")]
+    return rows[0].union(rows[1]).groupBy("method").agg(F.approx_count_distinct("param_idx", 0.02).alias("coordinates"))
+
+
+@query(r""", w AS (SELECT doc_id, list_filter(string_split_regex(lower(text), '[ \t\n\x0B\f\r]+'), lambda x: x <> '') AS w FROM documents WHERE text IS NOT NULL)
+, b AS (SELECT list_filter(string_split_regex(lower(text), '[ \t\n\x0B\f\r]+'), lambda x: x <> '') AS w FROM benchmark WHERE text IS NOT NULL)
+, r AS (SELECT doc_id, array_to_string(w[i:i + 7], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM w WHERE len(w) >= 8))
+, q AS (SELECT DISTINCT array_to_string(w[i:i + 7], ' ') AS s FROM (SELECT w, unnest(range(1, len(w) - 6)) AS i FROM b WHERE len(w) >= 8))
+SELECT doc_id AS sample_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM r JOIN q USING (s)) AND lang IN ('de', 'en', 'es', 'fr') AND text IS NOT NULL""")
+def samples_without_benchmark(spark, sf_dir):
+    """Training samples of the language task whose documents share no run of eight words with a benchmark item."""
+    return features.without_benchmark(spark, sf_dir, features.language_samples(spark, sf_dir)).select("sample_id")
+
+
 # --- experiments (more rounds, seeds and workloads: pacedfl.plans.experiments) ------------------------------------
 
 
