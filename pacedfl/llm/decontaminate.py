@@ -1,8 +1,10 @@
 """Benchmark decontamination: SimHash over item-sized windows, a multi-index, and an exact check.
 
-For every item length there is a multi-index over the items' 64-bit SimHash fingerprints: BLOCKS blocks of
-bits, each indexed with all values that differ in up to RADIUS // BLOCKS bits, which by the pigeonhole
-principle finds every fingerprint within RADIUS. Windows of that many words slide over each whole text, and
+For every item length there is a multi-index over the items' 64-bit SimHash fingerprints: of BLOCKS blocks, two
+fingerprints within RADIUS have one that differs in at most RADIUS // BLOCKS bits, and such a block is found by
+flipping half of these bits on either side: sorted lists hold the items' blocks under HALF flips, and a window looks its
+own blocks up under HALF flips. So every fingerprint within RADIUS is found; of unrelated ones a seventh is. A pair at
+the similarity differs in 10 bits on average, with a deviation of 3. Windows of that many words slide over each whole text, and
 windows found in the index are verified by the weighted Jaccard similarity of their word shingles (weights
 are multiplicities). Windows that share fewer shingles with an item than the similarity asks for are skipped
 before hashing; that loses nothing, as they could not pass the check.
@@ -28,8 +30,9 @@ from pacedfl.llm.common import WordHash, multipliers, popcount, slices, texts, w
 
 SHINGLE = 5
 SIMILARITY = 0.8
-RADIUS = 23
-BLOCKS = 8
+RADIUS = 19
+BLOCKS = 4
+HALF = -(-(RADIUS // BLOCKS) // 2)
 SLICE_ITEMS = 5000
 SLICE_TEXT = 8 << 20
 _CONSTANTS = multipliers(SHINGLE, 3)
@@ -62,25 +65,41 @@ def similarity(a: np.ndarray, b: np.ndarray) -> float:
     return (x & y).total() / max(1, (x | y).total())
 
 
+_WIDTH = 64 // BLOCKS
+_FLIPS = np.array([sum(1 << b for b in c) for n in range(HALF + 1) for c in combinations(range(_WIDTH), n)], np.uint64)
+
+
+def _blocks(fingerprints: np.ndarray, k: int) -> np.ndarray:
+    """Block k of each fingerprint under all flips, row by row."""
+    part = (fingerprints >> np.uint64(_WIDTH * k)) & np.uint64((1 << _WIDTH) - 1)
+    return (part[:, None] ^ _FLIPS).astype(np.uint16).ravel()
+
+
 class MultiIndex:
     """Positions of fingerprints within RADIUS bits, found by blocks."""
 
     def __init__(self, fingerprints: np.ndarray):
-        self.fingerprints = fingerprints
-        self.table = np.zeros((BLOCKS, 256, len(fingerprints)), bool)
-        flips = [sum(1 << b for b in c) for n in range(RADIUS // BLOCKS + 1) for c in combinations(range(8), n)]
-        parts = fingerprints.astype(">u8").view(np.uint8).reshape(-1, BLOCKS)
-        for i in range(len(fingerprints)):
-            for k in range(BLOCKS):
-                self.table[k, np.array(flips) ^ parts[i, k], i] = True
+        self.fingerprints, self.lists = fingerprints, []
+        for k in range(BLOCKS):
+            value = _blocks(fingerprints, k)
+            order = np.argsort(value, kind="stable")
+            self.lists.append((value[order], (order // len(_FLIPS)).astype(np.int32)))
+
+    def candidates(self, found: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(window, item) pairs that have a block within HALF flips of each other's, each once."""
+        pairs = []
+        for k, (value, item) in enumerate(self.lists):
+            asked = _blocks(found, k)
+            lo, hi = np.searchsorted(value, asked), np.searchsorted(value, asked, side="right")
+            n = hi - lo
+            at = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(n.sum())
+            pairs.append(np.unique(np.repeat(np.arange(len(asked)) // len(_FLIPS), n) * len(self.fingerprints) + item[at]))
+        both = np.unique(np.concatenate(pairs))
+        return both // len(self.fingerprints), both % len(self.fingerprints)
 
     def within(self, found: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(window, item, distance) for all pairs within RADIUS."""
-        parts = found.astype(">u8").view(np.uint8).reshape(-1, BLOCKS)
-        near = np.zeros((len(found), len(self.fingerprints)), bool)
-        for k in range(BLOCKS):
-            near |= self.table[k, parts[:, k]]
-        w, i = np.nonzero(near)
+        w, i = self.candidates(found)
         d = popcount(found[w] ^ self.fingerprints[i])
         good = d <= RADIUS
         return w[good], i[good], d[good]
@@ -148,8 +167,8 @@ class BenchmarkIndex:
             marked[np.array(seen) + 1] = 1
             inside = np.cumsum(marked)
             starts = np.flatnonzero(inside[span:] - inside[:-span] >= self.threshold * (1 if short else size - SHINGLE + 1))
-            for k in range(0, len(starts), 1 << 14):
-                part = starts[k : k + (1 << 14)]
+            for k in range(0, len(starts), 1 << 10):
+                part = starts[k : k + (1 << 10)]
                 for w, i, d in zip(*index.within(simhash_windows(shingles, part, span)), strict=True):
                     a, item = int(part[w]), first + int(i)
                     s = similarity(shingles[a : a + span], self.shingles[item])

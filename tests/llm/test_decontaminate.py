@@ -44,6 +44,23 @@ def test_multi_index_finds_all_within_radius():
     assert got == set(zip(*map(np.ndarray.tolist, np.nonzero(all_ <= d.RADIUS)), strict=True)) and (dist <= d.RADIUS).all()
 
 
+def test_index_and_radius_separate():
+    """Unrelated fingerprints: a seventh share a block, hardly any is within the radius. Texts just at the similarity
+    are within it."""
+    rng = np.random.default_rng(5)
+    prints, windows = rng.integers(0, 2**64, 300, dtype=np.uint64), rng.integers(0, 2**64, 400, dtype=np.uint64)
+    index = d.MultiIndex(prints)
+    assert len(index.candidates(windows)[0]) < 0.17 * 300 * 400 and len(index.within(windows)[0]) < 0.003 * 300 * 400
+    far = 0
+    for _ in range(2000):
+        n = 9 * int(rng.integers(1, 12))
+        a = rng.integers(0, 2**64, n, dtype=np.uint64)
+        b = np.concatenate([a[n // 9 :], rng.integers(0, 2**64, n // 9, dtype=np.uint64)])
+        assert d.similarity(a, b) == pytest.approx(0.8)
+        far += int(popcount(d.simhash_windows(a, np.array([0]), n) ^ d.simhash_windows(b, np.array([0]), n))[0]) > d.RADIUS
+    assert far <= 20
+
+
 def test_equals_brute_force(spark):
     rng = np.random.default_rng(2)
     word = lambda: f"w{rng.integers(300)}"
