@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql.streaming.state import GroupStateTimeout
@@ -19,16 +20,20 @@ def stream_error_feedback(deltas: DataFrame, k: int) -> DataFrame:
     """
 
     def step(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        total = {}
-        if state.exists:
-            idx, val = state.get
-            total = dict(zip(idx, val, strict=True))
+        idx, val = (np.array(x, t) for x, t in zip(state.get if state.exists else ((), ()), (np.int64, np.float64), strict=True))
         for f in frames:
-            for i, d in zip(f["param_idx"].tolist(), f["delta"].tolist(), strict=True):
-                total[i] = total.get(i, 0.0) + d
-        order = sorted((i for i, v in total.items() if v), key=lambda i: (-abs(total[i]), i))
-        sent, left = order[:k], sorted(order[k:])
-        state.update((left, [total[i] for i in left]))
-        yield pd.DataFrame({"client_id": [int(key[0])] * len(sent), "param_idx": sent, "sent": [total[i] for i in sent], "kept_back": [len(left)] * len(sent)})
+            idx, val = np.concatenate([idx, f["param_idx"].to_numpy(np.int64)]), np.concatenate([val, f["delta"].to_numpy(np.float64)])
+        idx, place = np.unique(idx, return_inverse=True)
+        val = np.bincount(place, val, minlength=len(idx))
+        idx, val = idx[val != 0], val[val != 0]
+        size = np.abs(val)
+        sent = np.ones(len(idx), bool)
+        if len(idx) > k:  # a partition finds the cut; only what is sent is sorted
+            cut = -np.partition(-size, k - 1)[k - 1]
+            sent = size > cut
+            sent[np.flatnonzero(size == cut)[: k - int(sent.sum())]] = True
+        state.update((idx[~sent].tolist(), val[~sent].tolist()))
+        order = np.lexsort((idx[sent], -size[sent]))
+        yield pd.DataFrame({"client_id": np.full(len(order), int(key[0]), np.int32), "param_idx": idx[sent][order], "sent": val[sent][order], "kept_back": np.full(len(order), int((~sent).sum()))})
 
     return deltas.groupBy("client_id").applyInPandasWithState(step, OUT, STATE, "append", GroupStateTimeout.NoTimeout)
