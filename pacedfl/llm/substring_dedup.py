@@ -43,6 +43,8 @@ from pacedfl.llm.common import WordHash, checkpointed, mix, multipliers, new_pat
 WINDOW = 13
 GRAM = 9  # words of the grams that the sieve looks at
 SLICE_TEXT = 4 << 20
+BUCKET_TEXT = 256 << 20  # a bucket is read by one task, slice after slice
+MOST_BUCKETS = 100_000  # Spark's own limit
 BIN_BYTES = 16 << 20
 _EDGE, _NODE, _GRAM = multipliers(WINDOW, 9), multipliers(WINDOW - 1, 10), multipliers(GRAM, 11)
 HAS_NEXT, HAS_PREV, MANY_NEXT, MANY_PREV = 1, 2, 4, 8
@@ -88,7 +90,8 @@ def blocks(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
     packed = docs.select(id_col, text_col).mapInArrow(run, "slice bigint, ids array<bigint>, sizes array<int>, block binary")
     table = f"pacedfl_blocks_{uuid.uuid4().hex}"
-    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    size = docs.agg(F.coalesce(F.sum(F.octet_length(text_col)), F.lit(0))).first()[0]
+    buckets = min(MOST_BUCKETS, max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // BUCKET_TEXT))
     packed.write.bucketBy(buckets, "slice").option("path", new_path(spark, "blocks")).option("compression", "none").format("parquet").saveAsTable(table)
     found = spark.table(table)
     found.schema  # resolved: the files stay when the name is given back
