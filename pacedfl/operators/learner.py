@@ -184,9 +184,9 @@ def packed_weights(weights: DataFrame) -> DataFrame:
     return rows.select("run_id", F.col("__w.w").alias("w"))
 
 
-def vectors(weights: DataFrame, max_bytes: int = MAX_BROADCAST_BYTES) -> dict[str, np.ndarray]:
-    """Weights by run, on the driver; their size is checked first."""
-    n = weights.count()
+def vectors(weights: DataFrame, max_bytes: int = MAX_BROADCAST_BYTES, n: int | None = None) -> dict[str, np.ndarray]:
+    """Weights by run, on the driver; their number, counted where it is not given, is checked first."""
+    n = weights.count() if n is None else n
     if 8 * n > max_bytes:
         raise ValueError(f"{n} weights are too many for the driver")
     return {r.run_id: np.array(r.w, np.float64) for r in packed_weights(weights).collect()}
@@ -289,7 +289,7 @@ def evaluate(test: DataFrame, weights: DataFrame, model: Model, n_runs: int, max
     Weights of up to max_bytes are broadcast; larger ones go to the parts that the test rows are dealt to.
     """
     if 8 * n_runs * model.n_params <= max_bytes:
-        shared = test.sparkSession.sparkContext.broadcast(vectors(weights, max_bytes))
+        shared = test.sparkSession.sparkContext.broadcast(vectors(weights, max_bytes, n_runs * model.n_params))
 
         def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
