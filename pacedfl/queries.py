@@ -1026,11 +1026,18 @@ def experiment_client_scaling(spark, sf_dir):
     return experiments.client_scaling(spark, sf_dir, "W1", betas=(0.1,), rounds=3).withColumn("accuracy", r6("accuracy"))
 
 
-@query()
-def experiment_time_to_accuracy(spark, sf_dir):
-    """Communication time to 40 % and 60 %, and the speed-up over top-k."""
-    rows = experiments.time_to_accuracy(spark, sf_dir, "W1", rounds=ROUNDS)
-    return rows.select("target", "method", "base_ratio", "round_hit", *(r6(c).alias(c) for c in ("time_actual", "time_max", "time_min", "speedup")))
+def _time_to_accuracy(name: str, workload: str, rounds: int):
+    @query(name=name)
+    def run(spark, sf_dir):
+        """Communication time to 40 % and 60 %, and the speed-up over top-k."""
+        rows = experiments.time_to_accuracy(spark, sf_dir, workload, rounds=rounds)
+        return rows.select("target", "method", "base_ratio", "round_hit", *(r6(c).alias(c) for c in ("time_actual", "time_max", "time_min", "speedup")))
+
+    return run
+
+
+_time_to_accuracy("experiment_time_to_accuracy", "W3", ROUNDS)
+_time_to_accuracy("experiment_time_to_accuracy_w1", "W1", 5)
 
 
 @query()
