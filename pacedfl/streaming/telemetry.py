@@ -51,16 +51,17 @@ def window_ratios(windows: DataFrame, latencies: DataFrame, base_ratio: float =
     return paced_ratios(rows, base_ratio, n_params, v).select("w_start", "client_id", "bandwidth_mbps", "t_bench", "keep_ratio", "k", "t_after")
 
 
-def run_to_table(stream: DataFrame, tag: str, mode: str = "append", timeout: int = 300) -> DataFrame:
-    """Run a stream over all that is there and give what it wrote, as a table in the shared folder."""
+def run_to_table(stream: DataFrame, tag: str, mode: str = "append", timeout: int | None = None) -> DataFrame:
+    """Run a stream over all that is there and give what it wrote, as a table in the shared folder. It ends by itself,
+    so there is no time limit unless one is asked for."""
     spark, out = stream.sparkSession, new_path(stream.sparkSession, tag)
     q = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", f"{out}-state").outputMode(mode).trigger(availableNow=True).start()
     finish(q, timeout)
     return spark.read.schema(stream.schema).parquet(out)
 
 
-def finish(q, timeout: int) -> None:
-    if not q.awaitTermination(timeout):
+def finish(q, timeout: int | None) -> None:
+    if q.awaitTermination(timeout) is False:
         q.stop()
         raise TimeoutError("the stream did not end in time")
 
@@ -100,10 +101,17 @@ def with_links(uploads: DataFrame, links: DataFrame) -> DataFrame:
 
 
 def matched(starts: DataFrame, ends: DataFrame, within: str = "1 hour", lateness: str = "1 day") -> DataFrame:
-    """Stream-stream interval join: upload starts with the ends that follow within the interval."""
-    s = starts.select(F.col("client_id"), F.col("at").alias("start_at")).withWatermark("start_at", lateness)
+    """Stream-stream interval join: upload starts with the ends that follow within the interval.
+
+    The state is keyed by client and slot of time, a slot as long as the interval: an end lies in one slot, a start in
+    all that its interval touches, so each pair meets once and a row is held against its own slot only.
+    """
+    slot = lambda at: F.expr(f"unix_micros({at}) div greatest(1L, unix_micros(timestamp_micros(0) + INTERVAL {within}))")
+    s = starts.select("client_id", F.col("at").alias("start_at")).withWatermark("start_at", lateness)
+    s = s.select("client_id", "start_at", F.explode(F.sequence(slot("start_at"), slot(f"(start_at + INTERVAL {within})"))).alias("slot"))
     e = ends.select(F.col("client_id").alias("__c"), F.col("at").alias("end_at")).withWatermark("end_at", lateness)
-    on = F.expr(f"client_id = __c AND end_at >= start_at AND end_at <= start_at + INTERVAL {within}")
+    e = e.select("__c", "end_at", slot("end_at").alias("__slot"))
+    on = F.expr(f"client_id = __c AND slot = __slot AND end_at >= start_at AND end_at <= start_at + INTERVAL {within}")
     return s.join(e, on).select("client_id", "start_at", "end_at")
 
 

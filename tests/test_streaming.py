@@ -1,4 +1,5 @@
 import datetime as dt
+from collections import Counter
 
 import pytest
 from pyspark.sql import functions as F
@@ -86,6 +87,21 @@ def test_interval_join(files, spark, tmp_path):
     assert [(r.client_id, r.end_at) for r in got.collect()] == [(1, at(1, 1, 30))]
 
 
+def test_interval_join_holds_rows_against_their_slot_only(spark, tmp_path):
+    """One client, 16,000 starts and ends a minute apart: held against all of its rows, they take over a minute."""
+    n, each = 16_000, spark.range(16_000).coalesce(1)
+    each.selectExpr("1 AS client_id", "timestamp_seconds(60 * id + 300000) AS at").write.parquet(f"{tmp_path}/starts")
+    each.selectExpr("1 AS client_id", "timestamp_seconds(60 * id + 300000 + 60 * (id % 2)) AS at").write.parquet(f"{tmp_path}/ends")
+    starts, ends = (spark.readStream.schema("client_id int, at timestamp").parquet(f"{tmp_path}/{x}") for x in ("starts", "ends"))
+    got = telemetry.run_to_table(telemetry.matched(starts, ends, "10 minutes", "40 days"), "slots", timeout=60)
+    a, b = (spark.read.parquet(f"{tmp_path}/{x}") for x in ("starts", "ends"))
+    a, b = ([int(r.s) for r in x.selectExpr("unix_seconds(at) AS s").collect()] for x in (a, b))
+    many = Counter(b)
+    want = {(s, s + d): many[s + d] for s in a for d in range(0, 601, 60) if many[s + d]}
+    found = {(int(r.s), int(r.e)): r["n"] for r in got.groupBy(F.unix_seconds("start_at").alias("s"), F.unix_seconds("end_at").alias("e")).agg(F.count("*").alias("n")).collect()}
+    assert len(a) == n and found == want
+
+
 def test_residual_state_equals_batch_by_batch(files):
     batches = [[(1, at(1), i, float(v), 0) for i, v in enumerate(b)] for b in ([5, -4, 3, 1], [0, 1, 3, 1], [1, 0, 0, 1])]
     stream = files(batches).select("client_id", "param_idx", F.col("value").alias("delta"))
