@@ -14,7 +14,7 @@ from pacedfl.llm.decontaminate import without_leaks
 from pacedfl.llm.quality import fit_quality_model, graded_labels, select_documents
 from pacedfl.llm.queries import vocabulary
 from pacedfl.llm.secret_scan import redact_secrets
-from pacedfl.llm.similar_dedup import one_of_each_group
+from pacedfl.llm.similar_dedup import near_components, one_of_each_group
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -23,8 +23,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group: SimHash on shingles of five words, verified similarity of 0.8."""
-    return one_of_each_group(docs)
+    """One document of each near-duplicate group: SimHash by pivot tables, as op4_simhash, and a similarity of 0.8."""
+    return one_of_each_group(docs, groups_of=near_components)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -6,6 +6,10 @@ within a group only the exact similarity decides: pairs are found by the rarest
 a pair at the threshold cannot all differ in, and compared unless they are connected already. Fingerprints of
 BITS bits only say which pairs are compared first; no pair is dropped by them.
 
+near_components first links documents by the operator of op4 (64-bit fingerprints, keys of equal blocks, pivot tables of
+distances that discard pairs, exact count of bits) and joins its groups with those at the similarity, which 64 bits are
+too coarse to find; a link of either kind counts.
+
 Copies with the same words are folded first. A group of more than HOT distinct documents, or of more than
 HOT_SHINGLES shingles, is dealt in blocks and every two blocks meet in a task, so that no pair of it is lost.
 Edge cases: texts with fewer words than a shingle have their whole word sequence as one shingle; texts without
@@ -14,14 +18,14 @@ words are alike; null identifiers are left alone; repeated rows count as copies.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from pacedfl.llm.common import WordHash, checkpointed, mix, multipliers, popcount, raw, slices, window_hashes, written
-from pacedfl.llm.simhash_dedup import components
+from pacedfl.llm.common import WordHash, checkpointed, dealt, mix, multipliers, popcount, raw, repeated, salted, slices, window_hashes, written
+from pacedfl.llm.simhash_dedup import components, fingerprints, near_links
 
 SIZE = 5
 THRESHOLD = 0.8
@@ -56,8 +60,9 @@ def signature(s: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return wide, np.array([mix(s * m).min() for m in _MIN], dtype=np.uint64)
 
 
-def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, same, size, fp, mins): a hash of the shingle set, its size, the wide fingerprint and the min-hashes; no shuffle."""
+def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
+    """(id, same, size, fp, mins): a hash of the shingle set, its size, the wide fingerprint and the min-hashes; and the
+    bigint columns keep. No shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = WordHash()
@@ -71,9 +76,9 @@ def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
                     sizes.append(len(s))
                     fps.append(wide.tobytes())
                     mins.append(low.tobytes())
-                yield pa.RecordBatch.from_arrays([part.column(id_col).cast(pa.int64()), pa.array(same, pa.int64()), pa.array(sizes, pa.int64()), pa.array(fps, pa.binary()), pa.array(mins, pa.binary())], names=[id_col, "same", "size", "fp", "mins"])
+                yield pa.RecordBatch.from_arrays([part.column(id_col).cast(pa.int64()), pa.array(same, pa.int64()), pa.array(sizes, pa.int64()), pa.array(fps, pa.binary()), pa.array(mins, pa.binary()), *(part.column(c) for c in keep)], names=[id_col, "same", "size", "fp", "mins", *keep])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"{id_col} bigint, same bigint, size bigint, fp binary, mins binary")
+    return docs.select(id_col, text_col, *keep).mapInArrow(run, ", ".join([f"{id_col} bigint, same bigint, size bigint, fp binary, mins binary", *(f"{c} bigint" for c in keep)]))
 
 
 def _banded(nodes: DataFrame) -> DataFrame:
@@ -205,22 +210,48 @@ def similar_edges(nodes: DataFrame, docs: DataFrame, id_col: str, text_col: str,
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a <> b").distinct()
 
 
-def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, hot: int = HOT) -> DataFrame:
-    """(id, component_id) of every row with an id: the smallest id reachable over links at the threshold."""
-    marked = written(signatures(docs.select(F.col(id_col).cast("bigint").alias(id_col), F.col(text_col).alias(text_col)).where(F.col(id_col).isNotNull()), id_col, text_col), "signatures")
+def _named(marked: DataFrame, docs: DataFrame, id_col: str, text_col: str, threshold: float, hot: int) -> DataFrame:
+    """(same, fp, component_id) of the signatures: groups at the similarity."""
     nodes = written(marked.groupBy("same", "size", "fp", "mins").agg(F.min(id_col).alias("node")), "nodes")
     links = checkpointed(similar_edges(nodes, docs, id_col, text_col, threshold, hot))
-    roots = components(links)
-    names = nodes.join(roots, "node", "left").select("same", "fp", F.coalesce("root", "node").alias("component_id"))
+    return nodes.join(components(links), "node", "left").select("same", "fp", F.coalesce("root", "node").alias("component_id"))
+
+
+def _with_id(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(F.col(id_col).cast("bigint").alias(id_col), F.col(text_col).alias(text_col)).where(F.col(id_col).isNotNull())
+
+
+def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, hot: int = HOT) -> DataFrame:
+    """(id, component_id) of every row with an id: the smallest id reachable over links at the threshold."""
+    marked = written(signatures(_with_id(docs, id_col, text_col), id_col, text_col), "signatures")
+    names = _named(marked, docs, id_col, text_col, threshold, hot)
+    return marked.select(id_col, "same", "fp").join(names, ["same", "fp"]).select(id_col, "component_id")
+
+
+def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, hot: int = HOT) -> DataFrame:
+    """(id, component_id) of every row with an id: the smallest id reachable over links of 64-bit fingerprints, found by
+    pivot tables, and links at the threshold."""
+    read = fingerprints(_with_id(docs, id_col, text_col), [id_col, text_col], id_col, text_col).withColumnRenamed("fp", "bits")
+    marked = written(signatures(read, id_col, text_col, ("bits",)), "signatures")
+    close = components(near_links(checkpointed(marked.select(F.col("bits").alias("fp")).distinct())))  # (node, root) of fingerprints
+    names = written(_named(marked, docs, id_col, text_col, threshold, hot), "names")
+    both = marked.select("same", "fp", "bits").distinct().join(names, ["same", "fp"]).select("bits", "component_id").distinct()
+    both = both.join(close.withColumnRenamed("node", "bits"), "bits", "left").select(F.coalesce("root", "bits").alias("close"), "component_id")
+    both = checkpointed(both.distinct())
+    heads = checkpointed(both.groupBy("close").agg(F.min("component_id").alias("head"), F.count("*").alias("n")).where("n > 1"))
+    many = checkpointed(dealt(heads, "close", both.count()))
+    met = salted(both, many, "close", F.col("component_id")).join(repeated(heads.select("close", "head"), many, "close"), ["close", "__salt"])
+    joined = components(met.where("component_id <> head").select(F.col("component_id").alias("a"), F.col("head").alias("b")))
+    names = names.join(joined.withColumnRenamed("node", "component_id"), "component_id", "left").select("same", "fp", F.coalesce("root", "component_id").alias("component_id"))
     return marked.select(id_col, "same", "fp").join(names, ["same", "fp"]).select(id_col, "component_id")
 
 
-def one_of_each_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+def one_of_each_group(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, groups_of: Callable[..., DataFrame] = similar_components) -> DataFrame:
     """docs without all but one document of each group (the smallest id stays), all columns kept.
 
     Of rows that repeat an id that stays, one stays; rows without id stay.
     """
-    groups = checkpointed(similar_components(docs, id_col, text_col, threshold))
+    groups = checkpointed(groups_of(docs, id_col, text_col, threshold))
     losers = groups.where(f"{id_col} <> component_id").select(F.col(id_col).alias("__loser")).distinct()
     again = checkpointed(groups.groupBy(id_col).count().where(F.col("count") > 1).select(F.col(id_col).alias("__again")))
     stay = docs.join(losers, docs[id_col] == losers["__loser"], "left_anti")

@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from pacedfl.llm.decontaminate import find_leaks
 from pacedfl.llm.secret_scan import base_spans
+from pacedfl.llm.simhash_dedup import fingerprint
 from pacedfl.llm.similar_dedup import similar_components
 
 
@@ -38,6 +39,14 @@ def test_stages_take_effect(spark):
     assert loaded(P.path("byte_bpe_50k.tiktoken"), P.PATTERN).decode(np.array(row.ids, "<u4").tobytes()).decode() == text
 
 
+def test_near_dedup_links_by_fingerprint(spark, small):
+    """Texts within three bits are near-duplicates, also where most of their shingles differ."""
+    rows = [(1, "spam " * 300 + "alpha beta gamma delta epsilon zeta"), (2, "spam " * 300 + "one two three four five six"), (3, "other words of a text of its own")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert (fingerprint(rows[0][1].encode()) ^ fingerprint(rows[1][1].encode())).bit_count() <= 3
+    assert sorted(r.doc_id for r in p.near_dedup(spark, docs, small).collect()) == [1, 3]
+
+
 def test_run(spark, small):
     assert p.run(spark, small).count() > 0
 

@@ -182,3 +182,22 @@ def test_similar_documents_with_odd_rows(spark):
     kept = wide.one_of_each_group(docs)
     assert kept.columns == docs.columns
     assert sorted((r.doc_id for r in kept.collect()), key=repr) == sorted([1, None, None, 7, 9], key=repr)
+
+
+def test_near_components_hold_links_of_both_kinds(spark):
+    """Groups of the pipeline's stage are those of all pairs by fingerprint or by similarity, links of either kind in a chain."""
+    docs = dict(list(graded_copies().items())[:60])
+    common = "spam " * 300
+    docs |= {100: common + "alpha beta gamma delta epsilon zeta", 101: common + "one two three four five six", 102: None, 103: " "}
+    docs |= {104: docs[101] + " seven", 105: "own words of this text alone"}
+    bits = {i: s.fingerprint((t or "").encode()) for i, t in docs.items()}
+    similar_to = exact_components(docs)
+    root = dict(similar_to)
+    for i in docs:
+        for j in docs:
+            if (bits[i] ^ bits[j]).bit_count() <= 3 and root[i] != root[j]:
+                low, high = sorted((root[i], root[j]))
+                root = {k: low if r == high else r for k, r in root.items()}
+    assert similar_to[100] != similar_to[101] and root[101] == root[100] == 100
+    rows = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
+    assert {r.doc_id: r.component_id for r in wide.near_components(rows).collect()} == root
