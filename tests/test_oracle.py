@@ -20,3 +20,11 @@ def test_approximate_topk_is_near_exact(spark, small):
     exact, near = QUERIES["topk_global"](spark, small), QUERIES["topk_approx"](spark, small)
     a, b = ({(r.client_id, r.param_idx) for r in d.collect()} for d in (exact, near))
     assert len(a & b) / len(b) > 0.9
+
+
+@pytest.mark.parametrize("name, rounds", [("link_profile_gaussian", 1)])
+def test_drawn_links_are_those_of_a_table(spark, small, name, rounds):
+    """Every customer has a link, in every round; none is made up."""
+    got, customers = QUERIES[name](spark, small), spark.read.parquet(f"{small}/customer.parquet")
+    assert got.count() == rounds * customers.count()
+    assert got.join(customers, got.client_id == customers.c_custkey, "left_anti").isEmpty()
