@@ -22,7 +22,7 @@ def test_approximate_topk_is_near_exact(spark, small):
     assert len(a & b) / len(b) > 0.9
 
 
-@pytest.mark.parametrize("name, rounds", [("link_profile_gaussian", 1)])
+@pytest.mark.parametrize("name, rounds", [("link_profile_gaussian", 1), ("link_profile_per_round", 10)])
 def test_drawn_links_are_those_of_a_table(spark, small, name, rounds):
     """Every customer has a link, in every round; none is made up."""
     got, customers = QUERIES[name](spark, small), spark.read.parquet(f"{small}/customer.parquet")
