@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from pacedfl.llm.common import WordHash, checkpointed, dealt, mix, multipliers, popcount, raw, repeated, salted, slices, window_hashes, written
-from pacedfl.llm.simhash_dedup import components, fingerprints, near_links
+from pacedfl.llm.simhash_dedup import components, fingerprint, near_links
 
 SIZE = 5
 THRESHOLD = 0.8
@@ -60,25 +60,29 @@ def signature(s: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return wide, np.array([mix(s * m).min() for m in _MIN], dtype=np.uint64)
 
 
-def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
-    """(id, same, size, fp, mins): a hash of the shingle set, its size, the wide fingerprint and the min-hashes; and the
-    bigint columns keep. No shuffle."""
+def signatures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", with_bits: bool = False) -> DataFrame:
+    """(id, same, size, fp, mins): a hash of the shingle set, its size, the wide fingerprint and the min-hashes; with_bits
+    adds the 64-bit fingerprint of op4 as bits, in the same pass: a second Python operator would take workers and copies
+    of the texts of its own. No shuffle."""
+    more = ["bits"] if with_bits else []
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cache = WordHash()
         for batch in batches:
             for part in slices(batch, text_col):
                 same, sizes, fps, mins = [], [], [], []
-                for t in raw(part, text_col):
+                read = raw(part, text_col)
+                for t in read:
                     s = shingle_hashes(t, cache)
                     wide, low = signature(s)
                     same.append(int(mix(np.array([np.bitwise_xor.reduce(mix(s)) + np.uint64(len(s))], np.uint64)).view(np.int64)[0]))
                     sizes.append(len(s))
                     fps.append(wide.tobytes())
                     mins.append(low.tobytes())
-                yield pa.RecordBatch.from_arrays([part.column(id_col).cast(pa.int64()), pa.array(same, pa.int64()), pa.array(sizes, pa.int64()), pa.array(fps, pa.binary()), pa.array(mins, pa.binary()), *(part.column(c) for c in keep)], names=[id_col, "same", "size", "fp", "mins", *keep])
+                bits = [pa.array(np.fromiter(map(fingerprint, read), np.uint64, len(read)).view(np.int64)) for _ in more]
+                yield pa.RecordBatch.from_arrays([part.column(id_col).cast(pa.int64()), pa.array(same, pa.int64()), pa.array(sizes, pa.int64()), pa.array(fps, pa.binary()), pa.array(mins, pa.binary()), *bits], names=[id_col, "same", "size", "fp", "mins", *more])
 
-    return docs.select(id_col, text_col, *keep).mapInArrow(run, ", ".join([f"{id_col} bigint, same bigint, size bigint, fp binary, mins binary", *(f"{c} bigint" for c in keep)]))
+    return docs.select(id_col, text_col).mapInArrow(run, ", ".join([f"{id_col} bigint, same bigint, size bigint, fp binary, mins binary", *(f"{c} bigint" for c in more)]))
 
 
 def _banded(nodes: DataFrame) -> DataFrame:
@@ -109,11 +113,11 @@ def forest(sets: list[np.ndarray], fps: np.ndarray, threshold: float = THRESHOLD
         return np.zeros(near, np.int64), np.ones(near, np.int64)
     order = np.argsort(size, kind="stable")
     size, fps = size[order], fps[order]
-    _, code, count = np.unique(np.concatenate([sets[i] for i in order]), return_inverse=True, return_counts=True)
-    rarity = np.empty(len(count), np.int64)
+    shingle, count = np.unique(np.concatenate(sets), return_counts=True)
+    rarity = np.empty(len(count), np.int32)
     rarity[np.argsort(count, kind="stable")] = np.arange(len(count))
     count = np.sort(count)
-    codes = [np.sort(c) for c in np.split(rarity[code], np.cumsum(size)[:-1])]
+    codes = [np.sort(rarity[np.searchsorted(shingle, sets[i])]) for i in order]  # set by set: an inverse of all takes several copies
     least = np.ceil(threshold * size - 1e-9).astype(np.int64)  # common shingles that a set needs with any other
     rare = [c[: k + 1][count[c[: k + 1]] > 1] for c, k in zip(codes, size - least, strict=True)]
     member = np.repeat(np.arange(n), [len(c) for c in rare])
@@ -231,8 +235,7 @@ def similar_components(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, hot: int = HOT) -> DataFrame:
     """(id, component_id) of every row with an id: the smallest id reachable over links of 64-bit fingerprints, found by
     pivot tables, and links at the threshold."""
-    read = fingerprints(_with_id(docs, id_col, text_col), [id_col, text_col], id_col, text_col).withColumnRenamed("fp", "bits")
-    marked = written(signatures(read, id_col, text_col, ("bits",)), "signatures")
+    marked = written(signatures(_with_id(docs, id_col, text_col), id_col, text_col, with_bits=True), "signatures")
     close = components(near_links(checkpointed(marked.select(F.col("bits").alias("fp")).distinct())))  # (node, root) of fingerprints
     names = written(_named(marked, docs, id_col, text_col, threshold, hot), "names")
     both = marked.select("same", "fp", "bits").distinct().join(names, ["same", "fp"]).select("bits", "component_id").distinct()

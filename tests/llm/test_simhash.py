@@ -201,3 +201,15 @@ def test_near_components_hold_links_of_both_kinds(spark):
     assert similar_to[100] != similar_to[101] and root[101] == root[100] == 100
     rows = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
     assert {r.doc_id: r.component_id for r in wide.near_components(rows).collect()} == root
+
+
+def test_signatures_and_bits_take_one_python_operator(spark, monkeypatch):
+    """Texts go through Python once: chained operators hold a worker each, for every task, at the same time."""
+    plans = {}
+    monkeypatch.setattr(wide, "written", lambda df, tag: plans.update({tag: df._jdf.queryExecution().executedPlan().toString()}) or common.written(df, tag))
+    texts = ["", None, "Two words", "a text of more than five words", "spam " * 300]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert wide.near_components(rows).count() == len(texts)
+    assert plans["signatures"].count("MapInArrow") == 1
+    got = wide.signatures(rows, with_bits=True).collect()
+    assert {r.doc_id: r.bits % 2**64 for r in got} == {i: s.fingerprint((t or "").encode()) for i, t in enumerate(texts)}
